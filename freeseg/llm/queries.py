@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..shipping import ship
-from . import decontam, langid, merkle, pieces, toxicity, warc, wordpiece
+from . import decontam, langid, line_dedup, merkle, near_dup, pieces, toxicity, warc, wordpiece
 from .kernel import remainder
 
 #: Where the public tokenizers' files are.
@@ -19,6 +19,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    found = near_dup.groups(docs, width=2, num=80, den=100)
+    return found.select(F.col("id").alias("doc_id"), "n_shingles", "component_id", F.col("id").eqNullSafe(F.col("component_id")).alias("kept"))
+
+
 def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     model = langid.train(docs.where(remainder("doc_id", 5) != 0))
@@ -29,6 +35,11 @@ def op4_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return merkle.compare_edits(table(spark, sf_dir, "documents"))
 
 
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return line_dedup.digest_rows(line_dedup.dedup_lines(docs))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return wordpiece.token_counts(docs, *wordpiece.read_vocabulary(VOCABULARY)).drop("text")
@@ -58,7 +69,7 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", (F.size("item_ids") > 0).alias("contaminated"), "item_ids", "coverage", "reparameterised")
 
 
-QUERIES = {f.__name__: f for f in (op2_language_id, op4_fingerprints, op6_token_counts, op7_sentencepiece, op8_warc, op9_toxicity, op10_decontamination)}
+QUERIES = {f.__name__: f for f in (op1_near_duplicates, op2_language_id, op4_fingerprints, op5_line_dedup, op6_token_counts, op7_sentencepiece, op8_warc, op9_toxicity, op10_decontamination)}
 ORACLES: dict[str, str] = {
     "op8_warc": """
         WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages),
