@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..shipping import ship
-from . import decontam, langid, line_dedup, merkle, near_dup, pieces, toxicity, warc, wordpiece
+from . import decontam, langid, line_dedup, lm, merkle, near_dup, pieces, toxicity, warc, wordpiece
 from .kernel import remainder
 
 #: Where the public tokenizers' files are.
@@ -31,6 +31,13 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict(docs.select("doc_id", "text"), model).select("doc_id", (remainder("doc_id", 5) == 0).alias("held_out"), "lang_pred", "score")
 
 
+def op3_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    with open(VOCABULARY, "rb") as f:
+        found = lm.score(docs, remainder("doc_id", 7) != 2, f.read())
+    return found.withColumnRenamed("id", "doc_id").withColumn("held_out", remainder("doc_id", 7) == 2)
+
+
 def op4_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return merkle.compare_edits(table(spark, sf_dir, "documents"))
 
@@ -69,7 +76,7 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", (F.size("item_ids") > 0).alias("contaminated"), "item_ids", "coverage", "reparameterised")
 
 
-QUERIES = {f.__name__: f for f in (op1_near_duplicates, op2_language_id, op4_fingerprints, op5_line_dedup, op6_token_counts, op7_sentencepiece, op8_warc, op9_toxicity, op10_decontamination)}
+QUERIES = {f.__name__: f for f in (op1_near_duplicates, op2_language_id, op3_lm_scores, op4_fingerprints, op5_line_dedup, op6_token_counts, op7_sentencepiece, op8_warc, op9_toxicity, op10_decontamination)}
 ORACLES: dict[str, str] = {
     "op8_warc": """
         WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages),
