@@ -27,6 +27,12 @@ def count_grams(lines: DataFrame, n_max: int) -> DataFrame:
     return each.groupBy("lang", "n", F.expr("left(w, n)").alias("gram")).agg(F.sum("c").alias("cnt"))
 
 
+def count_grams_once(lines: DataFrame, n_max: int) -> DataFrame:
+    """As count_grams in a single aggregation, for streams: every window is taken apart before it is counted."""
+    each = windows(lines, n_max).select("lang", "w", F.explode(F.sequence(F.lit(1), F.length("w"))).alias("n"))
+    return each.groupBy("lang", "n", F.expr("left(w, n)").alias("gram")).agg(F.count("*").alias("cnt"))
+
+
 def symbol_edges(grams: DataFrame, dir_: str) -> DataFrame:
     """lang, n, dir, gram, nbr, cnt: the symbols after (dir_ "f") or before ("b") each gram, as projections of the longer grams."""
     longer = grams.where("n > 1")

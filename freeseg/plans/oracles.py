@@ -119,15 +119,15 @@ LEXICON = f"""learned AS (SELECT lang, token AS word, count(*) AS freq FROM (
 def greedy(by: str, lexicon: str = "lexicon", name: str = "lex") -> tuple[list[str], str]:
     """Steps, one of them recursive, and the query of the greedy tokens."""
     order = {"length": "length(word)", "frequency": "freq", "blend": "length(word) * ln(1 + freq)"}[by]
-    best = f"""{name}_best AS (SELECT lang, stmt_id, at, word FROM (
-            SELECT s.lang, s.stmt_id, s.at, l.word, row_number() OVER (PARTITION BY s.lang, s.stmt_id, s.at ORDER BY {order} DESC, length(word) DESC) AS k
-            FROM (SELECT lang, stmt_id, at, size, substr(text, at, size) AS part FROM (SELECT lang, stmt_id, text, unnest(range(1, length(text) + 1)) AS at FROM stmts),
-                (SELECT DISTINCT length(word) AS size FROM {lexicon}) WHERE at + size <= length(text) + 1) s
+    best = f"""{name}_best AS (SELECT lang, stmt_id, pos, word FROM (
+            SELECT s.lang, s.stmt_id, s.pos, l.word, row_number() OVER (PARTITION BY s.lang, s.stmt_id, s.pos ORDER BY {order} DESC, length(word) DESC) AS k
+            FROM (SELECT lang, stmt_id, pos, size, substr(text, pos, size) AS part FROM (SELECT lang, stmt_id, text, unnest(range(1, length(text) + 1)) AS pos FROM stmts),
+                (SELECT DISTINCT length(word) AS size FROM {lexicon}) WHERE pos + size <= length(text) + 1) s
             JOIN {lexicon} l ON l.lang = s.lang AND l.word = s.part) WHERE k = 1)"""
-    step = f"""{name}_next AS (SELECT s.lang, s.stmt_id, s.at, coalesce(b.word, substr(s.text, s.at, 1)) AS token
-        FROM (SELECT lang, stmt_id, text, unnest(range(1, length(text) + 1)) AS at FROM stmts) s LEFT JOIN {name}_best b ON b.lang = s.lang AND b.stmt_id = s.stmt_id AND b.at = s.at)"""
-    walk = f"""{name}_walk AS (SELECT lang, stmt_id, at, 1 AS tok_no, token FROM {name}_next WHERE at = 1
-        UNION ALL SELECT n.lang, n.stmt_id, n.at, k.tok_no + 1, n.token FROM {name}_walk k JOIN {name}_next n ON n.lang = k.lang AND n.stmt_id = k.stmt_id AND n.at = k.at + length(k.token))"""
+    step = f"""{name}_next AS (SELECT s.lang, s.stmt_id, s.pos, coalesce(b.word, substr(s.text, s.pos, 1)) AS token
+        FROM (SELECT lang, stmt_id, text, unnest(range(1, length(text) + 1)) AS pos FROM stmts) s LEFT JOIN {name}_best b ON b.lang = s.lang AND b.stmt_id = s.stmt_id AND b.pos = s.pos)"""
+    walk = f"""{name}_walk AS (SELECT lang, stmt_id, pos, 1 AS tok_no, token FROM {name}_next WHERE pos = 1
+        UNION ALL SELECT n.lang, n.stmt_id, n.pos, k.tok_no + 1, n.token FROM {name}_walk k JOIN {name}_next n ON n.lang = k.lang AND n.stmt_id = k.stmt_id AND n.pos = k.pos + length(k.token))"""
     return [best, step, walk], f"SELECT lang, stmt_id, tok_no, token FROM {name}_walk"
 
 
@@ -258,6 +258,13 @@ def _oracles() -> dict[str, str]:
     for key, by in (("w19_lexicon_length", "length"), ("w20_lexicon_freq", "frequency"), ("w21_lexicon_blend", "blend")):
         more, last = greedy(by)
         out[key] = query([*TRAIN, STATEMENTS, LEXICON, *more], last)
+    steps, hyps = [*TRAIN, STATEMENTS, LEXICON], []
+    for percent in (0, 5, 10, 20):
+        steps.append(f"lexicon_{percent} AS (SELECT * FROM lexicon WHERE left(md5(word), 2) >= '{round(256 * percent / 100):02x}')")
+        more, last = greedy("length", f"lexicon_{percent}", f"lex_{percent}")
+        steps += more
+        hyps.append(f"SELECT lang, token, {percent} AS percent FROM ({solid(last)})")
+    out["w30_missing_words"] = query(steps, f1(" UNION ALL ".join(hyps), crossed(reference(), "percent", (0, 5, 10, 20)), "lang, percent"))
     steps, hyp = _methods()
     out["w23_f1_by_method"] = query(steps, f1(hyp, crossed(reference(), "method", w.METHODS), "lang, method"))
     return out
