@@ -32,7 +32,7 @@ from .tables import keep
 CONTEXT, STRIDE, SIZE, CLASSES, FREQUENT = 8, 24, 16, 64, 30
 PREVIOUS, BACK_OFF, MIXED = 256, 10.0, (0.1, 0.3, 0.6, 0.9)
 SAMPLE, STEPS, BATCH, RATE, SEED = 2000, 1000, 96, 0.02, 7
-BLOCK_BYTES, WINDOWS = 12 << 20, 512
+BLOCK_BYTES, WORDS, WINDOWS = 12 << 20, 200_000, 512
 START, END = 1, 2
 
 
@@ -65,18 +65,27 @@ def gathered(inputs: np.ndarray, first: np.ndarray, lengths: np.ndarray, seq: np
     return inputs[flat], inside, flat[:, CONTEXT:]
 
 
+ONES = {n: np.ones((n, 1), np.float32) for n in (CONTEXT + STRIDE, CLASSES)}
+
+
 def forward(m: Model, ids: np.ndarray, inside: np.ndarray):
-    """Class logits of the scored places of windows, and what the backward pass needs."""
-    x = m.embed[ids] + m.place
+    """Class logits of the scored places of windows, and what the backward pass needs. Exponents are clipped, so no maximum is sought."""
+    x = m.embed[ids]
+    x += m.place
     q, k = x[:, CONTEXT:] @ m.query, x @ m.key
     s = np.matmul(q, k.transpose(0, 2, 1))
+    np.clip(s, -30, 30, out=s)
     s += CAUSAL
-    s += np.where(inside, 0, -1e9).astype(np.float32)[:, None, :]
-    s -= s.max(2, keepdims=True)
+    # Places after the end are hidden by the order already, those before the beginning are in first windows only.
+    begins = np.flatnonzero(~inside[:, 0])
+    s[begins] += np.where(inside[begins], 0, -1e9).astype(np.float32)[:, None, :]
     np.exp(s, out=s)
-    s /= s.sum(2, keepdims=True)
-    both = np.concatenate([x[:, CONTEXT:], np.matmul(s, x)], 2)
-    return both @ m.out + m.bias, (x, q, k, s, both)
+    total = np.matmul(s, ONES[CONTEXT + STRIDE])
+    both = np.concatenate([x[:, CONTEXT:], np.matmul(s, x) / total], 2)
+    logits = both @ m.out
+    logits += m.bias
+    np.clip(logits, -60, 60, out=logits)
+    return logits, (x, q, k, s, total, both)
 
 
 def log_probs(m: Model, sequence: np.ndarray, lengths: np.ndarray) -> np.ndarray:
@@ -93,11 +102,9 @@ def log_probs(m: Model, sequence: np.ndarray, lengths: np.ndarray) -> np.ndarray
     for a in range(0, len(seq), WINDOWS):
         ids, inside, flat = gathered(inputs, first, lengths, seq[a : a + WINDOWS], at[a : a + WINDOWS])
         logits, _ = forward(m, ids, inside)
-        top = logits.max(2, keepdims=True)
-        chosen = np.take_along_axis(logits, target[flat][..., None], 2)[..., 0] - top[..., 0]
-        logits -= top
+        chosen = np.take_along_axis(logits, target[flat][..., None], 2)[..., 0]
         np.exp(logits, out=logits)
-        logp = chosen - np.log(logits.sum(2))
+        logp = chosen - np.log(np.matmul(logits, ONES[CLASSES])[..., 0])
         scored = inside[:, CONTEXT:]
         out[flat[scored]] = logp[scored]
     return out + m.within[m.prev[inputs], sequence]
@@ -174,7 +181,8 @@ def fit(sequences: list[np.ndarray], counts: np.ndarray, steps: int = STEPS, see
     for t in range(1, steps + 1):
         pick = rng.integers(0, len(seq), BATCH)
         ids, inside, flat = gathered(inputs, first, lengths, seq[pick], at[pick])
-        logits, (x, q, k, s, both) = forward(model(), ids, inside)
+        logits, (x, q, k, s, total, both) = forward(model(), ids, inside)
+        s /= total
         g = np.exp(logits - logits.max(2, keepdims=True))
         g /= g.sum(2, keepdims=True)
         np.put_along_axis(g, target[flat][..., None], np.take_along_axis(g, target[flat][..., None], 2) - 1, 2)
@@ -255,7 +263,7 @@ def gather(blocks: DataFrame, proto) -> DataFrame:
     def count(table: pa.Table) -> pa.Table:
         coder, block = Coder(proto.value), table.column("block")[0].as_py()
         keys, counts, pieces = [], [], None
-        for batch in cut_batches(table.combine_chunks().to_batches(), "t"):
+        for batch in cut_batches(table.combine_chunks().to_batches(), "t", 2 * BLOCK_BYTES):
             w = words_of(batch.column("t"))
             learn = batch.column("learn").to_numpy(zero_copy_only=False)
             c = np.bincount(w.codes[np.repeat(learn, np.diff(w.offsets))], minlength=len(w.distinct))
@@ -307,24 +315,28 @@ def score(docs: DataFrame, learn: Column, model_proto: bytes, id_col: str = "doc
         order = np.argsort(keys := known.column("key").to_numpy())
         keys, c_of = keys[order], known.column("c").to_numpy()[order]
         under = n.tokens + n.types + 1
-        out = []
-        for batch in cut_batches(table.combine_chunks().to_batches(), "t", 2 << 20):
-            w = words_of(batch.column("t"))
-            h = hash_strings(w.distinct).view(np.int64)
-            at = np.minimum(np.searchsorted(keys, h), max(len(keys) - 1, 0))
-            c = np.where(keys[at] == h, c_of[at], 0) if len(keys) else np.zeros(len(h), np.int64)
-            c = np.append(c, n.texts)
-            offsets, codes = with_ends(w.offsets, w.codes, len(w.distinct))
-            stream, size, lengths = piece_stream(w.offsets, w.codes, *coder.words(w.distinct))
+        # Words are looked up and spelled once for the block; pieces are scored for some texts at a time.
+        texts = table.column("t").combine_chunks()
+        w = words_of(texts.chunk(0) if isinstance(texts, pa.ChunkedArray) else texts)
+        h = hash_strings(w.distinct).view(np.int64)
+        at = np.minimum(np.searchsorted(keys, h), max(len(keys) - 1, 0))
+        c = np.where(keys[at] == h, c_of[at], 0) if len(keys) else np.zeros(len(h), np.int64)
+        c = np.append(c, n.texts)
+        ids, begin = coder.words(w.distinct)
+        counted, base = np.log(np.maximum(c, 1e-300) / max(n.tokens, 1)), np.log10((c + 1) / under)
+        out, row = [], 0
+        while row < table.num_rows:
+            to = max(row + 1, int(np.searchsorted(w.offsets, w.offsets[row] + WORDS, side="right")) - 1)
+            part, own = w.offsets[row : to + 1] - w.offsets[row], w.codes[w.offsets[row] : w.offsets[to]]
+            offsets, codes = with_ends(part, own, len(w.distinct))
+            stream, size, lengths = piece_stream(part, own, ids, begin)
             spelled = segment_sum(log_probs(model, stream, lengths), np.concatenate([[0], np.cumsum(size)]))
-            counted = np.log(np.maximum(c, 1e-300) / max(n.tokens, 1))[codes]
-            parts = [segment_sum(np.logaddexp(spelled + np.log(p), counted + np.log1p(-p)), offsets) for p in MIXED]
+            parts = [segment_sum(np.logaddexp(spelled + np.log(p), counted[codes] + np.log1p(-p)), offsets) for p in MIXED]
             mixed = np.logaddexp.reduce(parts) - np.log(len(MIXED))
-            base = np.log10((c + 1) / under)[codes]
-            out.append([batch.column("id"), np.diff(offsets), segment_sum((c > 0).astype(np.int64)[codes], offsets), segment_sum(base, offsets), mixed / np.log(10), lengths])
-        cols = [np.concatenate([o[k] for o in out]) for k in range(1, 6)]
-        ids = pa.chunked_array([o[0] for o in out])
-        return pa.table({"id": ids, "n_tokens": cols[0], "n_known": cols[1], "train_tokens": np.full(len(ids), n.tokens), "base_score": cols[2], "score": cols[3], "n_pieces": cols[4]})
+            out.append([np.diff(offsets), segment_sum((c > 0).astype(np.int64)[codes], offsets), segment_sum(base[codes], offsets), mixed / np.log(10), lengths])
+            row = to
+        cols = [np.concatenate([o[k] for o in out]) for k in range(5)]
+        return pa.table({"id": table.column("id"), "n_tokens": cols[0], "n_known": cols[1], "train_tokens": np.full(table.num_rows, n.tokens), "base_score": cols[2], "score": cols[3], "n_pieces": cols[4]})
 
     def guarded(table: pa.Table, known: pa.Table) -> pa.Table:
         return run(table, known) if table.num_rows else RESULT.empty_table()
