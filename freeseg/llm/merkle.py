@@ -115,7 +115,7 @@ def in_order(docs: DataFrame, id_col: str = "doc_id", text: str = "text", bucket
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     buckets = buckets or 4 * parts
-    cuts = rows.approxQuantile("id", [k / buckets for k in range(1, buckets)], 0.2 / buckets)
+    cuts = rows.approxQuantile("id", [k / buckets for k in range(1, buckets)], 0.2 / buckets) if buckets > 1 else []
     bounds = spark.sparkContext.broadcast(np.unique(np.array(cuts, np.float64)))
 
     def bucket_of(ids: pa.Array) -> np.ndarray:

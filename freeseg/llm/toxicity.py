@@ -139,7 +139,7 @@ def score_texts(texts: pa.Array, model: Model) -> np.ndarray:
     used = np.where(values >= 0, model.weights[values] != 0, False)
     rows, values = _distinct_pairs(np.repeat(np.arange(len(texts)), np.diff(w.offsets))[used], values[used])
     z = np.bincount(rows, model.weights[values], len(texts)) + model.bias
-    return 1 / (1 + np.exp(-np.clip(z, -700, 700)))
+    return np.where(np.isneginf(z), 0.0, 1 / (1 + np.exp(-np.clip(z, -700, 700))))
 
 
 def predict(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
