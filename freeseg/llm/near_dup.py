@@ -134,25 +134,34 @@ def full_sets(ids: DataFrame, docs: DataFrame, id_col: str, text: str, width: in
 
 
 def against_members(few: pa.Table, members: pa.Table, num: int, den: int) -> pa.Table:
-    """A link (a, b) for each of the few (id, s) that has one to any of the members, by counts over an inverted list of all their shingles."""
-    ids, sets = members.column("id").to_numpy(), [np.frombuffer(s, np.int64) for s in members.column("s").to_pylist()]
+    """Links (a, b) of the few (id, s) to the members (id, s, inner), by counts over an inverted list of all their shingles. Inner members are linked with each other already; of links that join nothing new none is given."""
+    ids, sets = members.column("id").to_pylist(), [np.frombuffer(s, np.int64) for s in members.column("s").to_pylist()]
+    inner = members.column("inner").to_pylist()
     size = np.array([len(s) for s in sets], np.int64)
     values = np.concatenate(sets) if sets else np.zeros(0, np.int64)
     order = np.argsort(values, kind="stable")
     owner = np.repeat(np.arange(len(sets)), size)[order]
     distinct, start = np.unique(values[order], return_index=True)
     count = np.diff(np.append(start, len(values)))
-    links_ = []
+    root: dict = {}
+
+    def find(x):
+        while (up := root.setdefault(x, x)) != x:
+            x = up
+        return x
+
+    found = []
     for i, s in zip(few.column("id").to_pylist(), few.column("s").to_pylist(), strict=True):
         mine = np.frombuffer(s, np.int64)
         at = np.searchsorted(distinct, mine)
         at = at[(at < len(distinct)) & (distinct[np.minimum(at, len(distinct) - 1)] == mine)] if len(distinct) else at[:0]
         both = np.bincount(owner[ranges(start[at], count[at])], minlength=len(sets))
-        hit = np.flatnonzero((both > 0) & (den * both >= num * (len(mine) + size - both)) & (ids != i))
-        if len(hit):
-            j = int(ids[hit[0]])
-            links_.append((min(i, j), max(i, j)))
-    return pa.table({"a": pa.array([x for x, _ in links_], pa.int64()), "b": pa.array([y for _, y in links_], pa.int64())})
+        for j in np.flatnonzero((both > 0) & (den * both >= num * (len(mine) + size - both))).tolist():
+            x, y = find(i), find("inner" if inner[j] else ids[j])
+            if x != y:
+                root[x] = y
+                found.append((min(i, ids[j]), max(i, ids[j])))
+    return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
 
 
 def confirmed(pairs: DataFrame, docs: DataFrame, id_col: str, text: str, width: int, num: int, den: int) -> DataFrame:
@@ -207,34 +216,35 @@ def links(docs: DataFrame, classes: DataFrame, id_col: str, text: str, width: in
     placed = posts.join(parts.withColumnRenamed("node", "id"), "id", "left").select(*at, "g", "id", F.coalesce("component", "id").alias("part"))
     sizes = placed.groupBy(*at, "part").agg(F.count("*").alias("c")).groupBy(*at).agg(F.max(F.struct("c", "part")).alias("x"), F.sum("c").alias("m"), F.count("*").alias("parts"))
     open_ = sizes.where("parts > 1").select(*at, F.col("x.part").alias("main"), "m", F.when(F.col("m") >= LONG, F.col("x.c")).otherwise(0).alias("c"))
-    # With all of a document's listed values: a pair is looked at in the first list that it shares only.
-    listed_in = posts.groupBy("id").agg(F.collect_set("v").alias("vs"))
-    rest = keep(placed.join(open_, at).join(sketch.join(listed_in, "id"), "id"))
+    rest = keep(placed.join(open_, at))
 
-    # In long lists those outside a large component meet all its members, set against set, in blocks of both.
+    # In long lists those outside a large component meet all its members and each other, set against set, in blocks of both.
     large = rest.where((F.col("c") >= LARGE) & (F.col("part") != F.col("main"))).select(F.col("main").alias("component"), "id").distinct()
-    tally = large.groupBy("component").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("xs"))
-    sizes = parts.groupBy("component").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("ms"))
-    blocks = keep(tally.join(sizes, "component"))
+    second_side = parts.select("component", F.col("node").alias("id"), F.lit(True).alias("inner")).unionByName(large.withColumn("inner", F.lit(False)))
+    parted = lambda t, n: t.groupBy("component").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias(n))
+    blocks = keep(parted(large, "xs").join(parted(second_side, "ms"), "component"))
     spread = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
     dealt = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
-    few = keep(large.join(blocks, "component").select("component", "id", spread("ms").alias("mb"), dealt("xs").alias("xb")))
-    members = keep(parts.withColumnRenamed("node", "id").join(blocks, "component").select("component", "id", dealt("ms").alias("mb"), spread("xs").alias("xb")))
+    few = keep(large.join(blocks, "component").select("component", "id", F.lit(False).alias("inner"), spread("ms").alias("mb"), dealt("xs").alias("xb")))
+    members = keep(second_side.join(blocks, "component").select("component", "id", "inner", dealt("ms").alias("mb"), spread("xs").alias("xb")))
     held = full_sets(few.select("id").unionByName(members.select("id")), docs, id_col, text, width)
     key = ["component", "mb", "xb"]
-    sides = [t.join(held.select(F.col("id").alias("id"), F.col("s").alias("s")), "id").select(*(F.col(c).alias(c) for c in (*key, "id", "s"))).groupBy(*key) for t in (few, members)]
+    sides = [t.join(held.select(F.col("id").alias("id"), F.col("s").alias("s")), "id").select(*(F.col(c).alias(c) for c in (*key, "id", "inner", "s"))).groupBy(*key) for t in (few, members)]
     second = sides[0].cogroup(sides[1]).applyInArrow(lambda x, y: against_members(x, y, num, den), "a long, b long")
 
-    # All others that share an open list meet where their estimate allows it.
-    wide = rest.withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int"))
+    # Members of other open lists meet where their estimate allows it.
+    wide = rest.where(F.col("c") < LARGE).withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int"))
+    # With all of its documents' values in such lists: a pair is looked at in the first list that it shares only.
+    listed_in = wide.groupBy("id").agg(F.collect_set("v").alias("vs"))
+    wide = wide.join(sketch.drop("sketch").join(listed_in, "id"), "id")
     all_ = wide.withColumn("block", dealt("blocks")).alias("y")
     some_ = wide.where("part <> main").withColumn("block", spread("blocks")).alias("x")
-    both_out = F.col("y.part") != F.col("y.main")
-    once = F.when(both_out, F.col("x.id") < F.col("y.id")).otherwise(F.col("y.c") < LARGE)
+    once = (F.col("y.part") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))
     on = (F.col("x.v") == F.col("y.v")) & (F.col("x.size") == F.col("y.size")) & (F.col("x.block") == F.col("y.block")) & (F.col("x.part") != F.col("y.part")) & (F.col("x.size") == F.greatest("x.g", "y.g")) & once
-    on = on & sized_bits("x", "y", num, den) & (F.array_min(F.array_intersect("x.vs", "y.vs")) == F.col("x.v")) & alike("x", "y", num, den)
+    on = on & sized_bits("x", "y", num, den) & (F.array_min(F.array_intersect("x.vs", "y.vs")) == F.col("x.v"))
     more = some_.join(all_, on).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
-    more = keep(more.join(near, ["a", "b"], "left_anti"))
+    more = more.join(near, ["a", "b"], "left_anti").join(a, "a").join(b, "b").where(alike("x", "y", num, den)).select("a", "b")
+    more = keep(more)
     return first.unionByName(second).unionByName(confirmed(more, docs, id_col, text, width, num, den))
 
 
