@@ -100,6 +100,34 @@ def score(text: str, slices: dict[int, Slice], kind: str = "variance", combine:
     return np.nan_to_num(out, nan=-np.inf)
 
 
+def count_windows(lines: list[str], most: int) -> tuple[list[str], np.ndarray]:
+    """The distinct windows of `most` symbols that begin at each place of the lines, fewer at a line's end, and how often each occurs.
+
+    Symbols are numbered, 0 standing for what lies beyond a line, so a window is a number of a few bits a symbol; windows of more than 64 bits are renumbered symbol by symbol."""
+    flat = np.concatenate([points(x + "\0" * most) for x in lines]) if lines else np.zeros(0, np.uint32)
+    size = np.array([len(x) for x in lines], np.int64)
+    if not size.sum():
+        return [], np.zeros(0, np.int64)
+    real = np.ones(len(flat), bool)
+    ends = np.cumsum(size + most)
+    real[(ends[:, None] - 1 - np.arange(most)).ravel()] = False
+    alphabet, code = np.unique(flat[real], return_inverse=True)
+    codes = np.zeros(len(flat), np.uint64)
+    codes[real] = code + 1
+    at = np.flatnonzero(real)
+    base = np.uint64(len(alphabet) + 1)
+    bits = int(base - np.uint64(1)).bit_length()
+    key = codes[at]
+    for j in range(1, most):
+        if (j + 1) * bits > 64:
+            key = np.unique(key, return_inverse=True)[1].astype(np.uint64)
+        key = key * base + codes[at + j]
+    _, first, count = np.unique(key, return_index=True, return_counts=True)
+    rows = codes[at[first][:, None] + np.arange(most)]
+    symbols = np.append("", [chr(x) for x in alphabet.tolist()])
+    return ["".join(r) for r in symbols[rows].tolist()], count.astype(np.int64)
+
+
 def cut(text: str, breaks: np.ndarray) -> list[str]:
     """The tokens between breaks, given as 1-based gaps."""
     ends = [0, *(int(x) for x in breaks), len(text)]
