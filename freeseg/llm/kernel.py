@@ -16,7 +16,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 #: Bytes of text that a kernel handles at once; a longer text is a batch of its own.
-BATCH_BYTES = 6 << 20
+BATCH_BYTES = 4 << 20
 
 
 def cut_batches(batches: Iterator[pa.RecordBatch], text: str, most: int = BATCH_BYTES) -> Iterator[pa.RecordBatch]:

@@ -26,7 +26,7 @@ BLANK = "▁"
 #: Added to the lowest score for each byte of a character that no piece covers.
 BYTE_PENALTY = 10.0
 #: Distinct chunks that a worker keeps.
-CACHE = 400_000
+CACHE = 120_000
 CHUNK = re.compile(f"{BLANK}*[^{BLANK}]+|{BLANK}+")
 #: For vocabularies without a line feed in any piece: a line feed is bytes whatever stands beside it, so it is a chunk too.
 LINE_CHUNK = re.compile(f"{BLANK}*[^{BLANK}\n]+|{BLANK}+|\n")

@@ -24,7 +24,7 @@ from pyspark.sql import types as T
 from .kernel import cut_batches, segment_sum, words_of
 
 #: Distinct words whose counts a worker keeps between batches.
-CACHE = 300_000
+CACHE = 150_000
 
 
 class Automaton(NamedTuple):
