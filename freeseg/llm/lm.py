@@ -1,10 +1,14 @@
 """Language-model scores of whole texts: causal self-attention over subword ids, mixed with the corpus's word counts.
 
-Two parts are learned. Counts of words and of subword pieces come from every training text, by distributed sums. The
-attention weights are fitted in numpy on the driver to SAMPLE training texts, chosen by a hash of the id. The model
+All is learned from every training text. Counts of words, of subword pieces, of the pieces around a piece (for the classes)
+and of pieces after a piece are distributed sums of tables of a fixed size. The attention weights are fitted in numpy: the
+texts' pieces lie in units of about STEPS batches of windows or more; after STEPS steps on one of them, each unit fits the weights to a part of its windows,
+the results are averaged, and the next of ROUNDS goes on from there, so that after the last each window was used. Texts
+too few for two units are fitted on the driver, several times over until there are STEPS steps. The model
 predicts a piece in two steps: a class from the attention over up to CONTEXT + STRIDE pieces before, then the piece in its
-class by its count after the piece before in the sample, backed off to its corpus count. Texts are scored in overlapping windows: each window scores STRIDE pieces and sees CONTEXT pieces before
-them, so each piece is scored once; windows are batched and masked.
+class by its count after the piece before, backed off to its corpus count. Texts are scored in overlapping windows: each window scores STRIDE pieces and sees CONTEXT pieces before
+them, so each piece is scored once; windows are batched and masked. How texts are dealt into units depends on the number of
+shuffle partitions, and so, slightly, do the weights.
 
 A word's probability is a mixture of that of its pieces and of its share of the training tokens; a text's is the mean over
 the mixtures with the parts in MIXED. `base_score` is the add-one unigram model over words.
@@ -31,7 +35,7 @@ from .tables import keep
 
 CONTEXT, STRIDE, SIZE, CLASSES, FREQUENT = 8, 24, 16, 64, 30
 PREVIOUS, BACK_OFF, MIXED = 256, 10.0, (0.1, 0.3, 0.6, 0.9)
-SAMPLE, STEPS, BATCH, RATE, SEED = 2000, 1000, 96, 0.02, 7
+STEPS, BATCH, RATE, SEED, ROUNDS, SINCE = 1000, 96, 0.02, 7, 4, 0.6
 BLOCK_BYTES, WORDS, WINDOWS = 12 << 20, 200_000, 512
 START, END = 1, 2
 
@@ -110,23 +114,46 @@ def log_probs(m: Model, sequence: np.ndarray, lengths: np.ndarray) -> np.ndarray
     return out + m.within[m.prev[inputs], sequence]
 
 
-def classes_of(sequence: np.ndarray, counts: np.ndarray) -> np.ndarray:
-    """A class for each piece id: the most frequent are alone, the others are grouped by the pieces around them in the sample, and those not in it make one class."""
+def inputs_of(sequence: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """The piece before each piece of sequences laid end to end, START before the first of a sequence."""
+    inputs = np.empty_like(sequence)
+    inputs[1:] = sequence[:-1]
+    inputs[(np.cumsum(lengths) - lengths)[lengths > 0]] = START
+    return inputs
+
+
+def buckets_of(counts: np.ndarray) -> np.ndarray:
+    """Which of 64 sorts of neighbour a piece is: the most frequent are alone."""
+    size = len(counts)
+    out = FREQUENT + np.arange(size) % 34
+    top = np.lexsort((np.arange(size), -counts))[:FREQUENT]
+    out[top] = np.arange(len(top))
+    return out
+
+
+def neighbours(inputs: np.ndarray, sequence: np.ndarray, bucket: np.ndarray) -> np.ndarray:
+    """How often each piece (column) has a neighbour of each sort: 64 rows for those before it, 64 for those after it."""
+    size = len(bucket)
+    before = np.bincount(bucket[inputs] * size + sequence, minlength=64 * size)
+    return np.concatenate([before, np.bincount(bucket[sequence] * size + inputs, minlength=64 * size)]).reshape(128, size)
+
+
+def transitions(inputs: np.ndarray, sequence: np.ndarray, prev: np.ndarray) -> np.ndarray:
+    """How often each piece (column) comes after each group of pieces (row)."""
+    return np.bincount(prev[inputs] * len(prev) + sequence, minlength=PREVIOUS * len(prev)).reshape(PREVIOUS, len(prev))
+
+
+def classes_of(around: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """A class for each piece id: the most frequent are alone, the others are grouped by their neighbours, and those in no training text make one class."""
     size = len(counts)
-    seen = np.bincount(sequence, minlength=size)
-    order = np.lexsort((np.arange(size), -seen))
+    order = np.lexsort((np.arange(size), -counts))
     out = np.full(size, CLASSES - 1)
-    top = order[:FREQUENT][seen[order[:FREQUENT]] > 0]
+    top = order[:FREQUENT][counts[order[:FREQUENT]] > 0]
     out[top] = np.arange(len(top))
-    rest = order[FREQUENT:][seen[order[FREQUENT:]] > 0]
+    rest = order[FREQUENT:][counts[order[FREQUENT:]] > 0]
     groups = CLASSES - 1 - FREQUENT
     if len(rest):
-        bucket = FREQUENT + np.arange(size) % 34
-        bucket[top] = np.arange(len(top))
-        vectors = np.zeros((size, 128), np.float32)
-        np.add.at(vectors, (sequence[1:], bucket[sequence[:-1]]), 1)
-        np.add.at(vectors, (sequence[:-1], 64 + bucket[sequence[1:]]), 1)
-        v = np.log1p(vectors[rest])
+        v = np.log1p(around[:, rest].T).astype(np.float32)
         v /= np.linalg.norm(v, axis=1, keepdims=True) + 1e-9
         centres = v[:groups].copy()
         for _ in range(8):
@@ -138,82 +165,106 @@ def classes_of(sequence: np.ndarray, counts: np.ndarray) -> np.ndarray:
     return out.astype(np.int64)
 
 
-def fit(sequences: list[np.ndarray], counts: np.ndarray, steps: int = STEPS, seed: int = SEED) -> Model:
-    """Fits the attention to sampled sequences of piece ids; counts: of every piece in all training texts."""
-    rng, size = np.random.default_rng(seed), len(counts)
-    lengths = np.array([len(s) for s in sequences], np.int64)
-    sequence = np.concatenate([*sequences, np.zeros(0, np.int64)]).astype(np.int64)
-    cls = classes_of(sequence, counts) if len(sequence) else np.full(size, CLASSES - 1)
+def previous_of(counts: np.ndarray, cls: np.ndarray) -> np.ndarray:
+    """The pieces most often before others are groups of their own, the others are grouped by class."""
+    half = PREVIOUS // 2
+    often = counts.copy()
+    often[START], often[END] = counts[END], 0
+    prev = half + cls % half
+    top = np.lexsort((np.arange(len(cls)), -often))[:half]
+    prev[top] = np.arange(len(top))
+    return prev
+
+
+def untrained(counts: np.ndarray, cls: np.ndarray, prev: np.ndarray, after: np.ndarray, seed: int) -> Model:
+    """A model with all counts in it, and attention weights as they are before any step."""
+    rng, size, f = np.random.default_rng(seed), len(counts), np.float32
     mass = counts + 0.5
     alone = mass / np.bincount(cls, mass, CLASSES)[cls]
-    inputs = np.append(START, sequence)[:-1]
-    first = np.cumsum(lengths) - lengths
-    inputs[first[lengths > 0]] = START
-    # The pieces most often before others are groups of their own, the others are grouped by class.
-    prev, half = PREVIOUS // 2 + cls % (PREVIOUS // 2), PREVIOUS // 2
-    often = np.bincount(inputs, minlength=size)
-    top = np.lexsort((np.arange(size), -often))[:half]
-    prev[top] = np.arange(len(top))
-    after, total = np.zeros((PREVIOUS, size), np.float32), np.zeros((PREVIOUS, CLASSES), np.float32)
-    np.add.at(after, (prev[inputs], sequence), 1)
-    np.add.at(total, (prev[inputs], cls[sequence]), 1)
-    within = np.log((after + BACK_OFF * alone.astype(np.float32)) / (total + np.float32(BACK_OFF))[:, cls])
-    f = np.float32
-    p = {
-        "embed": rng.normal(0, 0.3, (size, SIZE)).astype(f), "place": rng.normal(0, 0.1, (CONTEXT + STRIDE, SIZE)).astype(f), "query": rng.normal(0, 0.3, (SIZE, SIZE)).astype(f),
-        "key": rng.normal(0, 0.3, (SIZE, SIZE)).astype(f), "out": np.zeros((2 * SIZE, CLASSES), f), "bias": np.zeros(CLASSES, f),
-    }
-    model = lambda: Model(**p, cls=cls, prev=prev, within=within)
-    if not len(sequence):
-        return model()
-    p["bias"] = np.log(np.bincount(cls, mass, CLASSES) / mass.sum() + 1e-6).astype(f)
-    # Pieces that the sample lacks share the mean embedding of the piece class they are in; only those it holds are learned.
-    used, local = np.unique(np.append(sequence, START), return_inverse=True)
-    local = local[:-1]
-    start = int(np.searchsorted(used, START))
-    inputs = np.empty_like(local)
-    inputs[1:] = local[:-1]
-    inputs[first[lengths > 0]] = start
+    within = np.empty((PREVIOUS, size), f)
+    for g in range(PREVIOUS):
+        within[g] = np.log((after[g] + BACK_OFF * alone) / (np.bincount(cls, after[g], CLASSES) + BACK_OFF)[cls])
+    bias = np.log(np.bincount(cls, mass, CLASSES) / mass.sum() + 1e-6).astype(f) if counts.any() else np.zeros(CLASSES, f)
+    return Model(
+        rng.normal(0, 0.3, (size, SIZE)).astype(f), rng.normal(0, 0.1, (CONTEXT + STRIDE, SIZE)).astype(f), rng.normal(0, 0.3, (SIZE, SIZE)).astype(f),
+        rng.normal(0, 0.3, (SIZE, SIZE)).astype(f), np.zeros((2 * SIZE, CLASSES), f), bias, cls, prev, within,
+    )
+
+
+WEIGHTS = ("embed", "place", "query", "key", "out", "bias")
+
+
+def train(m: Model, sequence: np.ndarray, lengths: np.ndarray, order: np.ndarray, since: float = 0.0, until: float = 1.0) -> Model:
+    """m after steps of BATCH windows each, in the given order; since and until: the shares of all the training that are done before and after, as the rate falls."""
+    f, p = np.float32, {k: getattr(m, k).copy() for k in WEIGHTS}
+    model = lambda: m._replace(**p)
+    inputs, first = inputs_of(sequence, lengths), np.cumsum(lengths) - lengths
     seq, at = windows_of(lengths)
-    full, p["embed"] = p["embed"], p["embed"][used]
     m1, m2 = ({k: np.zeros_like(v) for k, v in p.items()} for _ in range(2))
-    target = cls[sequence]
+    target, steps = m.cls[sequence], -(-len(order) // BATCH)
     for t in range(1, steps + 1):
-        pick = rng.integers(0, len(seq), BATCH)
+        pick = order[(t - 1) * BATCH : t * BATCH]
         ids, inside, flat = gathered(inputs, first, lengths, seq[pick], at[pick])
         logits, (x, q, k, s, total, both) = forward(model(), ids, inside)
         s /= total
-        g = np.exp(logits - logits.max(2, keepdims=True))
-        g /= g.sum(2, keepdims=True)
+        g = np.exp(logits, out=logits)
+        g /= np.matmul(g, ONES[CLASSES])
         np.put_along_axis(g, target[flat][..., None], np.take_along_axis(g, target[flat][..., None], 2) - 1, 2)
         scored = inside[:, CONTEXT:]
-        g *= scored[..., None] / max(1, scored.sum())
+        g *= scored[..., None] / f(max(1, scored.sum()))
         d_both = g @ p["out"].T
         d_o = d_both[..., SIZE:]
         d_x = np.matmul(s.transpose(0, 2, 1), d_o)
         d_s = np.matmul(d_o, x.transpose(0, 2, 1))
-        d_s = s * (d_s - (d_s * s).sum(2, keepdims=True))
+        d_s -= (d_s * s).sum(2, keepdims=True)
+        d_s *= s
         d_q, d_k = np.matmul(d_s, k), np.matmul(d_s.transpose(0, 2, 1), q)
         d_x += d_k @ p["key"].T
         d_x[:, CONTEXT:] += d_both[..., :SIZE] + d_q @ p["query"].T
         d_x *= inside[..., None]
         flat_x = x.reshape(-1, SIZE)
-        embed = np.stack([np.bincount(ids.ravel(), d_x[..., j].ravel(), len(used)) for j in range(SIZE)], 1)
+        # Only the embeddings of pieces in the batch move.
+        used, local = np.unique(ids.ravel(), return_inverse=True)
+        embed = np.stack([np.bincount(local, d_x[..., j].ravel(), len(used)) for j in range(SIZE)], 1)
         grads = {
             "embed": embed, "place": d_x.sum(0), "query": x[:, CONTEXT:].reshape(-1, SIZE).T @ d_q.reshape(-1, SIZE), "key": flat_x.T @ d_k.reshape(-1, SIZE),
             "out": both.reshape(-1, 2 * SIZE).T @ g.reshape(-1, CLASSES), "bias": g.sum((0, 1)),
         }
-        rate = RATE * (1 - 0.9 * t / steps)
+        rate = RATE * (1 - 0.9 * (since + (until - since) * t / steps))
         for name, d in grads.items():
-            m1[name] = 0.9 * m1[name] + 0.1 * d.astype(f)
-            m2[name] = 0.99 * m2[name] + 0.01 * d.astype(f) ** 2
-            p[name] = p[name] - f(rate) * (m1[name] / f(1 - 0.9**t)) / (np.sqrt(m2[name] / f(1 - 0.99**t)) + f(1e-7))
-    full[:] = p["embed"].mean(0)
-    full[used] = p["embed"]
-    p["embed"] = full
+            rows = used if name == "embed" else slice(None)
+            m1[name][rows] = 0.9 * m1[name][rows] + 0.1 * d.astype(f)
+            m2[name][rows] = 0.99 * m2[name][rows] + 0.01 * d.astype(f) ** 2
+            p[name][rows] -= f(rate) * (m1[name][rows] / f(1 - 0.9**t)) / (np.sqrt(m2[name][rows] / f(1 - 0.99**t)) + f(1e-7))
     return model()
 
 
+def passes(windows: int, most: int, rng: np.random.Generator) -> np.ndarray:
+    """`most` window numbers: each window as often as any other, or once more."""
+    return np.concatenate([np.zeros(0, np.int64), *(rng.permutation(windows) for _ in range(-(-most // windows) if windows else 0))])[:most]
+
+
+def with_mean(m: Model, counts: np.ndarray) -> Model:
+    """Pieces in no training text have the mean embedding of the others."""
+    seen = counts > 0
+    seen[START] = True
+    return m._replace(embed=np.where(seen[:, None], m.embed, m.embed[seen].mean(0)).astype(np.float32))
+
+
+def fit(sequences: list[np.ndarray], counts: np.ndarray, steps: int = STEPS, seed: int = SEED) -> Model:
+    """Fits a model to sequences of piece ids at hand; counts: of every piece in them."""
+    lengths = np.array([len(s) for s in sequences], np.int64)
+    sequence = np.concatenate([*sequences, np.zeros(0, np.int64)]).astype(np.int64)
+    inputs = inputs_of(sequence, lengths)
+    cls = classes_of(neighbours(inputs, sequence, buckets_of(counts)), counts)
+    prev = previous_of(counts, cls)
+    m = untrained(counts, cls, prev, transitions(inputs, sequence, prev), seed)
+    if not len(sequence):
+        return m
+    order = passes(int((-(-lengths // STRIDE)).sum()), steps * BATCH, np.random.default_rng(seed))
+    return with_mean(train(m, sequence, lengths, order), counts)
+
+
 class Coder:
     """Piece ids of words, each with the blank before it."""
 
@@ -258,11 +309,12 @@ def in_blocks(docs: DataFrame, learn: Column, id_col: str, text: str) -> DataFra
 
 
 def gather(blocks: DataFrame, proto) -> DataFrame:
-    """kind, block, key, c: of each block its distinct words (kind 0; key: the word's hash) and its pieces (kind 1) with their counts in training texts."""
+    """kind, block, key, c, s: of each block its distinct words (kind 0; key: the word's hash) and its pieces (kind 1) with their counts in training texts, and the pieces of these texts end to end (kind 2, in s; c: how many windows)."""
 
     def count(table: pa.Table) -> pa.Table:
         coder, block = Coder(proto.value), table.column("block")[0].as_py()
-        keys, counts, pieces = [], [], None
+        keys, counts, pieces, streams, windows = [], [], None, [], []
+        table = table.sort_by([("id", "ascending"), ("t", "ascending")])  # the order of rows in a block is not fixed otherwise
         for batch in cut_batches(table.combine_chunks().to_batches(), "t", 2 * BLOCK_BYTES):
             w = words_of(batch.column("t"))
             learn = batch.column("learn").to_numpy(zero_copy_only=False)
@@ -274,20 +326,138 @@ def gather(blocks: DataFrame, proto) -> DataFrame:
             there = np.bincount(w.codes, minlength=len(w.distinct)) > 0
             keys.append(hash_strings(w.distinct).view(np.int64)[there])
             counts.append(c[there])
+            parts, windows_here, row = [], 0, 0
+            while row < batch.num_rows:
+                to = max(row + 1, int(np.searchsorted(w.offsets, w.offsets[row] + WORDS, side="right")) - 1)
+                size, mine = np.diff(w.offsets[row : to + 1]), learn[row:to]
+                own = w.codes[w.offsets[row] : w.offsets[to]][np.repeat(mine, size)]
+                stream, _, lengths = piece_stream(np.concatenate([[0], np.cumsum(size[mine])]), own, ids, begin)
+                parts.append(stream.astype(unit_type(coder.sp.get_piece_size())).tobytes())
+                windows_here += int((-(-lengths // STRIDE)).sum())
+                row = to
+            streams.append(b"".join(parts))
+            windows.append(windows_here)
         key, at = np.unique(np.concatenate(keys), return_inverse=True)
         c = np.bincount(at, np.concatenate(counts), len(key)).astype(np.int64)
         some = np.flatnonzero(pieces)
-        kind = np.concatenate([np.zeros(len(key), np.int8), np.ones(len(some), np.int8)])
-        return pa.table({"kind": pa.array(kind), "block": pa.array(np.full(len(kind), block, np.int32)), "key": np.concatenate([key, some]), "c": np.concatenate([c, pieces[some]])})
-
-    return blocks.groupBy("block").applyInArrow(count, "kind byte, block int, key long, c long")
-
-
-def sample(docs: DataFrame, learn: Column, id_col: str, text: str, most: int = SAMPLE) -> list[str]:
-    """The texts of up to `most` training rows, chosen by a hash of the id."""
-    rows = docs.where(learn & F.col(id_col).isNotNull() & F.col(text).isNotNull())
-    ids = rows.select(F.col(id_col).alias("id")).distinct().orderBy(F.xxhash64("id"), "id").limit(most)
-    return sorted(r.t for r in rows.select(F.col(id_col).alias("id"), F.col(text).alias("t")).join(F.broadcast(ids), "id").select("t").collect())
+        kind = np.repeat(np.arange(3, dtype=np.int8), [len(key), len(some), len(streams)])
+        s = pa.concat_arrays([pa.nulls(len(key) + len(some), pa.binary()), pa.array(streams, pa.binary())])
+        return pa.table(
+            {"kind": pa.array(kind), "block": pa.array(np.full(len(kind), block, np.int32)), "key": np.concatenate([key, some, np.arange(len(streams))]), "c": np.concatenate([c, pieces[some], windows]).astype(np.int64), "s": s}
+        )
+
+    return blocks.groupBy("block").applyInArrow(count, "kind byte, block int, key long, c long, s binary")
+
+
+def unit_type(size: int) -> str:
+    """How pieces of a vocabulary of this size are kept."""
+    return "<u2" if size <= 1 << 16 else "<i4"
+
+
+def unit_of(s: bytes, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """The pieces of a unit's texts and the length of each text; END is the last piece of a text and nowhere else."""
+    sequence = np.frombuffer(s, unit_type(size)).astype(np.int64)
+    return sequence, np.diff(np.flatnonzero(sequence == END), prepend=-1)
+
+
+def summed(units: DataFrame, table_of) -> dict[int, np.ndarray]:
+    """The sums over all units (block, key, s) of table_of(units of a task), rows of numbers by their place. The tables have a fixed size; a task adds up its own, and rows meet one by one."""
+
+    def own(batches):
+        rows = table_of((r["block"], r["key"], r["s"]) for batch in batches for r in batch.select(["block", "key", "s"]).to_pylist())
+        for k, row in enumerate(rows):
+            v = row.astype(np.float64)
+            if v.any():
+                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([len(v)], pa.int32()), pa.array([pa.compress(v.tobytes(), "zstd", asbytes=True)], pa.binary())], ["k", "n", "v"])
+
+    def unpacked(n, v):
+        return np.frombuffer(pa.decompress(v, decompressed_size=8 * n, codec="zstd", asbytes=True), np.float64)
+
+    def add(table):
+        total = 0
+        for n, v in sorted(zip(table.column("n").to_pylist(), table.column("v").to_pylist(), strict=True)):
+            total = total + unpacked(n, v)
+        return pa.table({"k": table.column("k")[:1], "n": table.column("n")[:1], "v": pa.array([pa.compress(total.tobytes(), "zstd", asbytes=True)], pa.binary())})
+
+    shape = "k int, n int, v binary"
+    return {r.k: unpacked(r.n, bytes(r.v)) for r in units.mapInArrow(own, shape).groupBy("k").applyInArrow(add, shape).collect()}  # as many rows as the table has
+
+
+def counted(units: DataFrame, count, rows: int, size: int) -> np.ndarray:
+    """The sum of count(inputs, sequence) over all units, a table of rows by pieces."""
+
+    def table_of(some):
+        total = None
+        for _, _, s in some:
+            sequence, lengths = unit_of(s, size)
+            got = count(inputs_of(sequence, lengths), sequence)
+            total = got if total is None else np.add(total, got, out=total)
+        return () if total is None else total
+
+    out = np.zeros((rows, size), np.float32 if rows > 128 else np.float64)
+    for k, row in summed(units, table_of).items():
+        out[k] = row
+    return out
+
+
+def train_units(m: Model, units: DataFrame, counts: np.ndarray) -> Model:
+    """m fitted to all units: in each round each unit goes on from the mean of the round before, with other windows. A piece's embedding is a mean by its number of places. STEPS steps on one unit come first, since means of weights that lie far apart are worth little."""
+    sc, size = units.sparkSession.sparkContext, len(counts)
+    at = units.agg(F.min(F.struct("block", "key")).alias("u")).first().u
+    sequence, lengths = unit_of(bytes(units.where((F.col("block") == at.block) & (F.col("key") == at.key)).first().s), size)
+    m = train(m, sequence, lengths, passes(int((-(-lengths // STRIDE)).sum()), STEPS * BATCH, np.random.default_rng(SEED)))
+    for r in range(ROUNDS):
+        now = sc.broadcast(m._replace(within=np.zeros((0, 0), np.float32)))
+
+        def table_of(some, r=r, now=now):
+            total = np.zeros((SIZE + 2, max(size, 1 + sum(getattr(now.value, k).size for k in WEIGHTS[1:]))))
+            for block, key, s in some:
+                sequence, lengths = unit_of(s, size)
+                order = np.random.default_rng((SEED, block, key)).permutation(int((-(-lengths // STRIDE)).sum()))[r::ROUNDS]
+                if not len(order):
+                    continue
+                got = train(now.value, sequence, lengths, order, SINCE + (1 - SINCE) * r / ROUNDS, SINCE + (1 - SINCE) * (r + 1) / ROUNDS)
+                often = np.bincount(inputs_of(sequence, lengths), minlength=size)
+                total[:SIZE, :size] += got.embed.T * often
+                total[SIZE, :size] += often
+                rest = np.concatenate([[1.0], *(getattr(got, k).ravel() for k in WEIGHTS[1:])])
+                total[SIZE + 1, : len(rest)] += len(order) * rest
+            return total
+
+        found = summed(units, table_of)
+        if SIZE + 1 not in found:  # no unit had a window left
+            continue
+        often, rest, at = found[SIZE][:size], found[SIZE + 1], 1
+        embed = np.stack([found[j][:size] if j in found else np.zeros(size) for j in range(SIZE)], 1) / np.maximum(often, 1)[:, None]
+        new = {"embed": np.where(often[:, None] > 0, embed, m.embed).astype(np.float32)}
+        for k in WEIGHTS[1:]:
+            was = getattr(m, k)
+            new[k] = (rest[at : at + was.size] / rest[0]).astype(np.float32).reshape(was.shape)
+            at += was.size
+        m = m._replace(**new)
+    return m
+
+
+def learned(found: DataFrame, counts: np.ndarray) -> Model:
+    """The model of all training texts; found: what gather gives, kept, counts: of every piece in them."""
+    units = found.where("kind = 2 and c > 0").select("block", "key", "c", "s")
+    has = units.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("windows"), F.count("*").alias("n")).first()
+    groups = has.windows // (STEPS * BATCH)
+    if groups < 2:  # few enough for the driver
+        parts = [unit_of(bytes(r.s), len(counts)) for r in units.orderBy("block", "key").collect()]
+        return fit([x for sequence, lengths in parts for x in np.split(sequence, np.cumsum(lengths)[:-1])], counts)
+    if groups < has.n:
+
+        def one(table: pa.Table) -> pa.Table:
+            table = table.sort_by([("block", "ascending"), ("key", "ascending")])
+            return pa.table({"block": table.column("g")[:1], "key": pa.array([0], pa.int64()), "s": pa.array([b"".join(table.column("s").to_pylist())], pa.binary())})
+
+        units = keep(units.select((F.col("block") % groups).cast("int").alias("g"), "block", "key", "s").groupBy("g").applyInArrow(one, "block int, key long, s binary"))
+    size, bucket = len(counts), buckets_of(counts)
+    cls = classes_of(counted(units, lambda i, s: neighbours(i, s, bucket), 128, size), counts)
+    prev = previous_of(counts, cls)
+    m = untrained(counts, cls, prev, counted(units, lambda i, s: transitions(i, s, prev), PREVIOUS, size), SEED)
+    return with_mean(train_units(m, units, counts), counts)
 
 
 def score(docs: DataFrame, learn: Column, model_proto: bytes, id_col: str = "doc_id", text: str = "text") -> DataFrame:
@@ -304,10 +474,7 @@ def score(docs: DataFrame, learn: Column, model_proto: bytes, id_col: str = "doc
     words = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
     ends = int(piece_counts[END])
     totals = Totals(words.n + ends, words.v + (ends > 0), ends)
-    texts = sample(docs, learn, id_col, text)
-    w = words_of(pa.array(texts, pa.string()))
-    stream, _, lengths = piece_stream(w.offsets, w.codes, *coder.words(w.distinct))
-    held = sc.broadcast((fit(np.split(stream, np.cumsum(lengths)[:-1]) if len(lengths) else [], piece_counts), totals))
+    held = sc.broadcast((learned(found, piece_counts), totals))
     own = found.where("kind = 0").select("block", "key").join(counts, "key").select("block", "key", "c")
 
     def run(table: pa.Table, known: pa.Table) -> pa.Table:

@@ -114,3 +114,29 @@ def test_pieces_of_texts_with_ends(proto):
     stream, size, lengths = lm.piece_stream(w.offsets, w.codes, *coder.words(w.distinct))
     assert stream.tolist() == [*coder.sp.encode("the"), *coder.sp.encode("cat"), lm.END, lm.END, *coder.sp.encode("cat"), lm.END]
     assert lengths.sum() == size.sum() == len(stream)
+
+
+@pytest.mark.parametrize("units", [1, 4])
+def test_all_training_texts_are_learned_from(spark, proto, monkeypatch, units):
+    """Tables of piece after piece and classes are those of every text, however the texts are dealt out, and fitting to units lowers the loss."""
+    rng = np.random.default_rng(5)
+    texts = [" ".join(f"{a}{b}" for a, b in zip(rng.choice(list("abcdefgh"), 5), rng.choice(["ing", "er", "ed"], 5), strict=True)) for _ in range(2300)]
+    docs, coder = documents(spark, texts), lm.Coder(proto)
+    seqs = [np.array([x for w in words(t) for x in coder.sp.encode(w)] + [lm.END]) for t in texts[: len(texts) - 100]]
+    counts = np.bincount(np.concatenate(seqs), minlength=coder.sp.get_piece_size()).astype(float)
+    found = lm.keep(lm.gather(lm.in_blocks(docs, F.col("doc_id") < len(seqs), "doc_id", "text"), spark.sparkContext.broadcast(proto)))
+    if units > 1:
+        monkeypatch.setattr(lm, "STEPS", sum(-(-len(s) // lm.STRIDE) for s in seqs) // lm.BATCH // units)
+    m = lm.learned(found, counts)
+    after = Counter((m.prev[a], b) for s in seqs for a, b in zip([lm.START, *s[:-1]], s, strict=True))
+    total = Counter()
+    for (g, b), c in after.items():
+        total[g, m.cls[b]] += c
+    mass = counts + 0.5
+    for (g, b), c in after.items():
+        alone = mass[b] / mass[m.cls == m.cls[b]].sum()
+        assert m.within[g, b] == pytest.approx(math.log((c + lm.BACK_OFF * alone) / (total[g, m.cls[b]] + lm.BACK_OFF)), abs=1e-5)
+    plain_fit = lm.fit(seqs, counts, steps=0)
+    assert (m.cls == plain_fit.cls).all() and (m.prev == plain_fit.prev).all() and np.allclose(m.within, plain_fit.within, atol=1e-5)
+    loss = lambda m: -lm.log_probs(m, np.concatenate(seqs), np.array([len(s) for s in seqs])).mean()
+    assert loss(m) < loss(plain_fit)
