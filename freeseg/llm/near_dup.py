@@ -106,10 +106,15 @@ def needed(a: str, b: str, num: int, den: int):
     return F.when(most <= K, F.floor(most * num / den)).otherwise(F.least(F.lit(shared), F.floor(F.least(f"{a}.n", f"{b}.n") * shared / K)))
 
 
+def lost():
+    """How many values of a sketch fall on the bit of another of its values."""
+    return F.least(F.col("n"), F.lit(K)) - reduce(lambda p, q: p + q, [F.bit_count(m) for m in MARKS])
+
+
 def sized_bits(a: str, b: str, num: int, den: int):
-    """The cheap part of `alike`: sizes, and shared bits. Each shared value is a shared bit, but for the few that fall together."""
+    """The cheap part of `alike`: sizes, and shared bits. Each shared value is a shared bit but for those that fall on another's; of a part of a sketch no more do so than of the whole, whose number is `lost`. So no pair is missed by it."""
     bits = reduce(lambda p, q: p + q, [F.bit_count(F.col(f"{a}.{m}").bitwiseAND(F.col(f"{b}.{m}"))) for m in MARKS])
-    return (F.least(f"{a}.n", f"{b}.n") * den >= F.greatest(f"{a}.n", f"{b}.n") * num) & (bits >= needed(a, b, num, den) * 0.82)
+    return (F.least(f"{a}.n", f"{b}.n") * den >= F.greatest(f"{a}.n", f"{b}.n") * num) & (bits >= needed(a, b, num, den) - F.least(f"{a}.lost", f"{b}.lost"))
 
 
 def alike(a: str, b: str, num: int, den: int):
@@ -207,7 +212,7 @@ def links(docs: DataFrame, classes: DataFrame, id_col: str, text: str, width: in
     heads = posts.groupBy(*at).agg(F.min(F.struct("own", "id", "n")).alias("h"), F.count("*").alias("m")).where("m > 1").select(*at, F.col("h.id").alias("a"), F.col("h.n").alias("an"))
     sized = F.least("n", "an") * den >= F.greatest("n", "an") * num
     pairs = posts.join(heads, (posts.v == heads.v) & (posts.size == heads.size) & (F.col("id") != F.col("a")) & sized).select(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).distinct()
-    sketch = some.select("id", "n", "sketch", *MARKS)
+    sketch = some.select("id", "n", "sketch", *MARKS, lost().alias("lost"))
     a, b = sketch.withColumnRenamed("id", "a").alias("x"), sketch.withColumnRenamed("id", "b").alias("y")
     near = keep(pairs.join(a, "a").join(b, "b").where(alike("x", "y", num, den)).select("a", "b").distinct())
     first = keep(confirmed(near, docs, id_col, text, width, num, den))

@@ -97,3 +97,18 @@ def test_components_of_paths_and_stars(spark, at_once):
     got = {r.node: r.component for r in tables.components(spark.createDataFrame(edges, "a long, b long"), at_once=at_once).collect()}
     assert got == {k: 0 for k in range(41)} | {k: 100 for k in range(100, 140)}
     assert tables.components(spark.createDataFrame([], "a long, b long"), at_once=at_once).count() == 0
+
+
+@pytest.mark.parametrize(("n", "width"), [(5, 2), (5, 5), (10, 2)])
+def test_values_on_one_bit_lose_no_pair(spark, n, width):
+    """Texts whose sketches have several values on one bit, each with a copy without its last words that is just similar enough."""
+    rng, bases = random.Random(n), []
+    while len(bases) < 20:
+        some = [" ".join(f"v{rng.randrange(10**6)}" for _ in range(n + width - 1)) for _ in range(4000)]
+        for t, s in zip(some, near_dup.shingle_sets(near_dup.pa.array([" ".join(t.split()[: -n // 5]) for t in some]), width), strict=True):
+            if len(s) - len({int(x) & near_dup.BITS - 1 for x in s}) >= 1 + (n > 5):
+                bases.append(t)
+    texts = [x for t in bases for x in (t, " ".join(t.split()[: -n // 5]))]
+    got = {r.id: (r.n_shingles, r.component_id) for r in near_dup.groups(documents(spark, texts), width=width, num=4, den=5).collect()}
+    assert got == brute(list(enumerate(texts)), width, 4, 5)
+    assert all(got[2 * k + 1][1] == 2 * k for k in range(len(bases)))
