@@ -6,9 +6,9 @@ others into variable fields; else it is a template of its own. A template that r
 its first line, by document id and line number, stays and all others are dropped.
 
 Each task adds up its lines by form (a line with variable words masked) before anything is shuffled, so a line that
-stands in a third of all documents is a few rows. Leaves are then dealt out by hash, and a leaf is read in sorted order,
-in parts of MOST_FORMS forms that change a word beyond its depth. Forms to drop are broadcast if they are
-few, else joined.
+stands in a third of all documents is a few rows. Leaves are then dealt out by hash, and a leaf is read in sorted order
+and clustered as a whole by one task, whatever its size; from MOST_FORMS forms on its templates are found by an index, with the
+same result. Forms to drop are broadcast if they are few, else joined.
 
 Lines of LONG words or more recur if they stand in two documents, those of SHORT to LONG - 1 words if they do in
 SHORT_DOCS; shorter lines are never dropped.
@@ -113,25 +113,52 @@ def forms(docs: DataFrame, depth: int = DEPTH) -> DataFrame:
 def cluster(bodies: list[np.ndarray], similar: float = SIMILAR) -> list[int]:
     """The template of each of a leaf's lines, all of one length, in the given order."""
     n = len(bodies[0])
+    index = Index(bodies, similar) if len(bodies) >= MOST_FORMS else None
     templates = np.zeros((min(len(bodies), 64), n), np.uint16)
     fixed = np.zeros_like(templates, bool)
     used, out = 0, []
     for body in bodies:
-        if used:
-            same = ((templates[:used] == body) & fixed[:used]).sum(1)
+        some = slice(0, used) if index is None else index.candidates(body)
+        if used and (index is None or len(some)):
+            same = ((templates[some] == body) & fixed[some]).sum(1)
             best = int(same.argmax())
             if same[best] >= similar * n:
+                best = best if index is None else int(some[best])
                 fixed[best] &= templates[best] == body
                 out.append(best)
                 continue
         if used == len(templates):
             templates, fixed = np.concatenate([templates, np.zeros_like(templates)]), np.concatenate([fixed, np.zeros_like(fixed)])
         templates[used], fixed[used] = body, body != 0
+        if index is not None:
+            index.add(body, used)
         out.append(used)
         used += 1
     return out
 
 
+class Index:
+    """Finds all templates that a body can join. If at most m of its words may differ, then of m + 1 parts of the places one is equal."""
+
+    def __init__(self, bodies: list[np.ndarray], similar: float):
+        n, first = len(bodies[0]), bodies[0]
+        alike = np.ones(n, bool)
+        for body in bodies:
+            alike &= body == first
+        # Places that are alike in all bodies say nothing, and if variable they differ always.
+        differ = n - next((k for k in range(n + 1) if k >= similar * n), n + 1) - int((alike & (first == 0)).sum())
+        self.parts = np.array_split(np.flatnonzero(~alike), differ + 1) if differ >= 0 else []
+        self.lists: list[dict[bytes, list[int]]] = [{} for _ in self.parts]
+
+    def candidates(self, body: np.ndarray) -> np.ndarray:
+        return np.array(sorted({k for part, at in zip(self.parts, self.lists, strict=True) for k in at.get(body[part].tobytes(), ())}), np.int64)
+
+    def add(self, body: np.ndarray, k: int) -> None:
+        for part, at in zip(self.parts, self.lists, strict=True):
+            if body[part].all():  # a variable word is equal to none
+                at.setdefault(body[part].tobytes(), []).append(k)
+
+
 DROP = "form long, id long, h long, line long"
 
 
@@ -168,7 +195,7 @@ def recurring(found: DataFrame, depth: int = DEPTH, similar: float = SIMILAR) ->
                     g = group[-1]
                     g[2], g[3], g[4] = g[2] + docs, min(g[3], first), max(g[4], last)
                     continue
-                if group and (at != leaf or (len(group) >= MOST_FORMS and (len(body) <= depth or body[depth] != group[-1][0][depth]))):
+                if group and at != leaf:
                     out += decide(group)
                     group = []
                 leaf = at

@@ -244,6 +244,28 @@ def test_large_leaf_is_read_in_parts(spark, monkeypatch):
     assert [len(r.dropped_lines) for r in rows] == [0] * 20 + [1] * 20
 
 
+def test_a_large_leaf_is_one_group(spark):
+    """Lines that differ by the word after the depth only are one template, however many other lines their leaf has."""
+    name = lambda k: "".join(chr(97 + int(d)) for d in str(k))
+    other = "\n".join(f"same three words q{name(k)} r{name(7 * k)} s{name(11 * k)} t{name(13 * k)} u{name(17 * k)} v{name(19 * k)}" for k in range(4000))
+    texts = [f"same three words {x} signed this page for us" for x in ("anna", "ben", "carl", "dora", "emil", "fritz", "gina", "hans", "ida", "jan", "kim", "lea")]
+    rows = line_dedup.dedup_lines(documents(spark, [other, *texts])).orderBy("doc_id").collect()
+    assert [len(r.dropped_lines) for r in rows] == [0, 0] + [1] * 11
+
+
+@pytest.mark.parametrize("n", [4, 5, 8, 11, 20])
+def test_templates_by_index_are_those_of_a_scan(monkeypatch, n):
+    rng = np.random.default_rng(n)
+    bodies = rng.integers(0, 4, (12, n)).astype(np.uint16)[rng.integers(0, 12, 400)]
+    for similar in (0.5, 0.8, 1.0):
+        some = np.where(rng.random(bodies.shape) < 0.12, rng.integers(0, 6, bodies.shape), bodies).astype(np.uint16)
+        some[:, 0] = rng.integers(0, 2)
+        monkeypatch.setattr(line_dedup, "MOST_FORMS", 10**6)
+        scan = line_dedup.cluster(list(some), similar)
+        monkeypatch.setattr(line_dedup, "MOST_FORMS", 1)
+        assert line_dedup.cluster(list(some), similar) == scan
+
+
 # Decontamination
 
 ITEM = "A train leaves Berlin at 9 and travels 120 km in 3 hours while another train leaves later. How fast does the train from Berlin go?"
