@@ -2,9 +2,10 @@
 
 Words are made canonical: lower case without the marks around them, numbers, units and names replaced by typed
 placeholders. Windows of `width` canonical words of the benchmark items are kept by hash; the windows of every text are
-looked up among them. A text holds an item if it holds at least `cover` of the item's windows and the slots agree: each
-value of a placeholder in the item stands for one value in the text, and the other way round. An item is so
-found with other numbers or names too.
+looked up among them. A text holds an item if it holds at least `cover` of the item's windows, or ENOUGH in a row, and the names
+agree: each name in the item stands for one in the text, and the other way round. Numbers and units are free, as two that
+are equal in the item need not be so in the text. An item is so found with other numbers or names too. A capital at the beginning of
+a sentence may be a name's or not, so windows are looked up by both readings.
 
 The benchmark is the query set. It is taken in blocks of bounded size, each broadcast and matched in the same pass over
 the texts; no text is shuffled.
@@ -29,7 +30,7 @@ from pyspark.sql import types as T
 from .kernel import cut_batches, hash_strings, mix, ranges, words_of
 from .toxicity import MARKS
 
-WIDTH, COVER, LEAST, BLOCK_BYTES = 8, 0.5, 4, 16 << 20
+WIDTH, COVER, LEAST, ENOUGH, BLOCK_BYTES = 8, 0.5, 4, 16, 16 << 20
 #: Words that are units of measure.
 UNITS = frozenset(
     "mm cm m km in ft yd mi mg g kg t oz lb lbs ml cl l s sec secs min mins h hr hrs hour hours minute minutes second seconds day days week weeks "
@@ -38,15 +39,17 @@ UNITS = frozenset(
 )
 NUMBER = re.compile(r"[$€£]?[+-]?\d[\d.,:/]*(%|[a-zµ°]{1,3})?")
 WORD, NUM, UNIT, NAME = 0, 1, 2, 3
+SLOT = np.array([0, 0x51ED270B, 0x6C8E9CF5, 0x3C6EF372], np.uint64)
 
 
 class Canonical(NamedTuple):
-    """Canonical words of some texts: hashes, kinds (WORD, NUM, UNIT, NAME) and hashes of the words as they stood."""
+    """Canonical words of some texts: hashes, kinds (WORD, NUM, UNIT, NAME) and hashes of the words as they stood. begins: capitals at the beginning of a sentence, which are taken as no names here."""
 
     offsets: np.ndarray
     hashes: np.ndarray
     kinds: np.ndarray
     raw: np.ndarray
+    begins: np.ndarray
 
 
 def canonical(texts: pa.Array) -> Canonical:
@@ -71,12 +74,24 @@ def canonical(texts: pa.Array) -> Canonical:
         starts[1:] = ends[w.codes[:-1]]
         starts[w.offsets[:-1][w.offsets[:-1] < w.offsets[1:]]] = True
     kinds = kind[w.codes]
+    begins = (kinds == WORD) & capital[w.codes] & starts
     kinds[(kinds == WORD) & capital[w.codes] & ~starts] = NAME
     raws = raw[w.codes]
-    slot = np.array([0, 0x51ED270B, 0x6C8E9CF5, 0x3C6EF372], np.uint64)
-    hashes = np.where(kinds == WORD, raws, slot[kinds])
+    hashes = np.where(kinds == WORD, raws, SLOT[kinds])
     offsets = np.concatenate([[0], np.cumsum(full)])[w.offsets]
-    return Canonical(offsets, hashes[full], kinds[full], raws[full])
+    return Canonical(offsets, hashes[full], kinds[full], raws[full], begins[full])
+
+
+def readings(c: Canonical, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Places and hashes of windows, and whether they are of the reading that takes capitals at the beginning of a sentence as names; of that only windows that differ."""
+    at, h = windows(c, width)
+    names = np.concatenate([[0], np.cumsum(c.begins)])
+    differ = at[names[at + width] > names[at]]
+    other = np.where(c.begins, SLOT[NAME], c.hashes)
+    g = np.zeros(len(differ), np.uint64)
+    for j in range(width):
+        g = g * np.uint64(0x9E3779B97F4A7C15) + other[differ + j]
+    return np.concatenate([at, differ]), np.concatenate([h, mix(g)]), np.repeat([False, True], [len(at), len(differ)])
 
 
 def windows(c: Canonical, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -90,12 +105,12 @@ def windows(c: Canonical, width: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 class Block(NamedTuple):
-    """Some items. tables: by window width the sorted distinct hashes, and for each the (item, place) pairs from first to first of the next."""
+    """Some items. tables: by window width the sorted distinct hashes, and for each the (item, place, reading) from first to first of the next."""
 
     ids: list[int]
     words: Canonical
     totals: np.ndarray
-    tables: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]
+    tables: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]
 
 
 def build_block(ids: list[int], texts: list[str], width: int = WIDTH, least: int = LEAST) -> Block:
@@ -103,13 +118,13 @@ def build_block(ids: list[int], texts: list[str], width: int = WIDTH, least: int
     size = np.diff(c.offsets)
     tables = {}
     for n in sorted({min(width, int(x)) for x in size if x >= least}):
-        at, h = windows(c, n)
+        at, h, named = readings(c, n)
         item = np.searchsorted(c.offsets, at, side="right") - 1
         own = np.minimum(size[item], width) == n
-        at, h, item = at[own], h[own], item[own]
+        at, h, item, named = at[own], h[own], item[own], named[own]
         order = np.argsort(h, kind="stable")
         distinct, first = np.unique(h[order], return_index=True)
-        tables[n] = (distinct, np.append(first, len(order)), item[order], (at - c.offsets[item])[order])
+        tables[n] = (distinct, np.append(first, len(order)), item[order], (at - c.offsets[item])[order], named[order])
     return Block(ids, c, np.maximum(size - width + 1, 1), tables)
 
 
@@ -117,9 +132,9 @@ def find(texts: pa.Array, block: Block, cover: float = COVER) -> list[list[tuple
     """For each text (item id, share of its windows found, whether slot values differ) of the items that it holds."""
     out: list[list[tuple[int, float, bool]]] = [[] for _ in range(len(texts))]
     c = canonical(texts)
-    hits: dict[tuple[int, int], list[tuple[int, int, int]]] = defaultdict(list)
-    for n, (distinct, first, item, place) in block.tables.items():
-        at, h = windows(c, n)
+    hits: dict[tuple[int, int], list[tuple[int, int, int, bool]]] = defaultdict(list)
+    for n, (distinct, first, item, place, named) in block.tables.items():
+        at, h, mine = readings(c, n)
         seen = np.zeros(1 << 20, bool)
         seen[distinct >> np.uint64(44)] = True
         some = np.flatnonzero(seen[h >> np.uint64(44)])
@@ -127,31 +142,38 @@ def find(texts: pa.Array, block: Block, cover: float = COVER) -> list[list[tuple
         right = distinct[k] == h[some]
         some, k = some[right], k[right]
         doc = np.searchsorted(c.offsets, at[some], side="right") - 1
-        for d, p, j in zip(doc.tolist(), at[some].tolist(), k.tolist(), strict=True):
+        for d, p, j, m in zip(doc.tolist(), at[some].tolist(), k.tolist(), mine[some].tolist(), strict=True):
             for x in range(first[j], first[j + 1]):
-                hits[d, int(item[x])].append((int(place[x]), p, n))
+                hits[d, int(item[x])].append((int(place[x]), p, n, m or bool(named[x])))
     for (d, i), found in sorted(hits.items()):
-        if len({x for x, _, _ in found}) < cover * block.totals[i]:
+        least = cover * block.totals[i]
+        if len({x[0] for x in found}) < min(least, ENOUGH):
             continue
-        shift: dict[int, list[tuple[int, int, int]]] = defaultdict(list)
+        shift: dict[int, list[tuple[int, int, int, bool]]] = defaultdict(list)
         for x in found:
             shift[x[1] - x[0]].append(x)
-        # Runs with the same shift are one copy of a passage; each has to agree with itself.
+        # Runs with the same shift are one copy of a passage; each has to agree with itself, by both readings or at least by the plain one.
         places: set[int] = set()
-        differs = False
+        differs, row = False, 0
         for run in shift.values():
-            there, back, fine = {}, {}, True
-            for p, q, n in run:
-                for j in range(n):
-                    a, b = block.words.offsets[i] + p + j, q + j
-                    if block.words.kinds[a] != WORD:
+            for some in (run, [x for x in run if not x[3]]):
+                there, back, fine, changed = {}, {}, True, False
+                for p, q, n, _ in some:
+                    for j in range(n):
+                        a, b = block.words.offsets[i] + p + j, q + j
                         u, v = int(block.words.raw[a]), int(c.raw[b])
-                        fine &= there.setdefault(u, v) == v and back.setdefault(v, u) == u
-            if fine:
-                places |= {p for p, _, _ in run}
-                differs |= any(u != v for u, v in there.items())
+                        changed |= u != v
+                        # A place of like hashes that are no words', or of unlike words, is a slot.
+                        if block.words.kinds[a] == NAME or (block.words.kinds[a] == WORD and u != v):
+                            fine &= there.setdefault(u, v) == v and back.setdefault(v, u) == u
+                if fine:
+                    mine = sorted({x[0] for x in some})
+                    places.update(mine)
+                    differs |= changed
+                    row = max([row, *np.diff(np.flatnonzero(np.diff(mine, prepend=-2, append=1 << 40) != 1)).tolist()])
+                    break
         share = len(places) / block.totals[i]
-        if share >= cover:
+        if places and (share >= cover or row >= ENOUGH):
             out[d].append((block.ids[i], float(share), differs))
     return out
 

@@ -313,6 +313,18 @@ def test_blocks_of_items_and_odd_rows(spark, monkeypatch):
     assert decontam.scan(empty(spark), items(spark, [ITEM])).count() == 0
 
 
+def test_found_with_names_at_sentence_starts_and_free_numbers_and_in_long_quotations(spark):
+    tom = "Tom has 3 apples. Tom buys 5 more apples. How many apples does Tom have now?"
+    twos = "a farmer has 2 white cows and 2 black cows and sells some of them at the old market"
+    long = " ".join(f"part{chr(97 + k // 26)}{chr(97 + k % 26)}" for k in range(60))
+    ann = tom.replace("Tom", "Ann").replace("3", "8").replace("5", "4")
+    wrong = "Ann has 3 apples. Bob buys 5 more apples. How many apples does Eve have now?"
+    docs = documents(spark, [f"So it goes. {ann} That is all.", twos.replace("2 white", "3 white").replace("2 black", "5 black"), "x y " + " ".join(long.split()[20:50]) + " z", " ".join(long.split()[20:40]), wrong])
+    rows = {r.doc_id: r for r in decontam.scan(docs, items(spark, [tom, twos, long])).collect()}
+    assert [rows[k].item_ids for k in range(5)] == [[0], [1], [2], [], []]
+    assert rows[0].reparameterised and rows[1].reparameterised and not rows[2].reparameterised
+
+
 # Toxicity
 
 
