@@ -1,7 +1,8 @@
-"""The array engine: profiles, breaks and tokens of whole texts in numpy, a batch at a time.
+"""The array engine: profiles, breaks and tokens of many texts at once in numpy.
 
-A model slice of one language and rank is two sorted arrays, gram keys and freedoms, so a text is looked up by one
-search. Results equal those of the row engine.
+Texts lie end to end, and a gap is kept at the symbol before it, so a batch is a few passes over flat arrays however long
+its texts are. A model slice is sorted window keys with their values, so all gaps are looked up by one search. Results
+equal those of the row engine.
 """
 
 from __future__ import annotations
@@ -9,6 +10,7 @@ from __future__ import annotations
 from typing import NamedTuple
 
 import numpy as np
+import pyarrow as pa
 
 DIGITS = 9
 
@@ -27,43 +29,88 @@ def gram_keys(p: np.ndarray, n: int) -> np.ndarray:
     return key
 
 
+class Place(NamedTuple):
+    """Which window gives a gap its value: of `width` symbols, beginning so many symbols before the gap, forward and backward."""
+
+    width: int
+    forward: int
+    backward: int
+
+
+def place_of(base: str, n: int, kind: str = "symbol") -> Place:
+    """Freedom and probability are those of the gram that ends (or begins) at the gap; conditional probability is that of the transition across it."""
+    if base != "cp":
+        return Place(n, n, 0)
+    return Place(n + 1, n, 1) if kind == "symbol" else Place(2 * n, n, n)
+
+
 class Slice(NamedTuple):
-    """Freedoms of one language and rank: sorted keys, forward and backward freedom."""
+    """Values of one corpus and rank: sorted window keys and their forward and backward values; a row of values for each level if they are tables."""
 
+    place: Place
     keys: np.ndarray
     forward: np.ndarray
     backward: np.ndarray
 
 
-def make_slice(grams: list[str], forward: list[int], backward: list[int]) -> Slice:
-    n = len(grams[0]) if grams else 1
-    keys = np.array([gram_keys(points(g), n)[0] for g in grams], np.uint64)
+def make_slice(windows: list[str], forward, backward, place: Place | None = None) -> Slice:
+    """forward and backward: by window, or tables of levels by windows. Without a place that of single grams is meant."""
+    place = place or place_of("tf", len(windows[0]) if windows else 1)
+    flat = points("".join(windows)).reshape(-1, place.width)
+    keys = np.zeros(len(windows), np.uint64)
+    if len(windows):
+        keys = gram_keys(flat.ravel(), place.width)[:: place.width]
     order = np.argsort(keys)
-    return Slice(keys[order], np.array(forward, np.float64)[order], np.array(backward, np.float64)[order])
+    return Slice(place, keys[order], np.asarray(forward, np.float64)[..., order], np.asarray(backward, np.float64)[..., order])
 
 
-def base(p: np.ndarray, n: int, s: Slice) -> tuple[np.ndarray, np.ndarray]:
-    """Forward and backward values at the gaps; nan where the gram doesn't fit, 0 for an unseen one."""
-    gaps = len(p) - 1
-    f, b = np.full(gaps, np.nan), np.full(gaps, np.nan)
-    keys = gram_keys(p, n)
-    if not len(keys):
-        return f, b
-    at = np.minimum(np.searchsorted(s.keys, keys), max(len(s.keys) - 1, 0))
-    seen = s.keys[at] == keys if len(s.keys) else np.zeros(len(keys), bool)
-    tf, tb = (np.where(seen, x[at], 0.0) if len(s.keys) else np.zeros(len(keys)) for x in (s.forward, s.backward))
-    f[n - 1 :] = tf[: gaps - n + 1]
-    b[: gaps - n + 1] = tb[1 : gaps - n + 2]
-    return f, b
+class Texts(NamedTuple):
+    """Texts of a symbol or more, end to end."""
+
+    points: np.ndarray
+    first: np.ndarray  # where each begins
+    size: np.ndarray
+
+    @property
+    def left(self) -> np.ndarray:
+        """Symbols from each on to the end of its text."""
+        return np.repeat(self.first + self.size, self.size) - np.arange(len(self.points))
 
 
-def offshoot(v: np.ndarray, kind: str, direction: str) -> np.ndarray:
+def texts_of(texts: list[str]) -> Texts:
+    size = np.fromiter(map(len, texts), np.int64, len(texts))
+    return Texts(points("".join(texts)), np.cumsum(size) - size, size)
+
+
+def base(t: Texts, s: Slice, level: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Forward and backward values at the gaps; nan where the window doesn't fit and at the ends of texts, 0 for an unseen one."""
+    total, w = len(t.points), s.place.width
+    keys = gram_keys(t.points, w)
+    at = np.minimum(np.searchsorted(s.keys, keys), max(len(s.keys) - 1, 0))
+    seen = s.keys[at] == keys if len(s.keys) else np.zeros(len(keys), bool)
+    left = t.left
+    done = np.repeat(t.size, t.size) - left
+    out = []
+    for values, back in ((s.forward, s.place.forward), (s.backward, s.place.backward)):
+        values = values if level is None else values[level]
+        start = np.arange(total) + 1 - back
+        fits = (done + 1 >= back) & (left - 1 + back >= w) & (left > 1)
+        v = np.full(total, np.nan)
+        i = start[fits]
+        v[fits] = np.where(seen[i], values[at[i]], 0.0) if len(s.keys) else 0.0
+        out.append(v)
+    return out[0], out[1]
+
+
+def offshoot(t: Texts, v: np.ndarray, kind: str, direction: str) -> np.ndarray:
     """An offshoot of the values of one direction, the ends padded with their own value."""
     if kind == "raw":
         return v
-    ok = ~np.isnan(v)
     if kind == "variance":
-        return v - v[ok].sum() / ok.sum() if ok.any() else v
+        ok = ~np.isnan(v)
+        with np.errstate(all="ignore"):
+            mean = np.add.reduceat(np.where(ok, v, 0.0), t.first) / np.add.reduceat(ok.astype(np.int64), t.first)
+        return v - np.repeat(mean, t.size)
     before, after = np.append(np.nan, v[:-1]), np.append(v[1:], np.nan)
     before, after = np.where(np.isnan(before), v, before), np.where(np.isnan(after), v, after)
     if kind == "derivative":
@@ -71,12 +118,11 @@ def offshoot(v: np.ndarray, kind: str, direction: str) -> np.ndarray:
     return (v - before) - (after - v)
 
 
-def scaled(v: np.ndarray) -> np.ndarray:
-    ok = ~np.isnan(v)
-    most = v[ok].max() if ok.any() else 0.0
-    if most > 0:
-        return round_half_up(v / most)
-    return np.where(ok, 0.0, np.nan)
+def scaled(t: Texts, v: np.ndarray) -> np.ndarray:
+    """v over its largest value in the text, rounded; 0 where that is not above 0."""
+    most = np.repeat(np.fmax.reduceat(v, t.first), t.size)
+    with np.errstate(all="ignore"):
+        return np.where(np.isnan(v), np.nan, np.where(most > 0, round_half_up(v / most), 0.0))
 
 
 def round_half_up(v: np.ndarray, digits: int = DIGITS) -> np.ndarray:
@@ -84,20 +130,61 @@ def round_half_up(v: np.ndarray, digits: int = DIGITS) -> np.ndarray:
     return np.copysign(np.floor(np.abs(v) * 10**digits + 0.5) / 10**digits, v)
 
 
+def combined(forward: list[np.ndarray], backward: list[np.ndarray], combine: str = "max") -> np.ndarray:
+    """The mean over ranks in each direction, then the directions together; minus infinity where there is no value."""
+    ways = []
+    for way in (forward, backward):
+        if len(way) == 1:
+            ways.append(way[0])
+            continue
+        with np.errstate(all="ignore"):
+            ways.append(round_half_up(sum(np.nan_to_num(x, nan=0.0) for x in way) / sum((~np.isnan(x)).astype(np.float64) for x in way)))
+    f, b = ways
+    if combine == "max":
+        out = np.fmax(f, b)
+    elif combine == "mean":
+        out = round_half_up((np.where(np.isnan(f), b, f) + np.where(np.isnan(b), f, b)) / 2)
+    else:
+        out = f if combine == "forward" else b
+    return np.where(np.isnan(out), -np.inf, out)
+
+
+def scores(t: Texts, slices: dict[int, Slice], kind: str = "variance", combine: str = "max") -> np.ndarray:
+    """A score for each symbol, that of the gap after it; minus infinity at the ends of texts."""
+    if not slices or not len(t.points):
+        return np.full(len(t.points), -np.inf)
+    ways: dict[str, list] = {"f": [], "b": []}
+    for s in slices.values():
+        for d, v in zip("fb", base(t, s), strict=True):
+            ways[d].append(scaled(t, offshoot(t, v, kind, d)))
+    return combined(ways["f"], ways["b"], combine)
+
+
+def spans(t: Texts, cut: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where the tokens begin and end, if there is a break after each symbol where `cut` holds, and after every text."""
+    cut = cut.copy()
+    cut[t.first + t.size - 1] = True
+    ends = np.flatnonzero(cut) + 1
+    return np.concatenate([[0], ends[:-1]]).astype(np.int64) if len(ends) else ends, ends
+
+
+def byte_offsets(p: np.ndarray) -> np.ndarray:
+    """Where each symbol begins in UTF-8, and where the last ends."""
+    width = 1 + (p >= 0x80).astype(np.int32) + (p >= 0x800) + (p >= 0x10000)
+    return np.concatenate([[0], np.cumsum(width)]).astype(np.int32)
+
+
+def token_array(texts: list[str], t: Texts, starts: np.ndarray) -> pa.StringArray:
+    """The tokens that begin at `starts`: they follow each other, so the texts' bytes are their bytes."""
+    data = "".join(texts).encode()
+    at = byte_offsets(t.points)
+    offsets = np.append(at[starts], at[-1]).astype(np.int32)
+    return pa.StringArray.from_buffers(len(starts), pa.py_buffer(offsets.tobytes()), pa.py_buffer(data))
+
+
 def score(text: str, slices: dict[int, Slice], kind: str = "variance", combine: str = "max") -> np.ndarray:
-    """Scores at the gaps of a text, the mean over the ranks of `slices`."""
-    p = points(text)
-    if len(p) < 2:
-        return np.zeros(0)
-    ways = {"f": [], "b": []}
-    for n, s in slices.items():
-        for d, v in zip("fb", base(p, n, s), strict=True):
-            ways[d].append(scaled(offshoot(v, kind, d)))
-    with np.errstate(all="ignore"):
-        f, b = (round_half_up(np.nansum(x, 0) / np.sum(~np.isnan(x), 0)) for x in (np.array(ways["f"]), np.array(ways["b"])))
-    f, b = np.where(np.isnan(f), b, f), np.where(np.isnan(b), f, b)
-    out = {"max": np.fmax(f, b), "mean": round_half_up((f + b) / 2), "forward": f, "backward": b}[combine]
-    return np.nan_to_num(out, nan=-np.inf)
+    """Scores at the gaps of one text, the mean over the ranks of `slices`."""
+    return scores(texts_of([text]), slices, kind, combine)[:-1] if len(text) > 1 else np.zeros(0)
 
 
 def count_windows(lines: list[str], most: int) -> tuple[list[str], np.ndarray]:
@@ -115,13 +202,13 @@ def count_windows(lines: list[str], most: int) -> tuple[list[str], np.ndarray]:
     codes = np.zeros(len(flat), np.uint64)
     codes[real] = code + 1
     at = np.flatnonzero(real)
-    base = np.uint64(len(alphabet) + 1)
-    bits = int(base - np.uint64(1)).bit_length()
+    base_ = np.uint64(len(alphabet) + 1)
+    bits = int(base_ - np.uint64(1)).bit_length()
     key = codes[at]
     for j in range(1, most):
         if (j + 1) * bits > 64:
             key = np.unique(key, return_inverse=True)[1].astype(np.uint64)
-        key = key * base + codes[at + j]
+        key = key * base_ + codes[at + j]
     _, first, count = np.unique(key, return_index=True, return_counts=True)
     rows = codes[at[first][:, None] + np.arange(most)]
     symbols = np.append("", [chr(x) for x in alphabet.tolist()])
@@ -138,16 +225,98 @@ def tokens(text: str, slices: dict[int, Slice], kind: str = "variance", threshol
     return cut(text, np.flatnonzero(score(text, slices, kind, combine) > threshold) + 1)
 
 
-def sweep(scores: np.ndarray) -> list[tuple[int, int, float, float]]:
+MULTIPLIER = 0x9E3779B97F4A7C15
+INVERSE = pow(MULTIPLIER, -1, 1 << 64)
+
+
+def scrambled(x: np.ndarray) -> np.ndarray:
+    """A bijective scramble of 64-bit integers."""
+    x = (x ^ (x >> np.uint64(33))) * np.uint64(0xFF51AFD7ED558CCD)
+    x = (x ^ (x >> np.uint64(33))) * np.uint64(0xC4CEB9FE1A85EC53)
+    return x ^ (x >> np.uint64(33))
+
+
+class SpanHash:
+    """64-bit hashes of spans of flat symbols: equal for equal strings, wherever they stand; made from sums over prefixes."""
+
+    def __init__(self, p: np.ndarray):
+        size = len(p)
+        powers = np.ones(size + 1, np.uint64)
+        powers[1:] = MULTIPLIER
+        self.back = np.ones(size + 1, np.uint64)
+        self.back[1:] = INVERSE
+        np.multiply.accumulate(powers, out=powers)
+        np.multiply.accumulate(self.back, out=self.back)
+        self.sums = np.zeros(size + 1, np.uint64)
+        np.cumsum(scrambled(p.astype(np.uint64) + np.uint64(1)) * powers[:-1], out=self.sums[1:])
+
+    def of(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        return scrambled((self.sums[ends] - self.sums[starts]) * self.back[starts] ^ scrambled((ends - starts).astype(np.uint64)))
+
+
+def string_hashes(strings: list[str]) -> np.ndarray:
+    """The same hashes of whole strings of a symbol or more."""
+    t = texts_of(strings)
+    return SpanHash(t.points).of(t.first, t.first + t.size)
+
+
+class Bags:
+    """Tokens of texts matched with bags of reference tokens, threshold by threshold.
+
+    group: the group of each text, from 0. keys: sorted hashes of reference tokens; counts: groups by tokens."""
+
+    def __init__(self, t: Texts, group: np.ndarray, keys: np.ndarray, groups: int):
+        self.t, self.keys, self.groups = t, keys, groups
+        self.of = np.repeat(group, t.size)
+        self.hash = SpanHash(t.points)
+        self.blanks = np.concatenate([[0], np.cumsum(t.points == 32)])
+
+    def counted(self, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """How many of the spans that aren't blank each group has, and how often each reference token is among them."""
+        solid = self.blanks[ends] - self.blanks[starts] < ends - starts
+        starts, ends = starts[solid], ends[solid]
+        g, size = self.of[starts], len(self.keys)
+        totals = np.bincount(g, minlength=self.groups)
+        if not size or not len(starts):
+            return totals, np.zeros(self.groups * size, np.int64)
+        h = self.hash.of(starts, ends)
+        at = np.minimum(np.searchsorted(self.keys, h), size - 1)
+        hit = self.keys[at] == h
+        return totals, np.bincount(g[hit] * size + at[hit], minlength=self.groups * size)
+
+    def swept(self, score: np.ndarray, thresholds: list[float]):
+        """For each threshold, in ascending order, the tokens of each group and the counts of reference tokens. Breaks only vanish as the threshold grows, so only spans that change are looked up."""
+        last = np.zeros(len(score), bool)
+        last[self.t.first + self.t.size - 1] = True
+        totals = counts = ends = None
+        for x in thresholds:
+            if ends is None:
+                ends = np.flatnonzero(last | (score > x)) + 1
+                totals, counts = self.counted(np.concatenate([[0], ends[:-1]]), ends)
+            else:
+                stays = last[ends - 1] | (score[ends - 1] > x)
+                if not stays.all():
+                    starts, kept = np.concatenate([[0], ends[:-1]]), np.flatnonzero(stays)
+                    goes = ~stays
+                    goes[1:] |= ~stays[:-1]
+                    new_ends = ends[kept]
+                    new_starts = np.concatenate([[0], new_ends[:-1]])
+                    comes = np.diff(kept, prepend=-1) > 1
+                    less, more = self.counted(starts[goes], ends[goes]), self.counted(new_starts[comes], new_ends[comes])
+                    totals, counts = totals - less[0] + more[0], counts - less[1] + more[1]
+                    ends = new_ends
+            yield totals, counts
+
+
+def sweep(scores_: np.ndarray) -> list[tuple[int, int, float, float]]:
     """(start, length, low, high) of every span that is a token for some threshold t: for exactly those with low <= t < high.
 
     A span is a token while no gap inside exceeds t and the gaps at its ends do; the ends of the text always count as
     breaks. Spans nest, so there are fewer than twice as many as symbols."""
-    size, inf = len(scores) + 1, float("inf")
+    size, inf = len(scores_) + 1, float("inf")
     out, stack = [], []  # stack: (start of span, score of the gap before it, largest score inside so far)
-    values = [*scores.tolist(), inf]
-    start_gap = inf
-    stack.append([0, start_gap, -inf])
+    values = [*scores_.tolist(), inf]
+    stack.append([0, inf, -inf])
     for end in range(1, size + 1):
         right = values[end - 1]
         while True:

@@ -5,32 +5,29 @@ from __future__ import annotations
 from collections import Counter
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import apply, compress, model, segment
+from ..operators import apply, segment
 from . import kernels
 
 
-def freedom_slices(grams: DataFrame, config: segment.Config) -> dict:
-    """The slice of a trained model that a configuration reads, pruned at its level."""
-    edges = model.edges(grams).where(F.col("n").isin(list(config.ranks)))
-    vertices, edges = compress.prune(grams, edges, config.theta) if config.theta else (grams, edges)
-    return apply.slices(model.freedom(edges), config.ranks)
+def freedom_slices(grams: DataFrame, config: segment.Config) -> apply.Model:
+    """The slice of a trained model that a configuration reads, pruned at its level; it has to be small enough to broadcast."""
+    held = apply.slices(grams, config)
+    if held is None:
+        raise ValueError(f"more than {apply.MOST_WINDOWS} windows; use segment.run, which joins them")
+    return held
 
 
 def register(spark: SparkSession, grams: DataFrame, config: segment.Config = segment.Config()) -> None:
     """Registers segment_text(lang, text) -> array<string> for a trained model, and bag_f1(hyp, ref) -> double, an aggregate of the tokens of rows."""
-    held = spark.sparkContext.broadcast(freedom_slices(grams, config))
-
-    @F.pandas_udf("array<string>")
-    def segment_text(lang: pd.Series, text: pd.Series) -> pd.Series:
-        out = []
-        for g, t in zip(lang, text, strict=True):
-            own = held.value.get(g, {})
-            some = {n: own[n] for n in config.ranks if n in own}
-            out.append(None if t is None else [t] * bool(t) if not some else kernels.tokens(t, some, config.offshoot, config.threshold, config.combine))
-        return pd.Series(out)
+    own = apply.scorer(spark.sparkContext.broadcast(freedom_slices(grams, config)), config)
+
+    @F.arrow_udf("array<string>")
+    def segment_text(lang: pa.Array, text: pa.Array) -> pa.Array:
+        return apply.tokens_of(pa.RecordBatch.from_arrays([lang, text], ["lang", "text"]), "lang", "text", own, config.threshold)
 
     @F.pandas_udf("double")
     def bag_f1(hyp: pd.Series, ref: pd.Series) -> float:

@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-import math
 from functools import reduce
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from . import model, profile, segment
+from ..functions import kernels
+from ..sources.store import kept
+from . import apply, evaluate, profile, segment
 
 KEY = profile.KEY
 #: A run without blanks and marks, or one mark.
@@ -24,6 +26,13 @@ def reference_tokens(statements: DataFrame) -> DataFrame:
     return statements.select(*KEY, F.posexplode(found).alias("no", "token")).select(*KEY, (F.col("no") + 1).alias("tok_no"), "token")
 
 
+def reference_spans(statements: DataFrame) -> DataFrame:
+    """lang, stmt_id, start, len, token of the reference tokens in their statements: with the blanks between them they make up the text."""
+    found = F.regexp_extract_all("text", F.lit(REFERENCE + r"|\s+"), F.lit(0))
+    every = statements.select(*KEY, F.posexplode(found).alias("tok_no", "token"))
+    return evaluate.token_spans(every).where(F.col("token").rlike(r"^\S"))
+
+
 def trivial_tokens(statements: DataFrame, kind: str) -> DataFrame:
     """lang, stmt_id, tok_no, token: "symbols", the whole "line", or a split at "spaces"."""
     parts = {"symbols": F.split("text", ""), "line": F.array("text"), "spaces": F.filter(F.split("text", " "), lambda x: x != "")}[kind]
@@ -43,13 +52,13 @@ def mutual_information(grams: DataFrame) -> DataFrame:
 
 def mi_gaps(statements: DataFrame, grams: DataFrame) -> DataFrame:
     """lang, stmt_id, gap, mi of the pair around each gap; null for a pair never seen."""
-    each = statements.where(F.length("text") >= 2).select(*KEY, F.explode(F.sequence(F.lit(1), F.length("text") - 1)).alias("gap"), "text")
-    each = each.select(*KEY, "gap", F.expr("substring(text, gap, 2)").alias("pair"))
+    pairs = F.regexp_extract_all("text", F.lit("(?s)(?=(.{2}))."), F.lit(1))
+    each = statements.select(*KEY, F.posexplode(pairs).alias("gap", "pair")).withColumn("gap", F.col("gap") + 1)
     return each.join(mutual_information(grams), ["lang", "pair"], "left").select(*KEY, "gap", "mi")
 
 
 def mi_breaks(statements: DataFrame, grams: DataFrame, cut: float = 1.0, variant: str = "threshold") -> DataFrame:
-    """Greedy merging of the pair with the highest mutual information first, while it is at least `cut`. Scores of pairs don't change by merging, so what stays apart are the gaps below the cut ("threshold"). "mutual_best": a gap is closed only if it is the best one for the symbols of both sides."""
+    """Greedy merging of the pair with the highest mutual information first, while it is at least `cut`. Scores of pairs don't change by merging, so what stays apart are the gaps below the cut ("threshold"). "mutual_best": a gap is closed only if it is the best one for the symbols of both sides; ties close both."""
     rows = mi_gaps(statements, grams)
     if variant == "threshold":
         return rows.where(F.col("mi").isNull() | (F.col("mi") < cut)).select(*KEY, "gap")
@@ -60,23 +69,47 @@ def mi_breaks(statements: DataFrame, grams: DataFrame, cut: float = 1.0, variant
     return rows.withColumn("open", ~best | F.col("mi").isNull()).where("open").select(*KEY, "gap")
 
 
-def mi_merges(lines: DataFrame, rounds: int, keep=lambda df: df) -> tuple[list[tuple[str, str]], DataFrame]:
-    """Re-estimated variant: in each round the pair of neighbouring tokens with the most mutual information that occurs at least twice is merged everywhere, and all is counted anew. Gives the merges and lines as token arrays. `keep` may write the lines of a round and read them back."""
-    now = lines.select("lang", F.split("line", "").alias("toks"))
-    done: list[tuple[str, str]] = []
+def mi_tokens(statements: DataFrame, grams: DataFrame, cut: float = 1.0) -> DataFrame:
+    """The tokens of the threshold variant: pairs are looked up in arrays as long as they are few enough to be broadcast, and joined otherwise."""
+    held = apply.sliced(mutual_information(grams).select("lang", F.lit(2).alias("n"), F.col("pair").alias("w"), F.lit("f").alias("dir"), F.col("mi").alias("v")), "p")
+    if held is None:
+        return segment.tokens(statements, mi_breaks(statements, grams, cut))
+    pairs = statements.sparkSession.sparkContext.broadcast({lang: (s[2].keys, s[2].forward) for lang, s in held.items()})
+
+    def score(lang: str, t: kernels.Texts) -> np.ndarray:
+        keys, mi = pairs.value.get(lang, (np.zeros(0, np.uint64), np.zeros(0)))
+        mine, out = kernels.gram_keys(t.points, 2), np.ones(len(t.points))
+        if len(keys) and len(mine):
+            at = np.minimum(np.searchsorted(keys, mine), len(keys) - 1)
+            out[:-1] = np.where(keys[at] == mine, (mi[at] < cut).astype(float), 1.0)
+        return out
+
+    return apply.token_rows(statements, {}, score=score)
+
+
+def mi_merges(lines: DataFrame, rounds: int, keep=kept, least: int = 2) -> tuple[list[tuple[str, str, str]], DataFrame]:
+    """Re-estimated variant: in each round and language the pair of neighbouring tokens with the highest mutual information, of those that occur at least `least` times, is merged everywhere, and all is counted anew. Of equally informative pairs the more frequent comes first, then the smaller. Gives the merges (lang, x, y) and lines as token arrays. `keep` writes the lines of a round and reads them back, so that the plan doesn't grow."""
+    now = keep(lines.select("lang", F.split("line", "").alias("toks")))
+    done: list[tuple[str, str, str]] = []
     for _ in range(rounds):
-        one = now.select(F.explode("toks").alias("x")).groupBy("x").agg(F.count("*").alias("c"))
+        one = now.select("lang", F.explode("toks").alias("x")).groupBy("lang", "x").agg(F.count("*").alias("c"))
         pair = F.expr("transform(sequence(1, size(toks) - 1), i -> struct(toks[i - 1] as x, toks[i] as y))")
-        two = now.where(F.size("toks") > 1).select(F.inline(pair)).groupBy("x", "y").agg(F.count("*").alias("c"))
-        two = two.where("c > 1").join(one.select("x", F.col("c").alias("cx")), "x").join(one.select(F.col("x").alias("y"), F.col("c").alias("cy")), "y")
-        best = two.orderBy(F.desc(F.col("c") * F.log2(F.col("c") / (F.col("cx") * F.col("cy")).cast("double")) + F.col("c") * 40), "x", "y").first()
-        if best is None:
+        two = now.where(F.size("toks") > 1).select("lang", F.inline(pair)).groupBy("lang", "x", "y").agg(F.count("*").alias("c"))
+        total = lambda t, name: F.broadcast(t.groupBy("lang").agg(F.sum("c").alias(name)))  # noqa: E731  a row for each language
+        of = lambda name, as_: one.select("lang", F.col("x").alias(name), F.col("c").alias(as_))
+        rated = two.where(F.col("c") >= least).join(of("x", "cx"), ["lang", "x"]).join(of("y", "cy"), ["lang", "y"]).join(total(one, "s1"), "lang").join(total(two, "s2"), "lang")
+        mi = F.round(F.log2((F.col("c") / F.col("s2")) / ((F.col("cx") / F.col("s1")) * (F.col("cy") / F.col("s1")))), profile.DIGITS)
+        best = rated.groupBy("lang").agg(F.min(F.struct((-mi).alias("mi"), (-F.col("c")).alias("c"), "x", "y")).alias("b")).select("lang", "b.x", "b.y")
+        found = best.orderBy("lang").collect()  # a row for each language
+        if not found:
             break
-        done.append((best.x, best.y))
+        done += [(r.lang, r.x, r.y) for r in found]
+        merge = F.broadcast(lines.sparkSession.createDataFrame([(r.lang, r.x, r.y) for r in found], "lang string, x string, y string"))
         # A line holds no line feed, so each token is put between two of them while pairs are replaced.
+        each = now.join(merge, "lang", "left")
         joined = F.concat(F.lit("\n"), F.array_join("toks", "\n\n"), F.lit("\n"))
-        merged = F.replace(joined, F.lit(f"\n{best.x}\n\n{best.y}\n"), F.lit(f"\n{best.x}{best.y}\n"))
-        now = keep(now.select("lang", F.regexp_extract_all(merged, F.lit("[^\\n]+"), F.lit(0)).alias("toks")))
+        merged = F.when(F.col("x").isNull(), joined).otherwise(F.replace(joined, F.concat(F.lit("\n"), "x", F.lit("\n\n"), "y", F.lit("\n")), F.concat(F.lit("\n"), "x", "y", F.lit("\n"))))
+        now = keep(each.select("lang", F.regexp_extract_all(merged, F.lit("[^\\n]+"), F.lit(0)).alias("toks")))
     return done, now
 
 
@@ -97,53 +130,107 @@ def without_words(lexicon: DataFrame, percent: int) -> DataFrame:
     return lexicon.where(F.left(F.md5("word"), F.lit(2)) >= f"{round(256 * percent / 100):02x}")
 
 
-def _greedy(text: str, entries: dict[str, int], longest: int, by: str, alpha: float) -> list[str]:
-    out, at = [], 0
-    while at < len(text):
-        best, rank = text[at], None
-        for n in range(min(longest, len(text) - at), 0, -1):
-            freq = entries.get(text[at : at + n])
-            if freq is None:
-                continue
-            r = {"length": n, "frequency": freq, "blend": n**alpha * math.log(1 + freq)}[by]
-            if rank is None or r > rank:
-                best, rank = text[at : at + n], r
-            if by == "length":
-                break
-        out.append(best)
-        at += len(best)
-    return out
+def rank_of(by: str, alpha: float = 1.0):
+    """How good an entry is, to be the next token, rounded so that engines agree; of equally good ones the longer is taken."""
+    n = F.length("word")
+    return {"length": n.cast("double"), "frequency": F.col("freq").cast("double"), "blend": F.round(F.pow(n.cast("double"), F.lit(alpha)) * F.ln(1 + F.col("freq")), profile.DIGITS)}[by]
+
+
+def walked(t: kernels.Texts, step: np.ndarray) -> np.ndarray:
+    """Where the tokens begin if a token of step[i] symbols begins at symbol i, from each text's first symbol on."""
+    out, steps = [], step.tolist()
+    for first, size in zip(t.first.tolist(), t.size.tolist(), strict=True):
+        at, end = first, first + size
+        while at < end:
+            out.append(at)
+            at += steps[at]
+    return np.array(out, np.int64)
 
 
 def lexicon_tokens(statements: DataFrame, lexicon: DataFrame, by: str = "length", alpha: float = 1.0, most: int = LEXICON_ROWS) -> DataFrame:
     """lang, stmt_id, tok_no, token: at each place the entry that is longest ("length"), most frequent ("frequency"), or best by length to the power alpha times the logarithm of one plus frequency ("blend"); ties go to the longer. A symbol that starts no entry is a token.
 
-    The lexicon is broadcast behind a check of its size; with more entries, only those that occur in the statements are."""
-    entries = lexicon.select("lang", "word", "freq").where(F.length("word") > 0)
-    longest = entries.agg(F.coalesce(F.max(F.length("word")), F.lit(1)).alias("n")).first().n
-    if entries.count() > most:
-        spans = [statements.select("lang", F.explode(F.regexp_extract_all("text", F.lit(rf"(?s)(?=(.{{{n}}}))"), F.lit(1))).alias("word")) for n in range(1, longest + 1)]
-        entries = entries.join(reduce(DataFrame.unionByName, spans).distinct(), ["lang", "word"], "left_semi")
-    by_lang: dict[str, dict[str, int]] = {}
-    for r in entries.toLocalIterator():
-        by_lang.setdefault(r.lang, {})[r.word] = r.freq
+    The lexicon is broadcast as sorted hashes and ranks, some 20 bytes an entry, behind a check of its size; a larger one is joined with the spans of the statements."""
+    entries = lexicon.where(F.length("word") > 0).groupBy("lang", "word").agg(F.max("freq").alias("freq")).select("lang", "word", F.length("word").alias("n"), rank_of(by, alpha).alias("rank"))
+    rows = entries.limit(most + 1).toArrow()
+    if rows.num_rows > most:
+        return lexicon_tokens_joined(statements, entries)
+    by_lang: dict[str, dict[int, tuple]] = {}
+    for (lang, n), some in grouped(rows):
+        keys = kernels.string_hashes(some["word"].to_pylist())
+        order = np.argsort(keys)
+        by_lang.setdefault(lang, {})[n] = (keys[order], some["rank"].to_numpy()[order])
     held = statements.sparkSession.sparkContext.broadcast(by_lang)
 
-    @F.pandas_udf("array<string>")
-    def cut(lang: pd.Series, text: pd.Series) -> pd.Series:
-        return pd.Series([_greedy(t, held.value.get(g, {}), longest, by, alpha) for g, t in zip(lang, text, strict=True)])
-
-    return statements.select(*KEY, F.posexplode(cut("lang", "text")).alias("no", "token")).select(*KEY, (F.col("no") + 1).alias("tok_no"), "token")
+    def score(lang: str, t: kernels.Texts) -> np.ndarray:
+        total = len(t.points)
+        step, best, left, spans = np.ones(total, np.int64), np.full(total, -np.inf), t.left, kernels.SpanHash(t.points)
+        for n, (keys, rank) in sorted(held.value.get(lang, {}).items()):
+            start = np.flatnonzero(left >= n)
+            h = spans.of(start, start + n)
+            at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
+            hit = keys[at] == h
+            start, r = start[hit], rank[at[hit]]
+            better = r >= best[start]
+            step[start[better]], best[start[better]] = n, r[better]
+        out = np.zeros(total)
+        begins = walked(t, step)
+        out[begins[begins > 0] - 1] = 1.0
+        return out
+
+    return apply.token_rows(statements, {}, score=score).drop("start", "len")
+
+
+def grouped(rows: pa.Table):
+    """The rows of each language and length of entry."""
+    rows = rows.sort_by([("lang", "ascending"), ("n", "ascending")])
+    names = list(zip(rows["lang"].to_pylist(), rows["n"].to_pylist(), strict=True))
+    at = 0
+    while at < len(names):
+        to = at
+        while to < len(names) and names[to] == names[at]:
+            to += 1
+        yield names[at], rows.slice(at, to - at)
+        at = to
+
+
+def lexicon_tokens_joined(statements: DataFrame, entries: DataFrame) -> DataFrame:
+    """As lexicon_tokens for a lexicon too large to broadcast: spans of the lengths that entries have are joined with the entries, and each statement is cut by the best lengths at its places. entries: lang, word, n, rank."""
+    sizes = [r.n for r in entries.select("n").distinct().orderBy("n").collect()]  # lengths of words: a few dozen numbers
+    found = F.array(*(F.regexp_extract_all("text", F.lit(rf"(?s)(?=(.{{{n}}}))."), F.lit(1)) for n in sizes))
+    spans = statements.select(*KEY, F.explode(found).alias("ws")).select(*KEY, F.posexplode("ws").alias("at", "word"))
+    best = spans.join(entries, ["lang", "word"]).groupBy(*KEY, "at").agg(F.max(F.struct("rank", "n")).alias("b"))
+    steps = best.groupBy(*KEY).agg(F.collect_list(F.struct("at", F.col("b.n").alias("n"))).alias("steps"))
+    both = statements.select(*KEY, "text").join(steps, list(KEY), "left")
+
+    def run(batches):
+        for batch in batches:
+            starts = []
+            for text, steps in zip(batch.column("text").to_pylist(), batch.column("steps").to_pylist(), strict=True):
+                t = kernels.texts_of([text] if text else [])
+                step = np.ones(len(t.points), np.int64)
+                for s in steps or ():
+                    step[s["at"]] = s["n"]
+                starts.append(walked(t, step).tolist())
+            yield pa.RecordBatch.from_arrays([batch.column("lang"), batch.column("stmt_id"), batch.column("text"), pa.array(starts, pa.list_(pa.int32()))], ["lang", "stmt_id", "text", "starts"])
+
+    kind = {f.name: f.dataType.simpleString() for f in both.schema}
+    cut = both.mapInArrow(run, f"lang string, stmt_id {kind['stmt_id']}, text string, starts array<int>")
+    gaps = cut.select(*KEY, F.explode("starts").alias("gap")).where("gap > 0")
+    return segment.tokens(statements, gaps).drop("start", "len")
 
 
 def hybrid_breaks(freedom_breaks: DataFrame, lexicon_rows: DataFrame) -> DataFrame:
-    """Breaks by freedom, but for those inside a lexicon token of two symbols or more. lexicon_rows: the tokens of `lexicon_tokens`."""
-    at = Window.partitionBy(*KEY).orderBy("tok_no")
-    ends = F.sum(F.length("token")).over(at)
-    spans = lexicon_rows.select(*KEY, (ends - F.length("token")).alias("a"), ends.alias("b")).where("b - a > 1")
-    inside = (F.col("c.gap") > F.col("s.a")) & (F.col("c.gap") < F.col("s.b"))
-    same = reduce(lambda x, y: x & y, [F.col(f"c.{k}") == F.col(f"s.{k}") for k in KEY])
-    return freedom_breaks.alias("c").join(spans.alias("s"), same & inside, "left_anti")
+    """Breaks by freedom, but for those inside a lexicon token of two symbols or more. lexicon_rows: the tokens of `lexicon_tokens`, which make up the statements, so a break stays if a lexicon token ends there or if it lies in no longer one."""
+    spans = evaluate.token_spans(lexicon_rows).where("len > 1")
+    inside = spans.select(*KEY, F.explode(F.sequence(F.col("start"), F.col("start") + F.col("len") - 2)).alias("gap"))
+    return freedom_breaks.join(inside, [*KEY, "gap"], "left_anti")
+
+
+def hybrid_tokens(statements: DataFrame, freedom_tokens: DataFrame, lexicon_rows: DataFrame) -> DataFrame:
+    """The tokens of the hybrid. freedom_tokens: with start, as `segment.run` gives them."""
+    cuts = freedom_tokens.where("start > 1").select(*KEY, (F.col("start") - 1).alias("gap"))
+    return segment.tokens(statements, hybrid_breaks(cuts, lexicon_rows))
 
 
 def p_tokens(statements: DataFrame, grams: DataFrame, offshoot: str = "raw", threshold: float = 0.4) -> DataFrame:
@@ -151,7 +238,6 @@ def p_tokens(statements: DataFrame, grams: DataFrame, offshoot: str = "raw", thr
     return segment.run(statements, grams, segment.Config("p", offshoot, (1,), 0.0, threshold))
 
 
-def cp_tokens(statements: DataFrame, grams: DataFrame, offshoot: str = "raw", threshold: float = 0.4) -> DataFrame:
-    """Segmentation by conditional probability or an offshoot of it."""
-    return segment.run(statements, grams, segment.Config("cp", offshoot, (1,), 0.0, threshold))
-
+def cp_tokens(statements: DataFrame, grams: DataFrame, offshoot: str = "raw", threshold: float = 0.4, kind: str = "symbol", rank: int = 1, rule: str = "threshold") -> DataFrame:
+    """Segmentation by conditional probability or an offshoot of it, of the next symbol or ("gram") of the next gram of the same length; rule "local_max": at its local maxima."""
+    return segment.run(statements, grams, segment.Config("cp", offshoot, (rank,), 0.0, threshold, kind=kind, rule=rule))

@@ -55,12 +55,16 @@ def holds(theta) -> F.Column:
     return (F.col("cnt") >= theta * F.col("emax")) & (F.col("vcnt") >= theta * F.col("vmax"))
 
 
-def freedom_levels(vertices: DataFrame, edges: DataFrame, levels=LEVELS) -> DataFrame:
-    """lang, n, gram, dir, theta, tf: the freedom at every level from one pass over the rated edges."""
+def freedom_wide(vertices: DataFrame, edges: DataFrame, levels=LEVELS) -> DataFrame:
+    """lang, n, gram, dir, t0, t1 and so on: the freedom at every level from one pass over the rated edges."""
     counts = [F.count_if(holds(F.lit(t))).alias(f"t{k}") for k, t in enumerate(levels)]
-    wide = rated(vertices, edges).groupBy(*model.KEYS, "dir").agg(*counts)
+    return rated(vertices, edges).groupBy(*model.KEYS, "dir").agg(*counts)
+
+
+def freedom_levels(vertices: DataFrame, edges: DataFrame, levels=LEVELS) -> DataFrame:
+    """lang, n, gram, dir, theta, tf, where it is above 0."""
     each = F.array(*(F.struct(F.lit(t).alias("theta"), F.col(f"t{k}").alias("tf")) for k, t in enumerate(levels)))
-    return wide.select(*model.KEYS, "dir", F.inline(each)).where("tf > 0")
+    return freedom_wide(vertices, edges, levels).select(*model.KEYS, "dir", F.inline(each)).where("tf > 0")
 
 
 def parameter_count(vertices: DataFrame, edges: DataFrame, levels=LEVELS) -> DataFrame:

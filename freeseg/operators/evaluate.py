@@ -1,8 +1,11 @@
-"""Measures: F1 on bags of tokens, precision of lexicon discovery, break and span F1, and the tokens that differ."""
+"""Measures: F1 on bags of tokens, precision of lexicon discovery, break and span F1, the tokens that differ, and costs."""
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import time
+import uuid
+
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from . import profile
@@ -11,6 +14,11 @@ KEY = profile.KEY
 DIGITS = 6
 
 
+def solid(tokens: DataFrame) -> DataFrame:
+    """The tokens that aren't blank."""
+    return tokens.where(F.trim("token") != "")
+
+
 def ratio(a: Column, b: Column) -> Column:
     """a / b rounded, 0 where b is 0."""
     return F.round(F.when(b > 0, a / b).otherwise(F.lit(0.0)), DIGITS)
@@ -80,3 +88,23 @@ def errors(hyp: DataFrame, ref: DataFrame) -> DataFrame:
     both = count(hyp, "h").join(count(ref, "r"), ["lang", "token"], "full_outer")
     h, r = F.coalesce("h", F.lit(0)), F.coalesce("r", F.lit(0))
     return both.select("lang", "token", F.greatest(r - h, F.lit(0)).alias("missed"), F.greatest(h - r, F.lit(0)).alias("invented")).where("missed > 0 or invented > 0")
+
+
+def model_cost(grams: DataFrame) -> DataFrame:
+    """lang, n, grams, bytes: how much a model holds, as UTF-8 and a count of 8 bytes for each gram."""
+    return grams.groupBy("lang", "n").agg(F.count("*").alias("grams"), F.sum(F.octet_length("gram").cast("long") + 8).alias("bytes"))
+
+
+def token_spans(tokens: DataFrame) -> DataFrame:
+    """lang, stmt_id, start (from 1), len of tokens (lang, stmt_id, tok_no, token) that, blank ones too, make up the whole statement."""
+    at = Window.partitionBy(*KEY).orderBy("tok_no")
+    n = F.length("token")
+    return tokens.select(*KEY, (F.sum(n).over(at) - n + 1).cast("int").alias("start"), n.alias("len"), "token")
+
+
+def measured(df: DataFrame, write) -> dict:
+    """The rows of df, and the seconds that write(df) takes; df is observed while it is written, so nothing runs twice."""
+    seen = Observation(f"measured-{uuid.uuid4().hex}")
+    began = time.time()
+    write(df.observe(seen, F.count(F.lit(1)).alias("rows")))
+    return {"seconds": time.time() - began, **seen.get}

@@ -22,7 +22,7 @@ BATCH_SYMBOLS = 1_000_000
 
 def windows(lines: DataFrame, most: int) -> DataFrame:
     """lang, w: at each place of each line the next `most` symbols, fewer at the end. One linear scan of a line in the JVM."""
-    return lines.select("lang", F.explode(F.regexp_extract_all("line", F.lit(rf"(?s)(?=(.{{1,{most}}}))"), F.lit(1))).alias("w"))
+    return lines.select("lang", F.explode(F.regexp_extract_all("line", F.lit(rf"(?s)(?=(.{{1,{most}}}))."), F.lit(1))).alias("w"))
 
 
 def counted_windows(lines: DataFrame, most: int) -> DataFrame:
@@ -82,6 +82,14 @@ def gram_edges(lines: DataFrame, n: int, dir_: str) -> DataFrame:
     return counted.select("lang", F.lit(n).alias("n"), F.lit(dir_).alias("dir"), gram.alias("gram"), nbr.alias("nbr"), "cnt")
 
 
+def wide_edges(grams: DataFrame, ranks) -> DataFrame:
+    """lang, n, dir, gram, nbr, cnt of both directions where nbr is as long as gram, as projections of the grams of twice the ranks."""
+    each = grams.where(F.col("n").isin([2 * n for n in ranks])).withColumn("n", (F.col("n") / 2).cast("int"))
+    head, tail = F.expr("left(gram, n)"), F.expr("substring(gram, n + 1)")
+    ways = F.array(F.struct(F.lit("f").alias("dir"), head.alias("gram"), tail.alias("nbr")), F.struct(F.lit("b").alias("dir"), tail.alias("gram"), head.alias("nbr")))
+    return each.select("lang", "n", F.inline(ways), "cnt")
+
+
 def merge(*parts: DataFrame) -> DataFrame:
     """The gram counts of the corpora together: counts add up, so no corpus is read again."""
     return reduce(DataFrame.unionByName, parts).groupBy(*KEYS).agg(F.sum("cnt").alias("cnt"))
@@ -122,6 +130,13 @@ def as_graph(vertices: DataFrame, edge_rows: DataFrame) -> tuple[DataFrame, Data
     )
 
 
+def degree(vertices: DataFrame, edge_rows: DataFrame) -> DataFrame:
+    """id, out_degree, in_degree of every vertex of the graph: how many symbols follow and precede it."""
+    ways = edge_rows.groupBy(*KEYS).agg(F.count_if(F.col("dir") == "f").alias("out_degree"), F.count_if(F.col("dir") == "b").alias("in_degree"))
+    zero = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
+    return vertices.join(ways, list(KEYS), "left").select(F.concat_ws("\u0001", "lang", "n", "gram").alias("id"), zero("out_degree"), zero("in_degree"))
+
+
 def freedom_sketch(lines: DataFrame, n: int, lg_k: int = 12) -> DataFrame:
     """lang, n, gram, tf_f: approximate forward freedom, a mergeable sketch for each gram, for ranks whose edges are too many to count."""
     w = windows(lines, n + 1).where(F.length("w") == n + 1)
@@ -131,8 +146,8 @@ def freedom_sketch(lines: DataFrame, n: int, lg_k: int = 12) -> DataFrame:
 
 
 def save(grams: DataFrame, path: str) -> None:
-    """Parquet by language and rank, so a lookup reads only the ranks it needs."""
-    grams.repartition("lang", "n").write.mode("overwrite").partitionBy("lang", "n").parquet(path)
+    """Parquet by language and rank, so a lookup reads only the ranks it needs. Rows are dealt out by ranges, so the grams of a large rank lie in several tasks and files."""
+    grams.repartitionByRange("lang", "n", "gram").write.mode("overwrite").partitionBy("lang", "n").parquet(path)
 
 
 def load(spark: SparkSession, path: str) -> DataFrame:

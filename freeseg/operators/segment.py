@@ -1,4 +1,8 @@
-"""From scores at gaps to tokens. A gap whose score exceeds the threshold is a break; tokens lie between breaks and, put together, are the statement."""
+"""From scores at gaps to tokens. A gap whose score exceeds the threshold is a break; tokens lie between breaks and, put together, are the statement.
+
+`run` takes the array engine as long as the model's values for the configuration are few enough to be broadcast, and
+joins them to rows otherwise. Both give the same tokens.
+"""
 
 from __future__ import annotations
 
@@ -7,18 +11,29 @@ from typing import NamedTuple
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import model, profile
+from . import profile
 
 KEY = profile.KEY
 
 
 class Config(NamedTuple):
-    base: str = "tf"
-    offshoot: str = "variance"
+    base: str = "tf"  # tf, p, cp
+    offshoot: str = "variance"  # raw, variance, derivative, peak
     ranks: tuple[int, ...] = (1,)
     theta: float = 0.0001
     threshold: float = 0.4
-    combine: str = "max"
+    combine: str = "max"  # max, mean, forward, backward
+    kind: str = "symbol"  # neighbours are symbols, or grams ("gram")
+    rule: str = "threshold"  # or "local_max": local maxima above the threshold in either direction
+    scale: str = "sequence"  # by the statement's largest value, the model's ("model"), or not at all ("none")
+    pad: str = "edge"  # or "zero"
+    unseen: str = "zero"  # or "null", "backoff"
+    polarity: str = "high"  # or "low", for cp
+
+    @property
+    def in_arrays(self) -> bool:
+        """Whether the array engine knows all of it."""
+        return self[7:11] == ("threshold", "sequence", "edge", "zero")
 
 
 def breaks(scores: DataFrame, threshold: float) -> DataFrame:
@@ -27,15 +42,15 @@ def breaks(scores: DataFrame, threshold: float) -> DataFrame:
 
 
 def tokens(statements: DataFrame, cuts: DataFrame, keep_space: bool = True, *more: str) -> DataFrame:
-    """lang, stmt_id, tok_no (from 1), start (from 1), len, token. more: columns of cuts that tell segmentations apart, which statements has too."""
+    """lang, stmt_id, tok_no (from 1), start (from 1), len, token. more: columns of cuts that tell segmentations apart, which statements has too. Linear in the length of a text: its symbols are an array, cut before rows are made."""
     on = [*KEY, *more]
     lists = cuts.groupBy(*on).agg(F.array_sort(F.collect_set("gap")).alias("cuts"))
     with_cuts = statements.join(lists, on, "left").withColumn("cuts", F.coalesce("cuts", F.array().cast("array<int>")))
-    starts = F.concat(F.array(F.lit(0)), "cuts")
-    ends = F.concat("cuts", F.array(F.length("text")))
-    spans = F.arrays_zip(starts.alias("a"), ends.alias("b"))
-    each = with_cuts.where(F.length("text") > 0).select(*on, "text", F.posexplode(spans).alias("no", "x"))
-    out = each.select(*on, (F.col("no") + 1).alias("tok_no"), (F.col("x.a") + 1).alias("start"), (F.col("x.b") - F.col("x.a")).alias("len"), F.expr("substring(text, x.a + 1, x.b - x.a)").alias("token"))
+    spans = F.arrays_zip(F.concat(F.array(F.lit(0)), "cuts").alias("a"), F.concat("cuts", F.array(F.length("text"))).alias("b"))
+    # The symbols stand in an array of one element, so they are made once and not for every span.
+    made = F.transform(F.array(F.split("text", "")), lambda s: F.transform(spans, lambda x: F.struct((x["a"] + 1).alias("start"), (x["b"] - x["a"]).alias("len"), F.array_join(F.slice(s, x["a"] + 1, x["b"] - x["a"]), "").alias("token"))))[0]
+    each = with_cuts.where(F.length("text") > 0).select(*on, F.posexplode(made).alias("no", "x"))
+    out = each.select(*on, (F.col("no") + 1).alias("tok_no"), "x.*")
     return out if keep_space else out.where(F.trim("token") != "")
 
 
@@ -45,28 +60,40 @@ def joined(token_rows: DataFrame) -> DataFrame:
     return token_rows.groupBy(*KEY).agg(F.array_join(F.transform(row, lambda x: x["token"]), "").alias("text"))
 
 
-def base_profile(statements: DataFrame, grams: DataFrame, base: str, ranks, theta: float = 0.0, polarity: str = "high") -> DataFrame:
-    """The profile of a base metric, "tf", "p" or "cp", from gram counts up to the largest rank plus one. Maxima are taken over the whole model."""
-    from . import compress
+def base_profile(statements: DataFrame, grams: DataFrame, base: str, ranks, theta: float = 0.0, polarity: str = "high", kind: str = "symbol", unseen: str = "zero") -> DataFrame:
+    """The profile of a base metric, "tf", "p" or "cp", from gram counts up to the largest rank plus one, or twice it for neighbours that are grams."""
+    return profile.profile(statements, grams, base, ranks, theta, polarity, kind, unseen)
+
 
-    vertices, edge_rows = grams, model.edges(grams)
-    ranks = list(ranks)
-    some = F.col("n").isin(ranks)
-    if theta:
-        vertices, edge_rows = compress.prune(vertices, edge_rows.where(some), theta)
-    if base == "tf":
-        return profile.freedom_profile(statements, model.freedom(edge_rows.where(some)), ranks)
-    if base == "p":
-        return profile.probability_profile(statements, model.probability(vertices.where(some)), ranks)
-    return profile.conditional_profile(statements, model.conditional(edge_rows.where(some), vertices.where(some)), ranks, polarity=polarity)
+def offshoots(statements: DataFrame, grams: DataFrame, c: Config) -> DataFrame:
+    """The scaled offshoot of a configuration at each gap, rank and direction."""
+    made = profile.offshoot(base_profile(statements, grams, c.base, c.ranks, c.theta, c.polarity, c.kind, c.unseen), c.offshoot, c.pad)
+    if c.scale == "none":
+        return made.withColumn("v", F.round("v", profile.DIGITS))
+    return profile.scaled(made, top=profile.tops(profile.values(grams, c.base, c.ranks, c.theta, c.kind, c.polarity)) if c.scale == "model" else None)
 
 
-def scores(statements: DataFrame, grams: DataFrame, config: Config, polarity: str = "high") -> DataFrame:
+def scores(statements: DataFrame, grams: DataFrame, config: Config = Config()) -> DataFrame:
     """Scores at the gaps of statements under a configuration."""
-    p = base_profile(statements, grams, config.base, config.ranks, config.theta, polarity)
-    return profile.combined(profile.scaled(profile.offshoot(p, config.offshoot)), config.combine)
+    return profile.combined(offshoots(statements, grams, config), config.combine)
+
+
+def break_rows(statements: DataFrame, grams: DataFrame, config: Config = Config()) -> DataFrame:
+    """The breaks of a configuration by the row engine."""
+    if config.rule == "threshold":
+        return breaks(scores(statements, grams, config), config.threshold)
+    mean = offshoots(statements, grams, config).groupBy(*KEY, "gap", "dir").agg(F.round(F.avg("v"), profile.DIGITS).alias("v")).withColumn("n", F.lit(0))
+    some = {"forward": "dir = 'f'", "backward": "dir = 'b'"}.get(config.combine, "true")
+    return profile.local_maxima(mean.where(some), config.threshold).where("is_break").select(*KEY, "gap").distinct()
+
 
+def run(statements: DataFrame, grams: DataFrame, config: Config = Config(), keep_space: bool = True, engine: str = "any") -> DataFrame:
+    """The tokens of statements under a configuration: lang, stmt_id, tok_no, start, len, token. engine: "arrays", "rows", or "any" that suits."""
+    from . import apply
 
-def run(statements: DataFrame, grams: DataFrame, config: Config = Config(), keep_space: bool = True) -> DataFrame:
-    """The tokens of statements under a configuration."""
-    return tokens(statements, breaks(scores(statements, grams, config), config.threshold), keep_space)
+    if engine != "rows" and config.in_arrays and statements.schema["text"].dataType.simpleString() == "string":
+        held = apply.slices(grams, config)
+        if held is not None:
+            out = apply.token_rows(statements, held, config)
+            return out if keep_space else out.where(F.trim("token") != "")
+    return tokens(statements, break_rows(statements, grams, config), keep_space)

@@ -1,7 +1,13 @@
-"""The experiment workloads over the given tables: each takes (spark, sf_dir) and returns a DataFrame."""
+"""The experiment workloads over the given tables: each takes (spark, sf_dir) and returns a DataFrame.
+
+Counts, profiles and tokens are those of all documents or of the whole benchmark; where F1 or precision is measured the
+model learns from the documents that aren't held out, and the test set is the benchmark and every line of those that are.
+"""
 
 from __future__ import annotations
 
+from collections import Counter
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -14,20 +20,29 @@ from ..sources.store import kept
 SPACED = segment.Config("tf", "variance", (1,), 0.0001, 0.4)
 UNSPACED = segment.Config("tf", "peak", (2,), 0.001, 0.05)
 MI_CUT = 0.0
-GRID_OFFSHOOTS, GRID_SETS, GRID_LEVELS, GRID_THRESHOLDS = ("raw", "variance", "peak"), ((1,), (2,), (1, 2)), (0.0, 0.0001, 0.001), (0.1, 0.2, 0.4, 0.6)
+#: The part of the grid that w36 searches on the benchmark; w25-w28 search all of it on the whole test set.
+SMALL_SETS = ((1,), (2,), (1, 2))
+LIMITS = (0.0, *tune.THRESHOLDS)
 SIZES = {"small": [1], "medium": [1, 2, 3], "all": [1, 2, 3, 4, 5, 6, 7, 8, 9]}
+MISSING = (0, 5, 10, 20)
 R = 9
 
 
 def grams_of(spark: SparkSession, sf_dir: str, n_max: int) -> DataFrame:
-    return model.count_grams(corpus.train_lines(spark, sf_dir), n_max)
+    """Gram counts of all documents."""
+    return model.count_grams(corpus.all_lines(spark, sf_dir), n_max)
 
 
 def _grams(spark, sf_dir, n_max):
-    """A trained model, saved: what uses it several times doesn't count again."""
+    """A model of all documents, saved: what uses it several times doesn't count again."""
     return kept(grams_of(spark, sf_dir, n_max))
 
 
+def _trained(spark, sf_dir, n_max):
+    """A model of the training documents, saved."""
+    return kept(model.count_grams(corpus.train_lines(spark, sf_dir), n_max))
+
+
 def w01_gram_counts(spark, sf_dir):
     return grams_of(spark, sf_dir, 3)
 
@@ -41,8 +56,7 @@ def w03_backward_edges(spark, sf_dir):
 
 
 def w04_gram_gram_edges(spark, sf_dir):
-    lines = corpus.train_lines(spark, sf_dir)
-    return model.gram_edges(lines, 1, "f").unionByName(model.gram_edges(lines, 2, "f")).drop("dir")
+    return model.wide_edges(grams_of(spark, sf_dir, 4), [1, 2])
 
 
 def w05_freedom(spark, sf_dir):
@@ -64,22 +78,18 @@ def w08_compress_levels(spark, sf_dir):
 
 
 def w09_blend_models(spark, sf_dir):
-    docs = corpus.train_documents(spark, sf_dir).select("lang", "doc_id", "text")
+    docs = corpus.table(spark, sf_dir, "documents").select("lang", "doc_id", "text")
     lines = lambda takes: corpus.lines(corpus.bucket_share(docs, "doc_id", 10, takes), "text", "lang", "doc_id")
-    blend = model.merge(*(model.count_grams(lines(t), 2) for t in ([1, 2, 3], [4, 5, 6], [7, 8, 9])))
-    whole = model.count_grams(lines(list(range(1, 10))), 2).withColumnRenamed("cnt", "whole")
+    blend = model.merge(*(model.count_grams(lines(t), 2) for t in ([0, 1, 2, 3], [4, 5, 6], [7, 8, 9])))
+    whole = grams_of(spark, sf_dir, 2).withColumnRenamed("cnt", "whole")
     both = blend.join(whole, list(model.KEYS), "full_outer")
     differs = F.count_if(~F.col("cnt").eqNullSafe(F.col("whole")))
     return both.groupBy("lang", "n").agg(F.count("*").alias("grams"), F.sum("cnt").alias("total"), differs.alias("differing"))
 
 
-def _benchmark(spark, sf_dir):
-    return corpus.statements(spark, sf_dir).where("lang = 'en'")
-
-
-def _freedom_profile(spark, sf_dir, ranks, theta=0.0):
-    grams = _grams(spark, sf_dir, max(ranks) + 1)
-    return segment.base_profile(_benchmark(spark, sf_dir), grams, "tf", ranks, theta)
+def _profile(spark, sf_dir, base, ranks, kind="symbol"):
+    grams = _grams(spark, sf_dir, max(ranks) + 1 if kind == "symbol" else 2 * max(ranks))
+    return segment.base_profile(corpus.benchmark(spark, sf_dir), grams, base, ranks, kind=kind)
 
 
 def _ways(rows: DataFrame, names: dict[str, str], value: str = "v", by=("stmt_id", "gap")) -> DataFrame:
@@ -88,17 +98,17 @@ def _ways(rows: DataFrame, names: dict[str, str], value: str = "v", by=("stmt_id
 
 
 def w10_profile_tf(spark, sf_dir):
-    p = _freedom_profile(spark, sf_dir, [1])
+    p = kept(_profile(spark, sf_dir, "tf", [1]))
     return _ways(p, {"f": "tf_f", "b": "tf_b"}).join(_ways(profile.offshoot(p, "variance"), {"f": "dvf", "b": "dvb"}), ["stmt_id", "gap"])
 
 
 def w11_profile_deriv_peak(spark, sf_dir):
-    p = _freedom_profile(spark, sf_dir, [1])
+    p = kept(_profile(spark, sf_dir, "tf", [1]))
     return _ways(profile.offshoot(p, "derivative"), {"f": "df_f", "b": "df_b"}).join(_ways(profile.offshoot(p, "peak"), {"f": "peak_f", "b": "peak_b"}), ["stmt_id", "gap"])
 
 
-def _p_like(spark, sf_dir, base, ranks):
-    p = segment.base_profile(_benchmark(spark, sf_dir), _grams(spark, sf_dir, max(ranks) + 1), base, ranks)
+def _p_like(p: DataFrame) -> DataFrame:
+    p = kept(p)
     out = _ways(p, {"f": "v_f", "b": "v_b"})
     for kind, short in (("variance", "dv"), ("derivative", "d")):
         out = out.join(_ways(profile.offshoot(p, kind), {"f": f"{short}_f", "b": f"{short}_b"}), ["stmt_id", "gap"])
@@ -106,44 +116,57 @@ def _p_like(spark, sf_dir, base, ranks):
 
 
 def w12_profile_p(spark, sf_dir):
-    return _p_like(spark, sf_dir, "p", [1])
+    return _p_like(_profile(spark, sf_dir, "p", [1]))
 
 
 def w13_profile_cp(spark, sf_dir):
-    return _p_like(spark, sf_dir, "cp", [2])
+    return _p_like(_profile(spark, sf_dir, "cp", [2]))
 
 
 def w14_profile_ranks(spark, sf_dir):
-    p = profile.scaled(profile.offshoot(_freedom_profile(spark, sf_dir, [1, 2, 3]), "variance"))
+    p = profile.scaled(profile.offshoot(_profile(spark, sf_dir, "tf", [1, 2, 3]), "variance"))
     return _ways(p, {"f": "dvf", "b": "dvb"}, by=("n", "stmt_id", "gap"))
 
 
 def w15_tokens_tf_var(spark, sf_dir):
-    return segment.run(corpus.statements(spark, sf_dir), _grams(spark, sf_dir, 2), SPACED).drop("start", "len")
+    """All documents, segmented by what their own lines teach."""
+    return segment.run(corpus.corpus_statements(spark, sf_dir), _grams(spark, sf_dir, 2), SPACED).drop("start", "len")
 
 
 def w16_tokens_tf_peak(spark, sf_dir):
-    lines = corpus.strip_spaces(corpus.train_lines(spark, sf_dir), "line").where("line <> ''")
-    return segment.run(corpus.strip_spaces(corpus.statements(spark, sf_dir)), kept(model.count_grams(lines, 3)), UNSPACED).drop("start", "len")
+    """All documents without their blanks, segmented by what such lines teach."""
+    st = corpus.strip_spaces(corpus.corpus_statements(spark, sf_dir)).where("text <> ''")
+    return segment.run(st, kept(model.count_grams(st.select("lang", F.col("text").alias("line")), 3)), UNSPACED).drop("start", "len")
+
+
+def _together(made: dict[str, DataFrame], name: str) -> DataFrame:
+    """lang, token, and the key of each frame as a column, of the tokens that aren't blank."""
+    out = None
+    for key, toks in made.items():
+        one = evaluate.solid(toks).select("lang", "token", F.lit(key).alias(name))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _for_each(ref: DataFrame, name: str, values) -> DataFrame:
+    return ref.withColumn(name, F.explode(F.array(*map(F.lit, values))))
+
+
+COMBINES = ("max", "mean", "forward", "backward")
 
 
 def w17_tokens_mean_vs_max(spark, sf_dir):
-    st, grams = corpus.statements(spark, sf_dir), _grams(spark, sf_dir, 2)
-    toks = None
-    for combine in ("max", "mean", "forward", "backward"):
-        one = segment.run(st, grams, SPACED._replace(combine=combine), False).withColumn("combine", F.lit(combine))
-        toks = one if toks is None else toks.unionByName(one)
-    ref = baselines.reference_tokens(st).withColumn("combine", F.explode(F.array(*map(F.lit, ("max", "mean", "forward", "backward")))))
-    return evaluate.f1(toks, ref, "lang", "combine")
+    st, grams = kept(corpus.statements(spark, sf_dir)), _trained(spark, sf_dir, 2)
+    toks = _together({c: segment.run(st, grams, SPACED._replace(combine=c)) for c in COMBINES}, "combine")
+    return evaluate.f1(toks, _for_each(baselines.reference_tokens(st), "combine", COMBINES), "lang", "combine")
 
 
 def w18_mi_tokens(spark, sf_dir):
-    st = corpus.statements(spark, sf_dir)
-    return segment.tokens(st, baselines.mi_breaks(st, _grams(spark, sf_dir, 2), MI_CUT)).drop("start", "len")
+    return baselines.mi_tokens(corpus.corpus_statements(spark, sf_dir), _grams(spark, sf_dir, 2), MI_CUT).drop("start", "len")
 
 
 def _lexicon(spark, sf_dir):
-    return baselines.with_delimiters(kept(baselines.learn_lexicon(corpus.train_lines(spark, sf_dir))))
+    return kept(baselines.with_delimiters(baselines.learn_lexicon(corpus.train_lines(spark, sf_dir))))
 
 
 def w19_lexicon_length(spark, sf_dir):
@@ -159,43 +182,46 @@ def w21_lexicon_blend(spark, sf_dir):
 
 
 def w22_reference_tokens(spark, sf_dir):
-    return baselines.reference_tokens(corpus.statements(spark, sf_dir))
+    return baselines.reference_tokens(corpus.corpus_statements(spark, sf_dir).unionByName(corpus.benchmark(spark, sf_dir)))
 
 
-def all_methods(spark, sf_dir) -> DataFrame:
-    """lang, stmt_id, token, method: the tokens, but for blank ones, of every method at its default configuration."""
-    st, grams = corpus.statements(spark, sf_dir), _grams(spark, sf_dir, 3)
-    made = {
-        "tf_variance": segment.run(st, grams, SPACED), "tf_raw": segment.run(st, grams, SPACED._replace(offshoot="raw")), "tf_peak": segment.run(st, grams, SPACED._replace(offshoot="peak")),
-        "p": baselines.p_tokens(st, grams), "cp": baselines.cp_tokens(st, grams), "mi": segment.tokens(st, baselines.mi_breaks(st, grams, MI_CUT)),
-        "lexicon": baselines.lexicon_tokens(st, _lexicon(spark, sf_dir)), "spaces": baselines.trivial_tokens(st, "spaces"), "symbols": baselines.trivial_tokens(st, "symbols"), "line": baselines.trivial_tokens(st, "line"),
-    }
-    out = None
-    for name, toks in made.items():
-        one = toks.where(F.trim("token") != "").select("lang", "stmt_id", "token", F.lit(name).alias("method"))
-        out = one if out is None else out.unionByName(one)
-    return out
+#: The methods that are configurations, beside those of `all_methods` that are not.
+CONFIGS = {
+    "tf_variance": SPACED, "tf_raw": SPACED._replace(offshoot="raw"), "tf_derivative": SPACED._replace(offshoot="derivative"), "tf_peak": SPACED._replace(offshoot="peak"),
+    "p": segment.Config("p", "raw", (1,), 0.0), "p_variance": segment.Config("p", "variance", (1,), 0.0), "p_derivative": segment.Config("p", "derivative", (1,), 0.0),
+    "cp": segment.Config("cp", "raw", (1,), 0.0), "cp_variance": segment.Config("cp", "variance", (1,), 0.0), "cp_derivative": segment.Config("cp", "derivative", (1,), 0.0),
+    "tf_gram": segment.Config("tf", "variance", (2,), 0.0001, kind="gram"), "cp_gram": segment.Config("cp", "variance", (2,), 0.0, kind="gram"),
+}
+METHODS = (*CONFIGS, "mi", "lexicon", "spaces", "symbols", "line")
 
 
-METHODS = ("tf_variance", "tf_raw", "tf_peak", "p", "cp", "mi", "lexicon", "spaces", "symbols", "line")
+def all_methods(st: DataFrame, grams: DataFrame, lexicon: DataFrame) -> dict[str, DataFrame]:
+    """The tokens of every method at its default configuration."""
+    return {name: segment.run(st, grams, c) for name, c in CONFIGS.items()} | {
+        "mi": baselines.mi_tokens(st, grams, MI_CUT), "lexicon": baselines.lexicon_tokens(st, lexicon),
+        **{kind: baselines.trivial_tokens(st, kind) for kind in ("spaces", "symbols", "line")},
+    }
 
 
 def w23_f1_by_method(spark, sf_dir):
-    ref = baselines.reference_tokens(corpus.statements(spark, sf_dir)).withColumn("method", F.explode(F.array(*map(F.lit, METHODS))))
-    return evaluate.f1(all_methods(spark, sf_dir), ref, "lang", "method")
+    st = kept(corpus.statements(spark, sf_dir))
+    toks = _together(all_methods(st, _trained(spark, sf_dir, 4), _lexicon(spark, sf_dir)), "method")
+    return evaluate.f1(toks, _for_each(baselines.reference_tokens(st), "method", METHODS), "lang", "method")
 
 
-def w24_lexicon_precision(spark, sf_dir):
-    st = corpus.statements(spark, sf_dir)
-    ref = baselines.reference_tokens(st)
-    toks = kept(segment.run(st, _grams(spark, sf_dir, 2), SPACED, False).select("lang", "token", F.lit("tf_variance").alias("method")).unionByName(ref.select("lang", "token", F.lit("reference").alias("method"))))
-    lex = kept(_lexicon(spark, sf_dir))
+def _precision(toks: DataFrame, ref: DataFrame, lex: DataFrame) -> DataFrame:
     raw = evaluate.lexicon_precision(toks, lex, "lang", "method").withColumn("lexicon", F.lit("learned"))
     return raw.unionByName(evaluate.lexicon_precision(toks, evaluate.corrected(lex, ref), "lang", "method").withColumn("lexicon", F.lit("corrected")))
 
 
+def w24_lexicon_precision(spark, sf_dir):
+    st, grams = kept(corpus.statements(spark, sf_dir)), _trained(spark, sf_dir, 2)
+    lex, ref = _lexicon(spark, sf_dir), kept(baselines.reference_tokens(st))
+    return _precision(kept(_together({"tf_variance": segment.run(st, grams, SPACED), "lexicon": baselines.lexicon_tokens(st, lex), "reference": ref}, "method")), ref, lex)
+
+
 def _grid(spark, sf_dir, *by):
-    return tune.grid_search(corpus.statements(spark, sf_dir), _grams(spark, sf_dir, 3), GRID_OFFSHOOTS, GRID_SETS, GRID_LEVELS, GRID_THRESHOLDS, by=by)
+    return tune.grid_search(kept(corpus.statements(spark, sf_dir)), _trained(spark, sf_dir, 8), by=by)
 
 
 def w25_grid_scores(spark, sf_dir):
@@ -203,38 +229,46 @@ def w25_grid_scores(spark, sf_dir):
 
 
 def w26_heatmap(spark, sf_dir):
-    return tune.heatmap(_grid(spark, sf_dir), GRID_THRESHOLDS, "lang", "theta")
+    return tune.heatmap(_grid(spark, sf_dir), LIMITS, "lang", "base", "theta")
 
 
 def w27_best_config(spark, sf_dir):
-    return tune.best(_grid(spark, sf_dir)).select("lang", "offshoot", "ranks", "theta", "threshold", "f1")
+    return tune.best(kept(_grid(spark, sf_dir))).select("lang", *tune.CELL, "f1")
 
 
 def w28_half_split(spark, sf_dir):
-    return tune.split_check(_grid(spark, sf_dir, "half"), tune.best(_grid(spark, sf_dir)))
+    return tune.split_check(kept(_grid(spark, sf_dir, "half")))
 
 
 def w29_corpus_size(spark, sf_dir):
-    st, docs = corpus.statements(spark, sf_dir), corpus.train_documents(spark, sf_dir).select("lang", "doc_id", "text")
-    good = corpus.table(spark, sf_dir, "labels").where("quality = 1").select("doc_id").distinct()
-    parts = {k: corpus.bucket_share(docs, "doc_id", 10, takes) for k, takes in SIZES.items()} | {"good": docs.join(good, "doc_id", "left_semi")}
-    toks = None
-    for name, part in parts.items():
-        grams = kept(model.count_grams(corpus.lines(part, "text", "lang", "doc_id"), 2))
-        one = segment.run(st, grams, SPACED, False).select("lang", "token", F.lit(name).alias("size"))
-        toks = one if toks is None else toks.unionByName(one)
-    ref = baselines.reference_tokens(st).withColumn("size", F.explode(F.array(*map(F.lit, parts))))
-    return evaluate.f1(toks, ref, "lang", "size")
+    """Every share of the corpus is counted once; a size is the sum of its shares, and a model of its own name."""
+    st, docs = kept(corpus.statements(spark, sf_dir)), corpus.train_documents(spark, sf_dir)
+    good = corpus.table(spark, sf_dir, "labels").where("quality = 1").select("doc_id").distinct().withColumn("good", F.lit(1))
+    part = F.concat_ws("|", "lang", (F.col("doc_id") % 10).cast("string"), F.coalesce("good", F.lit(0)).cast("string"))
+    shares = kept(model.count_grams(corpus.lines(docs.join(good, "doc_id", "left").select(part.alias("lang"), "text"), "text", "lang"), 2))
+    name = F.split("lang", "[|]")
+    sizes = F.array(*(F.when(name[1].isin(list(map(str, takes))), F.lit(k)) for k, takes in SIZES.items()), F.when(name[2] == "1", F.lit("good")))
+    of = lambda lang, size: F.concat_ws("|", lang, size)
+    each = shares.withColumn("size", F.explode(F.filter(sizes, lambda x: x.isNotNull())))
+    grams = kept(each.groupBy(of(name[0], "size").alias("lang"), "n", "gram").agg(F.sum("cnt").alias("cnt")))
+    names = [*SIZES, "good"]
+    toks = evaluate.solid(segment.run(_for_each(st, "size", names).withColumn("lang", of("lang", "size")).drop("size"), grams, SPACED))
+    toks = toks.select(name[0].alias("lang"), name[1].alias("size"), "token")
+    return evaluate.f1(toks, _for_each(baselines.reference_tokens(st), "size", names), "lang", "size")
 
 
 def w30_missing_words(spark, sf_dir):
-    st, lex = corpus.statements(spark, sf_dir), kept(_lexicon(spark, sf_dir))
-    toks = None
-    for percent in (0, 5, 10, 20):
-        one = baselines.lexicon_tokens(st, baselines.without_words(lex, percent)).where(F.trim("token") != "").select("lang", "token", F.lit(percent).alias("percent"))
-        toks = one if toks is None else toks.unionByName(one)
-    ref = baselines.reference_tokens(st).withColumn("percent", F.explode(F.array(*map(F.lit, (0, 5, 10, 20)))))
-    return evaluate.f1(toks, ref, "lang", "percent")
+    """The lexicons lie side by side under names of their own, so the statements are cut in one pass."""
+    st, lex = kept(corpus.statements(spark, sf_dir)), _lexicon(spark, sf_dir)
+    named = lambda df: df.withColumn("lang", F.concat_ws("|", "lang", F.col("percent").cast("string"))).drop("percent")
+    every = None
+    for percent in MISSING:
+        one = baselines.without_words(lex, percent).withColumn("percent", F.lit(percent))
+        every = one if every is None else every.unionByName(one)
+    name = F.split("lang", "[|]")
+    toks = evaluate.solid(baselines.lexicon_tokens(named(_for_each(st, "percent", MISSING)), named(every)))
+    toks = toks.select(name[0].alias("lang"), name[1].cast("int").alias("percent"), "token")
+    return evaluate.f1(toks, _for_each(baselines.reference_tokens(st), "percent", MISSING), "lang", "percent")
 
 
 def w31_html_lines(spark, sf_dir):
@@ -260,14 +294,121 @@ def w33_orders_segments(spark, sf_dir):
 
 
 def w34_conversation_shift(spark, sf_dir):
-    st = _benchmark(spark, sf_dir)
+    """The benchmark by a model of another genre: all conversations together, whose languages the table doesn't tell, are the corpus named `en` here."""
+    st = kept(corpus.benchmark(spark, sf_dir))
     lines = corpus.lines(corpus.table(spark, sf_dir, "conversations").select(F.lit("en").alias("lang"), "text"), "text", "lang")
     return evaluate.f1(segment.run(st, kept(model.count_grams(lines, 2)), SPACED, False), baselines.reference_tokens(st))
 
 
 def w35_errors(spark, sf_dir):
-    st = corpus.statements(spark, sf_dir)
-    return evaluate.errors(segment.run(st, _grams(spark, sf_dir, 2), SPACED, False), baselines.reference_tokens(st))
+    st = kept(corpus.statements(spark, sf_dir))
+    return evaluate.errors(segment.run(st, _trained(spark, sf_dir, 2), SPACED, False), baselines.reference_tokens(st))
+
+
+def w36_grid_benchmark(spark, sf_dir):
+    """The grid of w25 on the benchmark alone, for ranks 1 and 2: all base metrics, offshoots, levels and thresholds."""
+    return tune.grid_search(kept(corpus.benchmark(spark, sf_dir)), _trained(spark, sf_dir, 3), sets=SMALL_SETS)
+
+
+UNSPACED_METHODS = {"tf_peak": UNSPACED, "tf_variance": UNSPACED._replace(offshoot="variance"), "tf_derivative": UNSPACED._replace(offshoot="derivative")}
+
+
+def _unspaced(spark, sf_dir):
+    """Statements without blanks, the reference from before, and the tokens of each method; freedom learns from lines without blanks."""
+    st, ref = corpus.unspaced(kept(corpus.statements(spark, sf_dir)))
+    st, ref = kept(st), kept(ref)
+    lines = corpus.strip_spaces(corpus.train_lines(spark, sf_dir), "line").where("line <> ''")
+    grams, lex = kept(model.count_grams(lines, 3)), _lexicon(spark, sf_dir)
+    made = {k: segment.run(st, grams, c) for k, c in UNSPACED_METHODS.items()} | {"lexicon": baselines.lexicon_tokens(st, lex), "symbols": baselines.trivial_tokens(st, "symbols"), "line": baselines.trivial_tokens(st, "line")}
+    return made, ref, lex
+
+
+def w37_unspaced_f1(spark, sf_dir):
+    """F1 on text without blanks against the tokens from before they were taken out."""
+    made, ref, _ = _unspaced(spark, sf_dir)
+    return evaluate.f1(_together(made, "method"), _for_each(ref, "method", tuple(made)), "lang", "method")
+
+
+def w38_unspaced_precision(spark, sf_dir):
+    """Precision of the words discovered in text without blanks, beside that of the reference."""
+    made, ref, lex = _unspaced(spark, sf_dir)
+    return _precision(kept(_together({**{k: made[k] for k in (*UNSPACED_METHODS, "lexicon")}, "reference": ref}, "method")), ref, lex)
+
+
+def w39_summary(spark, sf_dir):
+    """For each language with blanks, and without (named so): F1 of the freedom-based and the lexicon-based tokens, and the precision of discovered words, against the corrected lexicon, beside that of the reference."""
+    st = kept(corpus.statements(spark, sf_dir))
+    lex, ref, grams = _lexicon(spark, sf_dir), kept(baselines.reference_tokens(st)), _trained(spark, sf_dir, 2)
+    spaced = {"freedom": segment.run(st, grams, SPACED), "lexicon": baselines.lexicon_tokens(st, lex)}
+    bare, _, _ = _unspaced(spark, sf_dir)
+    without = {"freedom": bare["tf_peak"], "lexicon": bare["lexicon"]}
+    tag = lambda df: df.withColumn("lang", F.concat("lang", F.lit(" unspaced")))
+    toks = kept(_together(spaced, "method").unionByName(tag(_together(without, "method"))))
+    refs = kept(ref.unionByName(tag(ref)))
+    fixed = evaluate.corrected(lex, ref)
+    fixed = kept(fixed.unionByName(tag(fixed)))
+    scores = evaluate.f1(toks, _for_each(refs, "method", tuple(spaced)), "lang", "method")
+    return tune.summary(scores, evaluate.lexicon_precision(toks, fixed, "lang", "method"), evaluate.lexicon_precision(refs, fixed))
+
+
+RULES = {"tf_local_max": SPACED._replace(offshoot="derivative", rule="local_max"), "cp_local_max": segment.Config("cp", "derivative", (2,), 0.0, 0.0, kind="gram", rule="local_max"), "tf_variance_model": SPACED._replace(scale="model"), "tf_variance_unscaled": SPACED._replace(scale="none", threshold=5.0), "tf_backoff": SPACED._replace(ranks=(2,), unseen="backoff")}
+
+
+def w40_rules(spark, sf_dir):
+    """F1 of other rules: local maxima of derivatives, values scaled by the model or not at all, and unseen grams taken for the next shorter ones; and of the mutual-best variant of mutual information and the hybrid with a lexicon."""
+    st, grams, lex = kept(corpus.statements(spark, sf_dir)), _trained(spark, sf_dir, 4), _lexicon(spark, sf_dir)
+    made = {k: segment.run(st, grams, c) for k, c in RULES.items()}
+    made["mi_mutual_best"] = segment.tokens(st, baselines.mi_breaks(st, grams, variant="mutual_best"))
+    made["hybrid"] = baselines.hybrid_tokens(st, segment.run(st, grams, SPACED), baselines.lexicon_tokens(st, lex))
+    return evaluate.f1(_together(made, "method"), _for_each(baselines.reference_tokens(st), "method", tuple(made)), "lang", "method")
+
+
+def w41_places(spark, sf_dir):
+    """F1 on breaks and on whole tokens by their places in the statements."""
+    st = kept(corpus.statements(spark, sf_dir))
+    toks = kept(evaluate.solid(segment.run(st, _trained(spark, sf_dir, 2), SPACED)))
+    ref = kept(baselines.reference_spans(st))
+    gaps = lambda t: t.where("start > 1").select("lang", "stmt_id", (F.col("start") - 1).alias("gap")).union(t.select("lang", "stmt_id", (F.col("start") + F.col("len") - 1).alias("gap"))).distinct()
+    return evaluate.span_f1(toks, ref).withColumn("of", F.lit("spans")).unionByName(evaluate.boundary_f1(gaps(toks), gaps(ref)).withColumn("of", F.lit("breaks")))
+
+
+def w42_sweep(spark, sf_dir):
+    """Every span of the benchmark that is a token for some threshold, with the thresholds for which it is."""
+    from ..operators import apply
+
+    held = apply.slices(_grams(spark, sf_dir, 2), SPACED)
+    out = apply.swept(corpus.benchmark(spark, sf_dir), held, SPACED, "lang", "text", "stmt_id")
+    return out.select("stmt_id", "start", "len", "token", F.when(F.col("low") > float("-inf"), F.col("low")).alias("low"), F.when(F.col("high") < float("inf"), F.col("high")).alias("high"))
+
+
+def w43_model_cost(spark, sf_dir):
+    return evaluate.model_cost(grams_of(spark, sf_dir, 3))
+
+
+def w44_degrees(spark, sf_dir):
+    """How many vertices of the graph have each number of edges out and in, for each language and rank."""
+    grams = _grams(spark, sf_dir, 3)
+    of = model.degree(grams.where("n < 3"), model.edges(grams))
+    key = F.split("id", "\u0001")
+    return of.groupBy(key[0].alias("lang"), key[1].cast("int").alias("n"), "out_degree", "in_degree").agg(F.count("*").alias("vertices"))
+
+
+def w45_unsupervised_threshold(spark, sf_dir):
+    """The threshold that is chosen without a reference for every configuration of w36, and the F1 that it gives."""
+    return tune.select_unsupervised(kept(w36_grid_benchmark(spark, sf_dir)))
+
+
+def w46_mi_merges(spark, sf_dir):
+    """The first merges of re-estimated mutual information in every language of the corpus, in order."""
+    merges, _ = baselines.mi_merges(corpus.all_lines(spark, sf_dir), MI_ROUNDS)
+    numbered, count = [], Counter()
+    for lang, x, y in merges:
+        count[lang] += 1
+        numbered.append((lang, count[lang], x, y))
+    return spark.createDataFrame(numbered, "lang string, round int, x string, y string")
+
+
+MI_ROUNDS = 3
 
 
 def _shipped(f):

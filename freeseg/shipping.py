@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import zipfile
 from pathlib import Path
@@ -27,16 +28,29 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir; where it is unset, as in local tests, a temporary one is set."""
+    """The folder that driver and executors share: spark.checkpoint.dir. Where it is unset a temporary one is made if the master is local, as in tests; a cluster has to name one."""
     sc = spark.sparkContext
     at = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not at:
+        if not re.match(r"local(\[[^\]]*\])?$", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         at = tempfile.mkdtemp(prefix="freeseg-shared")
     if not sc.getCheckpointDir():
         sc.setCheckpointDir(at)
     return at
 
 
+def work_dir(spark: SparkSession) -> str:
+    """Where this application's intermediate tables are, in the shared folder."""
+    return f"{shared_dir(spark).rstrip('/')}/freeseg-{spark.sparkContext.applicationId}"
+
+
+def release(spark: SparkSession) -> None:
+    """Deletes the intermediate tables of this application, once the results that were made from them are written."""
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(work_dir(spark))
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def cut(df):
     """df with its lineage cut by a reliable checkpoint in the shared folder."""
     shared_dir(df.sparkSession)

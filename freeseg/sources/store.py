@@ -6,10 +6,11 @@ import uuid
 
 from pyspark.sql import DataFrame
 
-from ..shipping import shared_dir
+from ..shipping import work_dir
 
 
 def kept(df: DataFrame) -> DataFrame:
-    to = f"{shared_dir(df.sparkSession).rstrip('/')}/kept-{uuid.uuid4().hex}"
+    """df as a Parquet table in the application's folder, see `freeseg.shipping.release`."""
+    to = f"{work_dir(df.sparkSession)}/kept-{uuid.uuid4().hex}"
     df.write.parquet(to)
     return df.sparkSession.read.schema(df.schema).parquet(to)

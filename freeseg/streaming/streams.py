@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import uuid
 from collections.abc import Iterator
 
@@ -13,8 +14,9 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions import kernels
 from ..operators import apply, model, segment
-from ..shipping import shared_dir, ship
+from ..shipping import ship, work_dir
 from ..sources import corpus
+from ..sources.store import kept
 
 
 def file_stream(spark: SparkSession, path: str, files_per_batch: int = 1) -> DataFrame:
@@ -53,40 +55,67 @@ def deduplicated(events: DataFrame, key: str = "event_id", watermark: str = "1 h
     return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark).dropDuplicatesWithinWatermark([key])
 
 
-def segment_stream(texts: DataFrame, slices: dict, config: segment.Config = segment.Config()) -> DataFrame:
+def segment_stream(texts: DataFrame, slices: apply.Model, config: segment.Config = segment.Config()) -> DataFrame:
     """A stream of texts with their tokens: stateless, against a broadcast model."""
     return apply.segment_texts(texts, slices, config)
 
 
-def stateful_segments(events: DataFrame, own: kernels.Slice, threshold: float = 0.4, most: int = 256) -> DataFrame:
-    """user_id, token of each user's events as they arrive, by forward freedom of single events over the running mean.
+def session_tokens(events: DataFrame, config: segment.Config = segment.Config(), gap: str = "1 hour") -> DataFrame:
+    """stmt_id (user, a colon, the second in which the session begins), tok_no, token of a table of events: a session's events, the first letter of each type, are a line of their own, cut by what all sessions teach. A session's events meet, not a user's."""
+    timed = events.select("user_id", F.col("ts").cast("timestamp").alias("ts"), "event_id", F.left("event_type", F.lit(1)).alias("s"))
+    ordered = F.array_sort(F.collect_list(F.struct("ts", "event_id", "s")))
+    made = timed.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.array_join(F.transform(ordered, lambda x: x["s"]), "").alias("text"))
+    st = kept(made.select(F.lit("seq").alias("lang"), F.concat(F.col("user_id").cast("string"), F.lit(":"), F.unix_timestamp("w.start").cast("string")).alias("stmt_id"), "text"))
+    grams = kept(model.count_grams(st.select("lang", F.col("text").alias("line")), max(config.ranks) + 1))
+    return segment.run(st, grams, config).select("stmt_id", "tok_no", "token")
 
-    State holds the open token and the running sum and count, so it doesn't grow with the stream; a token is closed at `most` events."""
+
+def stateful_segments(events: DataFrame, own: kernels.Slice, threshold: float = 0.4, most: int = 256, watermark: str = "1 hour", idle: str = "1 day") -> DataFrame:
+    """user_id, token of each user's events in order of time, by forward freedom of single events over the running mean.
+
+    Events wait until the watermark has passed them and are then taken by (ts, event_id), so tokens don't depend on how
+    they were dealt into batches; events later than the watermark are left out. State holds what waits, the open token and
+    the running sum and count. A token is closed at `most` events, and with all of a user's state when the watermark has
+    passed the last event by `idle`: such a user begins anew."""
     freedom = {chr(int(k)): float(v) for k, v in zip(own.keys, own.forward, strict=True)}
     top = max(freedom.values(), default=1.0) or 1.0
+    wait = int(pd.Timedelta(idle).total_seconds() * 1000)
 
     def run(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        held, total, n = state.get if state.exists else ("", 0.0, 0)
-        out = []
-        for frame in frames:
-            for symbol in frame.sort_values(["ts", "event_id"])["symbol"]:
-                v = freedom.get(symbol, 0.0) / top
-                total, n, held = total + v, n + 1, held + symbol
-                if v - total / n > threshold or len(held) >= most:
-                    out.append(held)
-                    held = ""
-        state.update((held, total, n))
+        held, total, n, waiting = state.get if state.exists else ("", 0.0, 0, "[]")
+        now, rows = state.getCurrentWatermarkMs(), json.loads(waiting)
+        if not state.hasTimedOut:
+            for frame in frames:
+                at = frame["at"].tolist()
+                rows += [[t, i, s] for t, i, s in zip(at, frame["event_id"].tolist(), frame["symbol"].tolist(), strict=True) if t // 1000 > now]
+        rows.sort()
+        ready = [r for r in rows if r[0] // 1000 <= now]
+        rows, out = rows[len(ready) :], []
+        for _, _, symbol in ready:
+            v = freedom.get(symbol, 0.0) / top
+            total, n, held = total + v, n + 1, held + symbol
+            if v - total / n > threshold or len(held) >= most:
+                out.append(held)
+                held = ""
+        if state.hasTimedOut and not rows and not ready:
+            out += [held] * bool(held)
+            state.remove()
+        else:
+            state.update((held, total, n, json.dumps(rows)))
+            # The next row that waits, or the end of the user.
+            state.setTimeoutTimestamp(max(now, rows[0][0] // 1000) + 1 if rows else now + wait)
         yield pd.DataFrame({"user_id": np.repeat(key[0], len(out)), "token": out})
 
-    keyed = events.select("user_id", F.col("ts").cast("timestamp").alias("ts"), "event_id", F.left("event_type", F.lit(1)).alias("symbol"))
-    return keyed.groupBy("user_id").applyInPandasWithState(run, "user_id long, token string", "held string, total double, n long", "append", GroupStateTimeout.NoTimeout)
+    keyed = events.select("user_id", F.col("ts").cast("timestamp").alias("ts"), "event_id", F.left("event_type", F.lit(1)).alias("symbol")).where("user_id is not null and ts is not null").withWatermark("ts", watermark)
+    keyed = keyed.withColumn("at", F.unix_micros("ts"))
+    return keyed.groupBy("user_id").applyInPandasWithState(run, "user_id long, token string", "held string, total double, n long, waiting string", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def finished(stream: DataFrame, mode: str) -> DataFrame:
     """All that a stream gives for the files that are there, as a table: each batch is written to the shared folder, and in complete mode the last one counts."""
     spark = stream.sparkSession
     ship(spark)
-    at = f"{shared_dir(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
+    at = f"{work_dir(spark)}/stream-{uuid.uuid4().hex}"
     last = {"to": None, "all": []}
 
     def sink(batch: DataFrame, number: int) -> None:
@@ -107,7 +136,10 @@ def run_counts(spark: SparkSession, path: str, n_max: int) -> DataFrame:
     return finished(count_stream(lines, n_max), "complete")
 
 
-def run_windows(spark: SparkSession, path: str) -> DataFrame:
-    """begins, event_type, n: hourly counts of a stream of events."""
-    out = finished(windowed_counts(file_stream(spark, path)), "complete")
+def run_windows(spark: SparkSession, files: list[DataFrame], mode: str = "append") -> DataFrame:
+    """begins, event_type, n: hourly counts of a stream of events that arrive as one file after the other."""
+    to = f"{work_dir(spark)}/events-{uuid.uuid4().hex}"
+    for df in files:
+        df.coalesce(1).write.mode("append").parquet(to)
+    out = finished(windowed_counts(file_stream(spark, to)), mode)
     return out.select(F.unix_timestamp("window.start").alias("begins"), "event_type", "n")

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from freeseg.operators import compress, model
 
-LINES = ["ab ac", "ca b", "", "a", "aaaa", "éà é, ça?", "to be or not to be", "αβγ 中文 αβ"]
+LINES = ["ab ac", "ca b", "", "a", "aaaa", "éà é, ça?", "to be or not to be", "αβγ 中文 αβ", "a😀b😀"]
 
 
 @pytest.fixture(scope="module")
@@ -48,6 +48,30 @@ def test_gram_edges(lines, direction):
             u, x = t[i : i + 2], t[i + 2 : i + 4]
             want[(u, x) if direction == "f" else (x, u)] += 1
     assert {(r.gram, r.nbr): r.cnt for r in model.gram_edges(lines, 2, direction).collect()} == want
+    wide = model.wide_edges(model.count_grams(lines, 4), [2]).where(F.col("dir") == direction)
+    assert {(r.gram, r.nbr): r.cnt for r in wide.collect()} == want and {r.n for r in wide.collect()} == {2}
+
+
+def test_graph_and_degrees(lines):
+    grams = model.count_grams(lines, 2).cache()
+    ends, ties = model.as_graph(grams.where("n = 1"), model.edges(grams))
+    ids = {r.id: r.weight for r in ends.collect()}
+    assert ids["x\u00011\u0001a"] == plain(1)[1, "a"]
+    rows = ties.collect()
+    assert all(r.src in ids and r.dst in ids for r in rows)
+    out, into = Counter(r.src for r in rows if r.dir == "f"), Counter(r.src for r in rows if r.dir == "b")
+    assert {r.id: (r.out_degree, r.in_degree) for r in model.degree(grams.where("n = 1"), model.edges(grams)).collect()} == {i: (out[i], into[i]) for i in ids}
+
+
+def test_pruned_targets_and_global_limits(lines):
+    grams = model.count_grams(lines, 2).cache()
+    edges = model.edges(grams)
+    one = {r.gram for r in compress.prune_vertices(grams, 0.3).where("n = 1").collect()}
+    kept, left = compress.prune(grams, edges, 0.3, prune_targets=True)
+    _, loose = compress.prune(grams, edges, 0.3)
+    assert {(r.gram, r.nbr) for r in left.collect()} == {(r.gram, r.nbr) for r in loose.collect() if r.nbr in one}
+    top = max(r.cnt for r in grams.collect())
+    assert all(r.cnt >= 0.3 * top for r in compress.prune_vertices(grams, 0.3, "global").collect())
 
 
 def test_worked_example(spark):

@@ -9,7 +9,7 @@ import pytest
 from freeseg.plans import oracles, relational, workloads
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SOME = ["w01_gram_counts", "w05_freedom", "w08_compress_levels", "w11_profile_deriv_peak", "w13_profile_cp", "w15_tokens_tf_var", "w16_tokens_tf_peak", "w18_mi_tokens", "w21_lexicon_blend", "w22_reference_tokens", "w25_grid_scores", "w31_html_lines", "w32_events_segments", *(k for k in relational.ORACLES if k != "r29_udf_segment")]
+SOME = [*oracles.ORACLES, *relational.ORACLES]
 
 
 def plain(v):

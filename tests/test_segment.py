@@ -1,5 +1,9 @@
 """Profiles, offshoots, breaks and tokens: worked example, invariants, and the array engine against the row engine."""
 
+import itertools
+import math
+from collections import Counter
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -30,27 +34,78 @@ def test_worked_example(toy):
     assert ways(profile.offshoot(p, "variance"))["f"] == [0.75, -1.25, -0.25, 0.75]
     assert ways(profile.offshoot(p, "derivative")) == {"f": [0, -2, 1, 1], "b": [0, 0, 1, 0]}
     assert ways(profile.offshoot(p, "peak"))["f"] == [2, -3, 0, 1]
-    f, b = kernels.base(kernels.points("ab ac"), 1, kernels.make_slice(list("abc "), [3, 1, 1, 2], [2, 2, 1, 2]))
-    assert f.tolist() == [3, 1, 2, 3] and b.tolist() == [2, 2, 2, 1]
+    f, b = kernels.base(kernels.texts_of(["ab ac"]), kernels.make_slice(list("abc "), [3, 1, 1, 2], [2, 2, 1, 2]))
+    assert f[:-1].tolist() == [3, 1, 2, 3] and b[:-1].tolist() == [2, 2, 2, 1] and np.isnan([f[-1], b[-1]]).all()
 
 
 @pytest.fixture(scope="module")
 def real(spark, sf):
-    grams = model.count_grams(corpus.train_lines(spark, sf), 3).cache()
-    odd = spark.createDataFrame([("en", 900, 0, "aa"), ("en", 901, 1, "  ?!"), ("en", 902, 0, "ééé中文 x")], "lang string, stmt_id long, half int, text string")
-    return corpus.statements(spark, sf).unionByName(odd).cache(), grams
+    grams = model.count_grams(corpus.train_lines(spark, sf), 4).cache()
+    odd = spark.createDataFrame([("en", "o0", 0, "aa"), ("en", "o1", 1, "  ?!"), ("en", "o2", 0, "ééé中文 x😀y"), ("en", "o3", 0, "z"), ("xx", "o4", 0, "no model")], "lang string, stmt_id string, half int, text string")
+    return corpus.statements(spark, sf).where("length(text) < 400").unionByName(odd).cache(), grams
+
+
+def lists(rows):
+    return {(r.lang, r.stmt_id): [x.token for x in r.t] for r in rows.groupBy("lang", "stmt_id").agg(F.array_sort(F.collect_list(F.struct("tok_no", "token"))).alias("t")).collect()}
+
+
+CONFIGS = [segment.Config("tf", kind, ranks, 0.0001, 0.3, combine) for kind in profile.OFFSHOOTS for combine in ("max", "mean", "forward", "backward") for ranks in ((1,), (1, 2))]
+CONFIGS += [segment.Config(base, kind, ranks, 0.001, 0.2, kind=wide) for base in ("p", "cp", "tf") for kind in ("raw", "peak") for ranks, wide in (((1, 2), "symbol"), ((2,), "gram"))]
+
+
+@pytest.mark.parametrize("c", CONFIGS, ids=lambda c: "-".join(map(str, (c.base, c.offshoot, c.ranks, c.combine, c.kind))))
+def test_engines_agree(real, c):
+    st, grams = real
+    want = lists(segment.run(st, grams, c, engine="rows"))
+    assert lists(segment.run(st, grams, c, engine="arrays")) == want
+    if c.base == "tf" and c.kind == "symbol":
+        got = {(r.lang, r.stmt_id): r.tokens for r in apply.segment_texts(st, udfs.freedom_slices(grams, c), c).collect()}
+        assert got == want
 
 
-@pytest.mark.parametrize("kind", profile.OFFSHOOTS)
-@pytest.mark.parametrize("combine", ["max", "mean", "forward", "backward"])
-@pytest.mark.parametrize("ranks", [(1,), (1, 2)])
-def test_engines_agree(real, kind, combine, ranks):
+def test_a_model_too_large_to_broadcast_is_joined(real, monkeypatch):
     st, grams = real
-    c = segment.Config("tf", kind, ranks, 0.0001, 0.3, combine)
-    rows = segment.run(st, grams, c).groupBy("lang", "stmt_id").agg(F.array_sort(F.collect_list(F.struct("tok_no", "token"))).alias("t"))
-    want = {(r.lang, r.stmt_id): [x.token for x in r.t] for r in rows.collect()}
-    got = {(r.lang, r.stmt_id): r.tokens for r in apply.segment_texts(st, udfs.freedom_slices(grams, c), c).collect()}
-    assert got == want
+    want = lists(segment.run(st, grams))
+    monkeypatch.setattr(apply, "slices", lambda *a, **k: None)
+    assert lists(segment.run(st, grams)) == want
+    assert apply.sliced(profile.values(grams, "tf", [1]), "tf", most=3) is None
+
+
+def test_null_and_empty_texts(spark, real):
+    st = spark.createDataFrame([("en", "a", None), ("en", "b", ""), (None, "c", "ab cd")], "lang string, stmt_id string, text string")
+    assert lists(segment.run(st, real[1])) == {(None, "c"): ["ab cd"]}
+    assert {r.stmt_id: r.tokens for r in apply.segment_texts(st, udfs.freedom_slices(real[1], segment.Config())).collect()} == {"a": None, "b": [], "c": ["ab cd"]}
+
+
+def test_padding_scale_and_unseen(spark, toy):
+    st, grams = toy
+    p = segment.base_profile(st, grams, "tf", [1])
+    assert ways(profile.offshoot(p, "derivative", "zero"))["f"] == [3, -2, 1, 1]
+    scaled = lambda **how: sorted(r.v for r in segment.offshoots(st, grams, segment.Config(offshoot="raw", theta=0.0, **how)).where("dir = 'f'").collect())
+    assert scaled(scale="none") == [1, 2, 3, 3] and scaled(scale="model") == [0.333333333, 0.666666667, 1, 1]
+    odd = spark.createDataFrame([("x", 1, "abz")], "lang string, stmt_id long, text string")
+    back = lambda unseen: [r.v for r in segment.base_profile(odd, grams, "tf", [2], unseen=unseen).where("dir = 'b' and gap = 1").collect()]
+    # "bz" is unseen and so is "z" after it: two symbols back off to what begins with b.
+    assert back("zero") == [0] and back("null") == [None] and back("backoff") == [2]
+
+
+def test_conditional_probability_across_a_gap(toy):
+    st, grams = toy
+    assert [round(x, 6) for x in ways(segment.base_profile(st, grams, "cp", [1]))["f"]] == [0.333333, 0.5, 0.5, 0.333333]
+    low = ways(segment.base_profile(st, grams, "cp", [1], polarity="low"))["f"]
+    assert [round(x, 6) for x in low] == [0.666667, 0.5, 0.5, 0.666667]
+
+
+def test_local_maxima_as_a_rule(toy):
+    st, grams = toy
+    c = segment.Config("tf", "derivative", (1,), 0.0, 0.0, "forward", rule="local_max")
+    # The forward derivative is 0, -2, 1, 1: it rises to its third value.
+    assert [r.token for r in segment.run(st, grams, c).orderBy("tok_no").collect()] == ["ab ", "ac"]
+
+
+def test_explained_profile(spark, toy):
+    rows = profile.explain(spark, toy[1], "x", "ab ac").where("dir = 'f'").orderBy("gap").collect()
+    assert [(r.symbol, r.value, r.variance, r.derivative, r.peak) for r in rows] == [("a", 3, 0.75, 0, 2), ("b", 1, -1.25, -2, -3), (" ", 2, -0.25, 1, 0), ("a", 3, 0.75, 1, 1)]
 
 
 def test_tokens_are_the_text_and_breaks_shrink(real):
@@ -98,7 +153,7 @@ def test_local_maxima(toy):
 
 def test_mutual_information_merging_is_the_threshold_cut(spark, sf, real):
     st, grams = real
-    st = st.where("stmt_id < 12 and lang = 'en'")
+    st = st.where("lang = 'en' and length(stmt_id) < 3")
     mi = {(r.stmt_id, r.gap): r.mi for r in baselines.mi_gaps(st, grams).collect()}
     toks = segment.tokens(st, baselines.mi_breaks(st, grams, 1.0))
     got = {r.stmt_id: [x.token for x in r.t] for r in toks.groupBy("stmt_id").agg(F.array_sort(F.collect_list(F.struct("tok_no", "token"))).alias("t")).collect()}
@@ -112,13 +167,46 @@ def test_mutual_information_merging_is_the_threshold_cut(spark, sf, real):
             k = -max(at)[1]
             parts[k : k + 2] = [parts[k] + parts[k + 1]]
         assert got[r.stmt_id] == ["".join(r.text[i] for i in p) for p in parts]
-
-
-def test_iterative_merging(spark):
-    lines = spark.createDataFrame([("x", "abab cd"), ("x", "abcd ab")], "lang string, line string")
-    merges, left = baselines.mi_merges(lines, 3)
-    assert merges[0] == ("a", "b")
-    assert sorted("".join(r.toks) for r in left.collect()) == ["abab cd", "abcd ab"]
+    assert lists(baselines.mi_tokens(st, grams, 1.0)) == lists(toks)
+
+
+def test_mutual_best_pairs(spark):
+    lines = spark.createDataFrame([("x", t) for t in ("ab", "ab", "ab", "bc", "ca", "cb")], "lang string, line string")
+    st = spark.createDataFrame([("x", "s", "abca")], "lang string, stmt_id string, text string")
+    mi = {r.gap: r.mi for r in baselines.mi_gaps(st, model.count_grams(lines, 2)).collect()}
+    assert mi[1] > mi[2] and mi[3] > mi[2]
+    assert [r.gap for r in baselines.mi_breaks(st, model.count_grams(lines, 2), variant="mutual_best").collect()] == [2]
+
+
+def plain_merges(lines, rounds, least=2):
+    """Re-estimated merging in plain Python."""
+    now, done = {lang: [list(t) for t in texts] for lang, texts in lines.items()}, []
+    for _ in range(rounds):
+        for lang in sorted(now):
+            one, two = Counter(x for t in now[lang] for x in t), Counter(p for t in now[lang] for p in itertools.pairwise(t))
+            s1, s2 = one.total(), two.total()
+            rated = [(-round(math.log2((c / s2) / ((one[x] / s1) * (one[y] / s1))), 9), -c, x, y) for (x, y), c in two.items() if c >= least]
+            if not rated:
+                continue
+            _, _, x, y = min(rated)
+            done.append((lang, x, y))
+            for t in now[lang]:
+                i = 0
+                while i < len(t) - 1:
+                    if t[i] == x and t[i + 1] == y:
+                        t[i : i + 2] = [x + y]
+                    i += 1
+    return done, now
+
+
+def test_iterative_merging_takes_the_most_informative_pair(spark):
+    # "q" and "z" occur together only, "a" and "b" far more often but also apart.
+    texts = {"x": ["ab a b ab ba ab", "qz a qz b", "aab bba ab"], "y": ["xyxy xy", "yx xy"]}
+    lines = spark.createDataFrame([(k, t) for k, ts in texts.items() for t in ts], "lang string, line string")
+    merges, left = baselines.mi_merges(lines, 4)
+    want, after = plain_merges(texts, 4)
+    assert merges == want and merges[0] == ("x", "q", "z")
+    assert sorted((r.lang, r.toks) for r in left.collect()) == sorted((k, t) for k, ts in after.items() for t in ts)
 
 
 @pytest.mark.parametrize("by", ["length", "frequency", "blend"])
@@ -130,6 +218,10 @@ def test_greedy_lexicon(spark, by):
         toks.setdefault(r.stmt_id, []).append(r.token)
     want = {"length": ["abc", "d", "z"], "frequency": ["ab", "c", "d", "z"], "blend": ["ab", "c", "d", "z"]}[by]
     assert toks == {1: want, 3: ["a", "b"]}
+    joined = {}
+    for r in baselines.lexicon_tokens(st, lex, by, most=1).orderBy("tok_no").collect():
+        joined.setdefault(r.stmt_id, []).append(r.token)
+    assert joined == toks
 
 
 def test_f1_is_symmetric_and_one_for_equal_bags(real):
@@ -153,6 +245,22 @@ def test_hybrid_keeps_lexicon_words_whole(spark):
     cuts = spark.createDataFrame([("x", 1, g) for g in (1, 2, 3)], "lang string, stmt_id long, gap int")
     words = spark.createDataFrame([("x", 1, 1, "ab"), ("x", 1, 2, "cd")], "lang string, stmt_id long, tok_no int, token string")
     assert [r.gap for r in baselines.hybrid_breaks(cuts, words).collect()] == [2]
+    st = spark.createDataFrame([("x", 1, "abcd")], "lang string, stmt_id long, text string")
+    free = spark.createDataFrame([("x", 1, k) for k in (1, 2, 3, 4)], "lang string, stmt_id long, start int")
+    assert lists(baselines.hybrid_tokens(st, free, words)) == {("x", 1): ["ab", "cd"]}
+
+
+def test_reference_spans_lie_where_the_tokens_are(spark):
+    st = spark.createDataFrame([("x", 1, " Ab, c.\t(d) ")], "lang string, stmt_id long, text string")
+    spans = sorted((r.start, r.len, r.token) for r in baselines.reference_spans(st).collect())
+    assert spans == [(2, 2, "Ab"), (4, 1, ","), (6, 1, "c"), (7, 1, "."), (9, 1, "("), (10, 1, "d"), (11, 1, ")")]
+
+
+def test_costs(spark, tmp_path):
+    lines = spark.createDataFrame([("x", "éa")], "lang string, line string")
+    assert {r.n: (r.grams, r.bytes) for r in evaluate.model_cost(model.count_grams(lines, 2)).collect()} == {1: (2, 19), 2: (1, 11)}
+    cost = evaluate.measured(spark.range(7), lambda df: df.write.parquet(str(tmp_path / "o")))
+    assert cost["rows"] == 7 and cost["seconds"] > 0
 
 
 def test_boundary_and_span_f1(spark):
