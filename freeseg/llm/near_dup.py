@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from .kernel import cut_batches, hash_strings, mix, ranges, words_of
 from .tables import components, hinted, keep
 
-LISTED, K, MISS, BLOCK, SMALL, BITS, LONG, LARGE = 32, 64, 1e-7, 256, 2 << 20, 512, 16, 12
+LISTED, K, MISS, BLOCK, SMALL, BITS, LONG, LARGE = 32, 64, 1e-7, 256, 2 << 20, 256, 16, 12
 MARKS = [f"m{j}" for j in range(BITS // 64)]
 
 
@@ -213,7 +213,11 @@ def links(docs: DataFrame, classes: DataFrame, id_col: str, text: str, width: in
     sized = F.least("n", "an") * den >= F.greatest("n", "an") * num
     pairs = posts.join(heads, (posts.v == heads.v) & (posts.size == heads.size) & (F.col("id") != F.col("a")) & sized).select(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).distinct()
     sketch = some.select("id", "n", "sketch", *MARKS, lost().alias("lost"))
-    a, b = sketch.withColumnRenamed("id", "a").alias("x"), sketch.withColumnRenamed("id", "b").alias("y")
+    side = lambda t, as_, name: t.withColumnRenamed("id", as_).alias(name)
+    # Bits travel with all pairs, sketches only with those that pass by them.
+    bits = sketch.drop("sketch")
+    pairs = pairs.join(side(bits, "a", "x"), "a").join(side(bits, "b", "y"), "b").where(sized_bits("x", "y", num, den)).select("a", "b")
+    a, b = side(sketch, "a", "x"), side(sketch, "b", "y")
     near = keep(pairs.join(a, "a").join(b, "b").where(alike("x", "y", num, den)).select("a", "b").distinct())
     first = keep(confirmed(near, docs, id_col, text, width, num, den))
 
@@ -239,14 +243,12 @@ def links(docs: DataFrame, classes: DataFrame, id_col: str, text: str, width: in
 
     # Members of other open lists meet where their estimate allows it.
     wide = rest.where(F.col("c") < LARGE).withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int"))
-    # With all of its documents' values in such lists: a pair is looked at in the first list that it shares only.
-    listed_in = wide.groupBy("id").agg(F.collect_set("v").alias("vs"))
-    wide = wide.join(sketch.drop("sketch").join(listed_in, "id"), "id")
+    wide = wide.join(bits, "id")
     all_ = wide.withColumn("block", dealt("blocks")).alias("y")
     some_ = wide.where("part <> main").withColumn("block", spread("blocks")).alias("x")
     once = (F.col("y.part") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))
     on = (F.col("x.v") == F.col("y.v")) & (F.col("x.size") == F.col("y.size")) & (F.col("x.block") == F.col("y.block")) & (F.col("x.part") != F.col("y.part")) & (F.col("x.size") == F.greatest("x.g", "y.g")) & once
-    on = on & sized_bits("x", "y", num, den) & (F.array_min(F.array_intersect("x.vs", "y.vs")) == F.col("x.v"))
+    on = on & sized_bits("x", "y", num, den)
     more = some_.join(all_, on).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
     more = more.join(near, ["a", "b"], "left_anti").join(a, "a").join(b, "b").where(alike("x", "y", num, den)).select("a", "b")
     more = keep(more)
