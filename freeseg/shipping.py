@@ -11,11 +11,15 @@ from pathlib import Path
 from pyspark.sql import SparkSession
 
 _shipped: set[str] = set()
+#: Bytes of rows that go to a Python worker at once, where the session has Spark's default.
+ARROW, DEFAULT, BATCH = "spark.sql.execution.arrow.maxBytesPerBatch", ("67108864b", "64MB", "64m"), "8m"
 
 
 def ship(spark: SparkSession) -> None:
-    """Adds this package to the application's Python files, once for each application."""
+    """Adds this package to the application's Python files, once for each application, and keeps batches for Python workers small."""
     sc = spark.sparkContext
+    if spark.conf.get(ARROW, DEFAULT[0]) in DEFAULT:
+        spark.conf.set(ARROW, BATCH)
     if sc.applicationId in _shipped:
         return
     root = Path(__file__).resolve().parent
