@@ -5,7 +5,9 @@ Most work on a text is done once for each distinct word of a batch, then spread
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
+from functools import wraps
 from typing import NamedTuple
 
 import numpy as np
@@ -19,6 +21,27 @@ from pyspark.sql import functions as F
 BATCH_BYTES = 4 << 20
 
 
+def release() -> None:
+    """Gives the memory that this process no longer uses back to the system: idle workers wait beside the next stage's."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc has it
+    if trim is not None:
+        trim(0)
+
+
+def released(run):
+    """A task's function over batches that releases memory when it is done."""
+
+    @wraps(run)
+    def outer(batches):
+        try:
+            yield from run(batches)
+        finally:
+            release()
+
+    return outer
+
+
 def cut_batches(batches: Iterator[pa.RecordBatch], text: str, most: int = BATCH_BYTES) -> Iterator[pa.RecordBatch]:
     """The same rows in batches whose texts hold about `most` bytes at most, or one row."""
     for batch in batches:

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .kernel import cut_batches, segment_sum, words_of
+from .kernel import cut_batches, released, segment_sum, words_of
 
 ORDERS, BUCKETS, ALPHA = (1, 2, 3, 4), 1 << 16, 0.5
 
@@ -62,6 +62,7 @@ def word_grams(distinct: pa.Array, orders=ORDERS, buckets: int = BUCKETS) -> tup
 def train(docs: DataFrame, text: str = "text", lang: str = "lang", orders=ORDERS, buckets: int = BUCKETS, alpha: float = ALPHA) -> Model:
     """Learns from every row that has a text and a language."""
 
+    @released
     def count(batches):
         total: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(buckets, np.int64))
         docs_of: dict[str, int] = defaultdict(int)
@@ -116,6 +117,7 @@ def predict(docs: DataFrame, model: Model, text: str = "text", lang_col: str = "
     keep = [c for c in docs.columns if c not in (lang_col, score_col)]
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField(lang_col, T.StringType()), T.StructField(score_col, T.DoubleType())])
 
+    @released
     def run(batches):
         m = held.value
         names = pa.array([*m.languages, "und"])

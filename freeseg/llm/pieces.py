@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from .kernel import cut_batches
+from .kernel import cut_batches, released
 
 BLANK = "▁"
 #: Added to the lowest score for each byte of a character that no piece covers.
@@ -129,6 +129,7 @@ def encode(docs: DataFrame, pieces: list[tuple[str, float, str]], text: str = "t
     keep = [c for c in docs.columns if c not in (ids, "decodes")]
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField(ids, T.ArrayType(T.IntegerType())), T.StructField("decodes", T.BooleanType())])
 
+    @released
     def run(batches):
         if key not in _codecs:
             _codecs.clear()
@@ -151,6 +152,7 @@ def decode(coded: DataFrame, pieces: list[tuple[str, float, str]], ids: str = "p
     keep = [c for c in coded.columns if c != text]
     schema = T.StructType([coded.schema[c] for c in keep] + [T.StructField(text, T.StringType())])
 
+    @released
     def run(batches):
         codec = Codec(held.value)
         for batch in batches:

@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..shipping import shared_dir
+from ..shipping import work_dir
 
 #: Rows of a few numbers each that may be broadcast; more are joined by a shuffle.
 BROADCAST_ROWS = 500_000
@@ -17,8 +17,8 @@ AT_ONCE = 300_000
 
 
 def keep(df: DataFrame) -> DataFrame:
-    """df as a Parquet table in the shared folder, with its lineage cut."""
-    to = f"{shared_dir(df.sparkSession).rstrip('/')}/table-{uuid.uuid4().hex}"
+    """df as a Parquet table in the application's part of the shared folder, with its lineage cut; see `freeseg.shipping.release`."""
+    to = f"{work_dir(df.sparkSession)}/table-{uuid.uuid4().hex}"
     df.write.parquet(to)
     return df.sparkSession.read.schema(df.schema).parquet(to)
 

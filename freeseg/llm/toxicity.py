@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .kernel import cut_batches, hash_strings, segment_sum, words_of
+from .kernel import cut_batches, hash_strings, released, segment_sum, words_of
 
 BUCKETS, MOST_POSITIVE, MOST_UNLABELLED = 1 << 18, 4000, 12_000
 MARKS = string.punctuation + "…’‘“”«»¿¡–—"
@@ -50,6 +50,7 @@ def features(docs: DataFrame, text: str) -> DataFrame:
     keep = [c for c in docs.columns if c != text]
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField("buckets", T.ArrayType(T.IntegerType()))])
 
+    @released
     def run(batches):
         for batch in cut_batches(batches, text):
             w = words_of(batch.column(text), "utf8")
@@ -148,6 +149,7 @@ def predict(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
     keep = [c for c in docs.columns if c not in ("score", "predicted")]
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField("score", T.DoubleType()), T.StructField("predicted", T.IntegerType())])
 
+    @released
     def run(batches):
         for batch in cut_batches(batches, text):
             score = score_texts(batch.column(text), held.value)

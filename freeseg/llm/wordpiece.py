@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .kernel import cut_batches, segment_sum, words_of
+from .kernel import cut_batches, released, segment_sum, words_of
 
 #: Distinct words whose counts a worker keeps between batches.
 CACHE = 150_000
@@ -140,6 +140,7 @@ def token_counts(docs: DataFrame, first: list[str], inner: list[str], text: str
     keep = [c for c in docs.columns if c not in new]
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField(c, T.LongType()) for c in new])
 
+    @released
     def run(batches):
         known = _Counts(held.value)
         for batch in cut_batches(batches, text):
