@@ -32,10 +32,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernel import cut_batches, hash_strings, mix, ranges, words_of
+from .kernel import cut_batches, hash_strings, mix, ranges, released, words_of
 from .tables import components, hinted, keep
 
-LISTED, K, MISS, BLOCK, SMALL, BITS, LONG, LARGE = 32, 64, 1e-7, 256, 2 << 20, 256, 16, 12
+LISTED, K, MISS, BLOCK, SMALL, BITS, LONG, LARGE = 64, 64, 1e-7, 256, 2 << 20, 256, 16, 12
 MARKS = [f"m{j}" for j in range(BITS // 64)]
 
 
@@ -74,7 +74,7 @@ def shingle_sets(texts: pa.Array, width: int) -> list[np.ndarray]:
 
 
 def sketches(docs: DataFrame, id_col: str, text: str, width: int) -> DataFrame:
-    """id, n (size of the set), key (128-bit digest of the set, null if empty), low (the LISTED smallest, sorted), sketch (the upper halves of the K smallest, sorted), MARKS (BITS bits, one set for each value of the sketch)."""
+    """id, n (size of the set), key (128-bit digest of the set, null if empty), low (the K smallest, sorted), MARKS (BITS bits, one set for each of them)."""
 
     def lists(parts, kind):
         offsets = np.concatenate([[0], np.cumsum([len(x) for x in parts])]).astype(np.int32)
@@ -85,18 +85,19 @@ def sketches(docs: DataFrame, id_col: str, text: str, width: int) -> DataFrame:
         bits[part & (BITS - 1)] = True
         return np.packbits(bits).view(np.int64)
 
+    @released
     def run(batches):
         for batch in cut_batches(batches, "t", SMALL):
             sets = shingle_sets(batch.column("t"), width)
             bits = np.array([marks(s[:K]) for s in sets], np.int64).reshape(-1, len(MARKS))
             keys = [xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None for s in sets]
             yield pa.RecordBatch.from_arrays(
-                [batch.column("id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys, pa.binary()), lists([s[:LISTED] for s in sets], np.int64), lists([s[:K] >> 32 for s in sets], np.int32), *(pa.array(bits[:, j]) for j in range(len(MARKS)))],
-                ["id", "n", "key", "low", "sketch", *MARKS],
+                [batch.column("id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys, pa.binary()), lists([s[:K] for s in sets], np.int64), *(pa.array(bits[:, j]) for j in range(len(MARKS)))],
+                ["id", "n", "key", "low", *MARKS],
             )
 
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text).cast("string").alias("t"))
-    return rows.mapInArrow(run, "id long, n long, key binary, low array<long>, sketch array<int>, " + ", ".join(f"{m} long" for m in MARKS))
+    return rows.mapInArrow(run, "id long, n long, key binary, low array<long>, " + ", ".join(f"{m} long" for m in MARKS))
 
 
 def needed(a: str, b: str, num: int, den: int):
@@ -130,6 +131,7 @@ def full_sets(ids: DataFrame, docs: DataFrame, id_col: str, text: str, width: in
     names = hinted(keep(ids.select("id").distinct()))
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text).cast("string").alias("t")).join(names, "id", "left_semi")
 
+    @released
     def sets(batches):
         for batch in cut_batches(batches, "t", SMALL):
             got = [s.tobytes() for s in shingle_sets(batch.column("t"), width)]
@@ -173,6 +175,7 @@ def confirmed(pairs: DataFrame, docs: DataFrame, id_col: str, text: str, width:
     """The pairs (a, b) whose full sets have a Jaccard similarity of num / den or more. Sets are made for the documents of pairs only."""
     held = full_sets(pairs.select(F.explode(F.array("a", "b")).alias("id")), docs, id_col, text, width)
 
+    @released
     def right(batches):
         for batch in batches:
             ok = []
@@ -190,7 +193,7 @@ def confirmed(pairs: DataFrame, docs: DataFrame, id_col: str, text: str, width:
 def listed(classes: DataFrame, num: int, den: int) -> DataFrame:
     """v, size, g, id, n, own: the retained values, from the rarest, that have to be listed for no similar pair to be missed, each under its size group g and the next. own: how many of the document's retained values no other has. Values of one class only are left out."""
     shared = least_shared(LISTED, num / den)
-    each = classes.select("id", "n", F.size("low").alias("s"), F.explode("low").alias("v"))
+    each = classes.select("id", "n", F.least(F.size("low"), F.lit(LISTED)).alias("s"), F.explode(F.slice("low", 1, LISTED)).alias("v"))
     often = each.groupBy("v").agg(F.count("*").alias("c")).where("c > 1")
     # Sets of up to LISTED * num / den shingles, and any that are similar to them, are listed as a whole.
     whole = F.col("s") <= LISTED * num // den
@@ -203,16 +206,18 @@ def listed(classes: DataFrame, num: int, den: int) -> DataFrame:
 
 
 def links(docs: DataFrame, classes: DataFrame, id_col: str, text: str, width: int, num: int, den: int) -> DataFrame:
-    """Enough of the links (a, b) between classes for their components to be right. classes: id, n, low, sketch."""
+    """Enough of the links (a, b) between classes for their components to be right. classes: id, n, low, MARKS."""
     at = ["v", "size"]
     # Sets of so few shingles that only an equal one is similar enough are in no list.
     alone = max(n for n in range(den + 1) if n * den < num * (n + 1) or not n)
     some = classes.where(F.col("n") > alone)
     posts = keep(listed(some, num, den))
-    heads = posts.groupBy(*at).agg(F.min(F.struct("own", "id", "n")).alias("h"), F.count("*").alias("m")).where("m > 1").select(*at, F.col("h.id").alias("a"), F.col("h.n").alias("an"))
+    # A list without a document of its own size group says nothing that the next smaller one of its value doesn't say.
+    heads = posts.groupBy(*at).agg(F.min(F.struct("own", "id", "n")).alias("h"), F.count("*").alias("m"), F.max("g").alias("top")).where("m > 1 and top = size").select(*at, F.col("h.id").alias("a"), F.col("h.n").alias("an"))
     sized = F.least("n", "an") * den >= F.greatest("n", "an") * num
     pairs = posts.join(heads, (posts.v == heads.v) & (posts.size == heads.size) & (F.col("id") != F.col("a")) & sized).select(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).distinct()
-    sketch = some.select("id", "n", "sketch", *MARKS, lost().alias("lost"))
+    # A sketch is the upper halves of the values.
+    sketch = some.select("id", "n", F.transform("low", lambda x: F.shiftright(x, 32).cast("int")).alias("sketch"), *MARKS, lost().alias("lost"))
     side = lambda t, as_, name: t.withColumnRenamed("id", as_).alias(name)
     # Bits travel with all pairs, sketches only with those that pass by them.
     bits = sketch.drop("sketch")
@@ -223,8 +228,9 @@ def links(docs: DataFrame, classes: DataFrame, id_col: str, text: str, width: in
 
     parts = keep(components(first))
     placed = posts.join(parts.withColumnRenamed("node", "id"), "id", "left").select(*at, "g", "id", F.coalesce("component", "id").alias("part"))
-    sizes = placed.groupBy(*at, "part").agg(F.count("*").alias("c")).groupBy(*at).agg(F.max(F.struct("c", "part")).alias("x"), F.sum("c").alias("m"), F.count("*").alias("parts"))
-    open_ = sizes.where("parts > 1").select(*at, F.col("x.part").alias("main"), "m", F.when(F.col("m") >= LONG, F.col("x.c")).otherwise(0).alias("c"))
+    sizes = placed.groupBy(*at, "part").agg(F.count("*").alias("c"), F.max("g").alias("top"))
+    sizes = sizes.groupBy(*at).agg(F.max(F.struct("c", "part")).alias("x"), F.sum("c").alias("m"), F.count("*").alias("parts"), F.max("top").alias("top"))
+    open_ = sizes.where("parts > 1 and top = size").select(*at, F.col("x.part").alias("main"), "m", F.when(F.col("m") >= LONG, F.col("x.c")).otherwise(0).alias("c"))
     rest = keep(placed.join(open_, at))
 
     # In long lists those outside a large component meet all its members and each other, set against set, in blocks of both.
@@ -243,7 +249,7 @@ def links(docs: DataFrame, classes: DataFrame, id_col: str, text: str, width: in
 
     # Members of other open lists meet where their estimate allows it.
     wide = rest.where(F.col("c") < LARGE).withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int"))
-    wide = wide.join(bits, "id")
+    wide = keep(wide.join(bits, "id"))
     all_ = wide.withColumn("block", dealt("blocks")).alias("y")
     some_ = wide.where("part <> main").withColumn("block", spread("blocks")).alias("x")
     once = (F.col("y.part") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))
@@ -259,7 +265,7 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: i
     """id, n_shingles, component_id (the smallest id reachable by links, its own for a document without any) for every row."""
     rows = keep(sketches(docs, id_col, text, width))
     full = rows.where("key is not null and id is not null")
-    classes = keep(full.groupBy("key").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("low").alias("low"), F.first("sketch").alias("sketch"), *(F.first(m).alias(m) for m in MARKS)))
+    classes = keep(full.groupBy("key").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("low").alias("low"), *(F.first(m).alias(m) for m in MARKS)))
     found = components(links(docs, classes, id_col, text, width, num, den))
     of_class = classes.join(found.withColumnRenamed("node", "id"), "id", "left").select("key", F.coalesce("component", "id").alias("component_id"))
     # A row without an id isn't sought; it has no component.
