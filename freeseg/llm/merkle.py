@@ -2,19 +2,23 @@
 
 Paragraphs are lines. A section ends after an empty paragraph or one whose digest is a multiple of SECTION, so sections
 keep their borders when text is put in elsewhere. A paragraph's pieces end after a word whose hash is a multiple of
-PIECE. The root is a digest of the sections' digests, those of their paragraphs' digests, and those of the text: equal
+PIECE; in texts of SHORT_WORDS words or fewer its words are leaves too. The root is a digest of the sections' digests, those of their paragraphs' digests, and those of the text: equal
 texts have equal roots, and different ones have different roots as surely as the digest can tell. The fingerprint is
-the tree as a string; where two roots differ, `differences` follows the branches that differ to the paragraphs, and
-`likeness` is the share of equal pieces.
+the tree as a string, with a fixed number of characters for each node: 64 for the root, 8 for a section or paragraph, 4 for a piece or word.
+
+Two trees are compared from the roots down, and only where digests differ: equal sections are set against each other, then
+equal paragraphs of the sections that are left, then equal leaves of the paragraphs that are left. What no equal node covers are the branches that
+differ; `differences` gives their paragraphs, and `likeness` is the share of leaves below equal nodes.
 
 Nulls and odd input: a null text is an empty one. `with_next` orders rows by id, null ids first, rows with the same id by
-text; after the last comes the first. A text without words has no pieces: its likeness is 1 to equal texts, else 0.
+text; after the last comes the first. A text without words has no leaves: its likeness is 1 to equal texts, else 0.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
+from collections import defaultdict
 from typing import NamedTuple
 
 import numpy as np
@@ -24,14 +28,39 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .kernel import BATCH_BYTES, hash_strings, mix, words_of
+from .kernel import BATCH_BYTES, hash_strings, mix, released, words_of
+
+SECTION, PIECE, SHORT_WORDS = 4, 6, 96
+#: Bytes of text that one task orders and compares, and ranges of ids for each task.
+TASK_BYTES, RANGES = 64 << 20, 16
+
 
-SECTION, PIECE = 4, 6
+class Paragraph(NamedTuple):
+    digest: bytes  # 6 bytes
+    pieces: bytes  # 3 for each
+    words: bytes  # 3 for each, in short texts only
+
+
+class Section(NamedTuple):
+    digest: bytes
+    paragraphs: list[Paragraph]
 
 
 class Tree(NamedTuple):
-    fingerprint: str
-    pieces: np.ndarray  # sorted
+    root: str
+    sections: list[Section]
+    short: bool
+
+    @property
+    def fingerprint(self) -> str:
+        code = lambda x: base64.urlsafe_b64encode(x).decode()
+        line = lambda p: code(p.digest + p.pieces) + ("/" + code(p.words) if self.short else "")
+        return self.root + "".join(f";{code(x.digest)}:{','.join(map(line, x.paragraphs))}" for x in self.sections)
+
+
+def _three(x: np.ndarray) -> bytes:
+    """The upper three bytes of 64-bit numbers."""
+    return np.ascontiguousarray((x >> np.uint64(40)).astype("<u4").view(np.uint8).reshape(-1, 4)[:, :3]).tobytes()
 
 
 def trees(texts: list[str]) -> list[Tree]:
@@ -44,63 +73,101 @@ def trees(texts: list[str]) -> list[Tree]:
         ends[w.offsets[1:][w.offsets[1:] > w.offsets[:-1]] - 1] = True
         first = np.concatenate([[0], np.flatnonzero(ends)[:-1] + 1])
         place = np.arange(len(words)) - np.repeat(first, np.diff(np.append(first, len(words))))
-        pieces = (np.add.reduceat(mix(words + place.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)), first) >> np.uint64(32)).astype(np.uint32)
+        pieces = _three(np.add.reduceat(mix(words + place.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)), first))
         piece_at = np.searchsorted(first, w.offsets).tolist()
     else:
-        pieces, piece_at = np.zeros(0, np.uint32), [0] * len(w.offsets)
-    raw, out = pieces.tobytes(), []
+        pieces, piece_at = b"", [0] * len(w.offsets)
+    leaves, word_at, out = _three(mix(words)), w.offsets.tolist(), []
     bodies = paragraphs.cast(pa.binary()).to_pylist()
     for a, b in zip(starts[:-1], starts[1:], strict=True):
-        sections, section, text = [], [], []
+        sections, nodes, section, full = [], [], [], []
+        short = word_at[b] - word_at[a] <= SHORT_WORDS
         for p in range(a, b):
             digest = hashlib.blake2b(bodies[p], digest_size=16).digest()
-            section.append(digest)
-            text.append(digest[:6].hex() + base64.b64encode(raw[4 * piece_at[p] : 4 * piece_at[p + 1]]).decode())
+            full.append(digest)
+            section.append(Paragraph(digest[:6], pieces[3 * piece_at[p] : 3 * piece_at[p + 1]], leaves[3 * word_at[p] : 3 * word_at[p + 1]] if short else b""))
             if p == b - 1 or not bodies[p] or not digest[0] % SECTION:
-                node = hashlib.blake2b(b"".join(section), digest_size=16).digest()
-                sections.append((node, ",".join(text)))
-                section, text = [], []
-        root = hashlib.blake2b(b"".join(x for x, _ in sections), digest_size=32).hexdigest()
-        print_ = root + "".join(f";{x[:6].hex()}:{y}" for x, y in sections)
-        out.append(Tree(print_, np.sort(pieces[piece_at[a] : piece_at[b]])))
+                node = hashlib.blake2b(b"".join(full), digest_size=16).digest()
+                nodes.append(node)
+                sections.append(Section(node[:6], section))
+                section, full = [], []
+        out.append(Tree(hashlib.blake2b(b"".join(nodes), digest_size=32).hexdigest(), sections, short))
     return out
 
 
+def _unmatched(a: list, b: list, key) -> tuple[list, list, list]:
+    """The members of a that have no equal one left in b, those of b that have none in a, and those of a that have."""
+    there = defaultdict(list)
+    for y in b:
+        there[key(y)].append(y)
+    only, both = [], []
+    for x in a:
+        mine = there.get(key(x))
+        if mine:
+            mine.pop()
+            both.append(x)
+        else:
+            only.append(x)
+    return only, [y for ys in there.values() for y in ys], both
+
+
+class Comparison(NamedTuple):
+    likeness: float
+    differs: list[tuple[int, int]]  # (section, paragraph) of the first tree without an equal one
+
+
+def compare(a: Tree, b: Tree) -> Comparison:
+    """Descends both trees at once where their digests differ."""
+    if a.root == b.root:
+        return Comparison(1.0, [])
+    at = 2 if a.short and b.short else 1  # words or pieces
+    size = lambda x: sum(len(p[at]) for p in x.paragraphs)
+    mine, theirs, same = _unmatched(list(enumerate(a.sections)), list(enumerate(b.sections)), lambda x: x[1].digest)
+    shared = sum(size(x) for _, x in same)
+    here = [(i, j, p) for i, x in mine for j, p in enumerate(x.paragraphs)]
+    there = [(0, 0, p) for _, x in theirs for p in x.paragraphs]
+    total = 2 * shared + sum(len(p[at]) for _, _, p in here) + sum(len(p[at]) for _, _, p in there)
+    here, there, same = _unmatched(here, there, lambda x: x[2].digest)
+    shared += sum(len(p[at]) for _, _, p in same)
+    # Leaves of the paragraphs that differ, as bags.
+    shared += 3 * _common(*(np.frombuffer(b"".join(p[at] for _, _, p in side), np.dtype("V3")) for side in (here, there)))
+    return Comparison(2 * shared / total if total else 0.0, [(i, j) for i, j, _ in here])
+
+
 def _common(a: np.ndarray, b: np.ndarray) -> int:
-    """Size of the intersection of two sorted bags."""
-    x, n = np.unique(a, return_counts=True)
-    y, m = np.unique(b, return_counts=True)
+    """Size of the intersection of two bags of three bytes each."""
+    wide = lambda x: np.pad(x.view(np.uint8).reshape(-1, 3), ((0, 0), (0, 1))).view("<u4").ravel()
+    if not len(a) or not len(b):
+        return 0
+    x, n = np.unique(wide(a), return_counts=True)
+    y, m = np.unique(wide(b), return_counts=True)
     _, i, j = np.intersect1d(x, y, assume_unique=True, return_indices=True)
     return int(np.minimum(n[i], m[j]).sum())
 
 
-def tree_likeness(a: Tree, b: Tree) -> float:
-    """1 where the roots are equal, else twice the equal pieces over all pieces of both."""
-    if a.fingerprint[:64] == b.fingerprint[:64]:
-        return 1.0
-    total = len(a.pieces) + len(b.pieces)
-    return 2 * _common(a.pieces, b.pieces) / total if total else 0.0
-
-
-def parse(fingerprint: str) -> list[tuple[str, list[tuple[str, np.ndarray]]]]:
-    """(digest, [(digest, pieces) of each paragraph]) of each section."""
-    sections = [x.split(":") for x in fingerprint.split(";")[1:]]
-    return [(d, [(p[:12], np.frombuffer(base64.b64decode(p[12:]), np.uint32)) for p in body.split(",")]) for d, body in sections]
+def parse(fingerprint: str) -> Tree:
+    """The tree that a fingerprint says."""
+    decode, sections, short = base64.urlsafe_b64decode, [], False
+    for part in fingerprint[64:].split(";")[1:]:
+        digest, _, body = part.partition(":")
+        lines = []
+        for line in body.split(","):
+            own, mark, words = line.partition("/")
+            raw = decode(own)
+            short |= bool(mark)
+            lines.append(Paragraph(raw[:6], raw[6:], decode(words)))
+        sections.append(Section(decode(digest), lines))
+    return Tree(fingerprint[:64], sections, short)
 
 
 def likeness(a: str, b: str) -> float:
     """Likeness of two fingerprints, 0 to 1."""
-    pieces = lambda f: np.sort(np.concatenate([np.zeros(0, np.uint32), *(x for _, body in parse(f) for _, x in body)]))
-    return tree_likeness(Tree(a, pieces(a)), Tree(b, pieces(b)))
+    return compare(parse(a), parse(b)).likeness
 
 
 def differences(a: str, b: str) -> list[tuple[int, int]]:
-    """(section, paragraph) of the paragraphs of a that b lacks; sections that b has are not gone into."""
-    if a[:64] == b[:64]:
-        return []
-    there = parse(b)
-    sections, paragraphs = {d for d, _ in there}, {p for _, body in there for p, _ in body}
-    return [(i, j) for i, (d, body) in enumerate(parse(a)) if d not in sections for j, (p, _) in enumerate(body) if p not in paragraphs]
+    """(section, paragraph) of the paragraphs of a that b lacks; what has an equal digest in b is not gone into."""
+    return compare(parse(a), parse(b)).differs
 
 
 def edit(text: str, following: str) -> str:
@@ -113,8 +180,9 @@ def in_order(docs: DataFrame, id_col: str = "doc_id", text: str = "text", bucket
     """bucket, tail, id, text: rows dealt by ranges of ids and sorted, and at the end of each range, marked as tail, the rows with the id that comes next. One shuffle of the texts; the first id of each range comes to the driver."""
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    buckets = buckets or 4 * parts
+    size = rows.agg(F.coalesce(F.sum(F.octet_length("text").cast("long")), F.lit(0)).alias("n")).first().n
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // TASK_BYTES))
+    buckets = buckets or RANGES * parts
     cuts = rows.approxQuantile("id", [k / buckets for k in range(1, buckets)], 0.2 / buckets) if buckets > 1 else []
     bounds = spark.sparkContext.broadcast(np.unique(np.array(cuts, np.float64)))
 
@@ -122,6 +190,7 @@ def in_order(docs: DataFrame, id_col: str = "doc_id", text: str = "text", bucket
         at = np.searchsorted(bounds.value, ids.fill_null(0).to_numpy(zero_copy_only=False).astype(np.float64), side="right")
         return np.where(ids.is_null().to_numpy(zero_copy_only=False), 0, at)
 
+    @released
     def firsts(batches):
         for batch in batches:
             ids = batch.column(0)
@@ -132,6 +201,7 @@ def in_order(docs: DataFrame, id_col: str = "doc_id", text: str = "text", bucket
     #: Of each range, its first id and the range before, the last before the first.
     before = {b: (first, lead[k - 1][0]) for k, (b, first) in enumerate(lead)}
 
+    @released
     def deal(batches):
         for batch in batches:
             ids = batch.column(0)
@@ -165,7 +235,7 @@ def neighbours(batches):
             size += len(t)
 
 
-FIELDS = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, n_sections long, n_paragraphs long"
+FIELDS = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, n_sections long, n_paragraphs long, edited_paragraphs array<int>"
 
 
 def fingerprints(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -173,6 +243,7 @@ def fingerprints(docs: DataFrame, text: str = "text") -> DataFrame:
     keep = [c for c in docs.columns if c != "fingerprint"]
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField("fingerprint", T.StringType())])
 
+    @released
     def run(batches):
         for batch in batches:
             made = trees([x or "" for x in batch.column(text).to_pylist()])
@@ -182,19 +253,23 @@ def fingerprints(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def compare_edits(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
-    """FIELDS of each row: its fingerprint, that of its text with the last half replaced by the next row's beginning, and how like they are."""
+    """FIELDS of each row: its fingerprint, that of its text with the last half replaced by the next row's beginning, how like they are, and the paragraphs (from 0) of the edited text that the row's own tree lacks."""
     names = [x.split()[0] for x in FIELDS.split(", ")]
 
+    @released
     def run(batches):
         for rows, after in neighbours(batches):
             texts = [t for _, t in rows] + [after]
             edited = [edit(a, b) for a, b in zip(texts, texts[1:], strict=False)]
             own, other = trees(texts), trees(edited)
+            changes = [compare(b, a) for a, b in zip(own, other, strict=False)]
+            begins = [np.concatenate([[0], np.cumsum([len(x.paragraphs) for x in t.sections])]) for t in other]
             cols = [
                 pa.array([i for i, _ in rows], pa.int64()), pa.array([len(t) for _, t in rows], pa.int64()), pa.array([hashlib.sha256(t.encode()).hexdigest() for t in edited]),
                 pa.array([t.fingerprint for t in own[:-1]]), pa.array([t.fingerprint for t in other]),
-                pa.array([tree_likeness(a, b) for a, b in zip(own, other, strict=False)]), pa.array([tree_likeness(a, b) for a, b in zip(own, own[1:], strict=False)]),
-                pa.array([t.fingerprint.count(";") for t in own[:-1]], pa.int64()), pa.array([t.count("\n") + 1 for _, t in rows], pa.int64()),
+                pa.array([c.likeness for c in changes]), pa.array([compare(a, b).likeness for a, b in zip(own, own[1:], strict=False)]),
+                pa.array([len(t.sections) for t in own[:-1]], pa.int64()), pa.array([t.count("\n") + 1 for _, t in rows], pa.int64()),
+                pa.array([[int(at[i]) + j for i, j in c.differs] for at, c in zip(begins, changes, strict=True)], pa.list_(pa.int32())),
             ]
             yield pa.RecordBatch.from_arrays(cols, names)
 
