@@ -3,7 +3,7 @@
 Each record is one gzip member. The writer stores a payload once: of records with equal payloads of at least
 `least` bytes the one with the smallest id is a response, the others are revisit records that refer to it. The reader
 goes through a file once, in blocks: it inflates member after member, frames each record by its content length and
-compares the payload's SHA-256 with the digest in its header.
+compares the payload's SHA-256 with the digest in its header, and a revisit's digest with that of the response it refers to.
 
 Tasks write to names of their own and move the finished file, so a task that runs twice leaves one archive. Paths are
 URIs of any file system that pyarrow opens; every executor must see them.
@@ -30,9 +30,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..shipping import cut, shared_dir
+from .kernel import released
+from .tables import BROADCAST_ROWS, keep
 
-VERSION, DATE, BLOCK = "WARC/1.1", "2000-01-01T00:00:00Z", 1 << 16
+from ..shipping import cut, work_dir
+VERSION, DATE, BLOCK, SALTS = "WARC/1.1", "2000-01-01T00:00:00Z", 1 << 16, 16
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 READ = "page_id long, url string, payload binary, payload_bytes long, payload_digest string, record_type string, refers_to long, verified boolean"
 
@@ -51,13 +53,16 @@ def record_bytes(headers: dict[str, str], block: bytes) -> bytes:
 
 def inflated(read, size: int = BLOCK) -> Iterator[bytes]:
     """Pieces of a file of gzip members as it is read; `read(n)` gives at most n bytes."""
-    open_ = zlib.decompressobj(31)
+    open_, begun = zlib.decompressobj(31), False
     while data := read(size):
         while data:
+            begun = True
             yield open_.decompress(data)
             data = open_.unused_data
             if open_.eof:
-                open_ = zlib.decompressobj(31)
+                open_, begun = zlib.decompressobj(31), False
+    if begun:
+        raise ValueError("the archive ends inside a gzip member")
 
 
 def records(read) -> Iterator[Record]:
@@ -101,19 +106,29 @@ def _page(urn: str | None) -> int | None:
 
 
 def with_decisions(pages: DataFrame, id_col: str = "page_id", payload: str = "html", url: str = "url", least: int = 100) -> DataFrame:
-    """id, url, payload, n_bytes, digest and refers_to (null for responses). The join meets only digests that occur more than once."""
+    """id, url, payload, n_bytes, digest and refers_to (null for responses). Only digests and ids are aggregated. Digests that occur more than once meet the rows by a checked broadcast; if they are too many, by a join in which each digest has SALTS parts, so that the rows of a frequent one are dealt out."""
     body = F.coalesce(F.col(payload).cast("string"), F.lit(""))
     rows = pages.select(F.col(id_col).cast("long").alias("id"), F.col(url).cast("string").alias("url"), body.alias("payload")).withColumns(
         {"digest": F.sha2(F.col("payload"), 256), "n_bytes": F.octet_length("payload").cast("long")}
     )
-    firsts = rows.where(F.col("n_bytes") >= least).groupBy("digest").agg(F.min("id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
+    firsts = keep(rows.where(F.col("n_bytes") >= least).groupBy("digest").agg(F.min("id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"))
     refers = F.when((F.col("n_bytes") >= least) & F.col("first").isNotNull() & ~F.col("id").eqNullSafe(F.col("first")), F.col("first"))
-    return rows.join(firsts, "digest", "left").select("id", "url", "payload", "n_bytes", "digest", refers.alias("refers_to"))
+    return met(rows, firsts, "digest", "id").select("id", "url", "payload", "n_bytes", "digest", refers.alias("refers_to"))
+
+
+def met(rows: DataFrame, few: DataFrame, key: str, by: str, most: int = BROADCAST_ROWS) -> DataFrame:
+    """rows left joined with a kept table of one row for each key: by a checked broadcast, else salted by the column `by`."""
+    if few.count() <= most:
+        return rows.join(F.broadcast(few), key, "left")
+    salt = F.pmod(F.xxhash64(by), F.lit(SALTS)).cast("int")
+    dealt = few.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return rows.withColumn("__salt", salt).join(dealt, [key, "__salt"], "left").drop("__salt")
 
 
 def write(decided: DataFrame, to: str) -> DataFrame:
     """Writes an archive for each partition; gives path and n_records of each. The result is a checkpoint: reading it writes nothing again."""
 
+    @released
     def run(batches):
         out = None
         for batch in batches:
@@ -158,8 +173,10 @@ def parse(rec: Record) -> tuple | None:
 
 
 def read(archives: DataFrame, path: str = "path", strict: bool = True, payloads: bool = True) -> DataFrame:
-    """The response and revisit records of the archives at the given paths, as READ says. strict: a payload that doesn't fit its digest ends the job; else `verified` tells. payloads: False leaves them null once verified."""
+    """The response and revisit records of the archives at the given paths, as READ says. strict: a payload that doesn't fit its digest ends the job, and so does an archive without as many records as its row's n_records says, if there is that column; else `verified` tells. Whether a revisit's digest is that of the response it refers to is not known here, see `linked`. payloads: False leaves them null once verified."""
+    counted = "n_records" in archives.columns
 
+    @released
     def run(batches):
         names = [x.split()[0] for x in READ.split(", ")]
         types = [pa.int64(), pa.string(), pa.binary(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.bool_()]
@@ -168,9 +185,9 @@ def read(archives: DataFrame, path: str = "path", strict: bool = True, payloads:
             return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), types, strict=True)], names)
 
         for batch in batches:
-            for uri in batch.column(0).to_pylist():
+            for uri, n in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist() if counted else [None] * batch.num_rows, strict=True):
                 fs, at = pafs.FileSystem.from_uri(uri)
-                rows, held = [], 0
+                rows, held, found = [], 0, 0
                 with fs.open_input_stream(at, compression=None) as f:
                     for rec in records(f.read):
                         row = parse(rec)
@@ -178,6 +195,7 @@ def read(archives: DataFrame, path: str = "path", strict: bool = True, payloads:
                             continue
                         if strict and not row[-1]:
                             raise ValueError(f"a payload of {uri} doesn't fit its digest: {rec.headers['WARC-Record-ID']}")
+                        found += 1
                         held += len(row[2] or b"") * payloads
                         rows.append(row if payloads else (*row[:2], None, *row[3:]))
                         if held >= 4 << 20 or len(rows) >= 10_000:
@@ -185,13 +203,28 @@ def read(archives: DataFrame, path: str = "path", strict: bool = True, payloads:
                             rows, held = [], 0
                 if rows:
                     yield out(rows)
+                if strict and n is not None and n != found:
+                    raise ValueError(f"{uri} has {found} records of {n}")
+
+    return archives.select(path, *(["n_records"] if counted else [])).mapInArrow(run, READ)
+
 
-    tasks = archives.select(path)
-    return tasks.mapInArrow(run, READ)
+def linked(found: DataFrame, among: DataFrame | None = None) -> DataFrame:
+    """found, where a revisit is `verified` if a response of the page that it refers to has its digest and size. among: where the responses are, by default found itself; of them only ids, digests and sizes are read."""
+    own = (found if among is None else among).where("record_type = 'response' and page_id is not null").select(F.col("page_id").alias("refers_to"), F.struct(F.col("payload_digest").alias("d"), F.col("payload_bytes").alias("n")).alias("__x"))
+    wanted = keep(found.where("record_type = 'revisit'").select("refers_to").distinct())
+    own = own.join(F.broadcast(wanted) if wanted.count() <= BROADCAST_ROWS else wanted, "refers_to", "left_semi")
+    there = keep(own.groupBy("refers_to").agg(F.collect_set("__x").alias("__there")))
+    fits = F.exists("__there", lambda x: (x["d"] == F.col("payload_digest")) & (x["n"] == F.col("payload_bytes")))
+    both = met(found, there, "refers_to", "page_id")
+    return both.withColumn("verified", F.when(F.col("record_type") == "revisit", F.coalesce(fits, F.lit(False))).otherwise(F.col("verified"))).select(*found.columns)
 
 
 def round_trip(pages: DataFrame, to: str | None = None, id_col: str = "page_id", payload: str = "html", url: str = "url", payloads: bool = True) -> DataFrame:
     """Writes pages to archives in `to`, by default a new folder in the shared one, and reads them back."""
     spark: SparkSession = pages.sparkSession
-    to = to or f"{shared_dir(spark).rstrip('/')}/warc-{uuid.uuid4().hex}"
-    return read(write(with_decisions(pages, id_col, payload, url), to), payloads=payloads)
+    to = to or f"{work_dir(spark)}/warc-{uuid.uuid4().hex}"
+    archives = write(with_decisions(pages, id_col, payload, url), to)
+    if not payloads:
+        return linked(keep(read(archives, payloads=False)))
+    return linked(read(archives), keep(read(archives, payloads=False)))
