@@ -7,11 +7,13 @@ agree: each name in the item stands for one in the text, and the other way round
 are equal in the item need not be so in the text. An item is so found with other numbers or names too. A capital at the beginning of
 a sentence may be a name's or not, so windows are looked up by both readings.
 
-The benchmark is the query set. It is taken in blocks of bounded size, each broadcast and matched in the same pass over
-the texts; no text is shuffled.
+A window of placeholders alone would stand for any list of numbers or names; it is taken literally, by its words as they stand.
 
-Nulls and odd input: null and empty texts hold nothing. Items with fewer words than `width` are one window; items with
-fewer than `least` words are never found. Repeated items are reported under each of their ids; items without an id are
+The benchmark is the query set. It is taken in blocks of bounded size, each broadcast and matched in one pass over
+the texts; no text is shuffled. Between blocks the rows are written to the shared folder, so one block is held at a time.
+
+Nulls and odd input: null and empty texts hold nothing. Items with fewer words than `width` are one window; an item with
+fewer than `least` words is found only where a text is that item as a whole, up to case and marks; items without a word are in no text. Repeated items are reported under each of their ids; items without an id are
 left out. With an empty benchmark nothing is found.
 """
 
@@ -27,7 +29,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .kernel import cut_batches, hash_strings, mix, ranges, words_of
+from .kernel import cut_batches, hash_strings, mix, ranges, released, words_of
+from .tables import keep as kept
 from .toxicity import MARKS
 
 WIDTH, COVER, LEAST, ENOUGH, BLOCK_BYTES = 8, 0.5, 4, 16, 16 << 20
@@ -40,6 +43,7 @@ UNITS = frozenset(
 NUMBER = re.compile(r"[$€£]?[+-]?\d[\d.,:/]*(%|[a-zµ°]{1,3})?")
 WORD, NUM, UNIT, NAME = 0, 1, 2, 3
 SLOT = np.array([0, 0x51ED270B, 0x6C8E9CF5, 0x3C6EF372], np.uint64)
+LITERAL = np.uint64(0x2545F4914F6CDD1D)
 
 
 class Canonical(NamedTuple):
@@ -83,32 +87,47 @@ def canonical(texts: pa.Array) -> Canonical:
 
 
 def readings(c: Canonical, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Places and hashes of windows, and whether they are of the reading that takes capitals at the beginning of a sentence as names; of that only windows that differ."""
+    """Places and hashes of windows, and whether they are of the reading that takes capitals at the beginning of a sentence as names; of that only windows that differ and still hold a word."""
     at, h = windows(c, width)
+    words = np.concatenate([[0], np.cumsum((c.kinds == WORD) & ~c.begins)])
     names = np.concatenate([[0], np.cumsum(c.begins)])
-    differ = at[names[at + width] > names[at]]
+    differ = at[(names[at + width] > names[at]) & (words[at + width] > words[at])]
     other = np.where(c.begins, SLOT[NAME], c.hashes)
-    g = np.zeros(len(differ), np.uint64)
+    return np.concatenate([at, differ]), np.concatenate([h, hashed(other, differ, width)]), np.repeat([False, True], [len(at), len(differ)])
+
+
+def hashed(words: np.ndarray, at: np.ndarray, width: int) -> np.ndarray:
+    """Hashes of the windows that begin at the given places."""
+    h = np.zeros(len(at), np.uint64)
     for j in range(width):
-        g = g * np.uint64(0x9E3779B97F4A7C15) + other[differ + j]
-    return np.concatenate([at, differ]), np.concatenate([h, mix(g)]), np.repeat([False, True], [len(at), len(differ)])
+        h = h * np.uint64(0x9E3779B97F4A7C15) + words[at + j]
+    return mix(h)
 
 
 def windows(c: Canonical, width: int) -> tuple[np.ndarray, np.ndarray]:
-    """Places where a window of that many words begins, and the windows' hashes."""
+    """Places where a window of that many words begins, and the windows' hashes; those of windows of placeholders alone are of their words as they stand."""
     size = np.diff(c.offsets)
     at = ranges(c.offsets[:-1], np.maximum(size - width + 1, 0))
-    h = np.zeros(len(at), np.uint64)
-    for j in range(width):
-        h = h * np.uint64(0x9E3779B97F4A7C15) + c.hashes[at + j]
-    return at, mix(h)
+    h = hashed(c.hashes, at, width)
+    words = np.concatenate([[0], np.cumsum(c.kinds == WORD)])
+    bare = np.flatnonzero(words[at + width] == words[at])
+    h[bare] = hashed(c.raw, at[bare], width) ^ LITERAL
+    return at, h
+
+
+def wholes(c: Canonical, least: int) -> list[tuple[int, bytes]]:
+    """Number and words of the texts that have a word, but fewer than `least`."""
+    size = np.diff(c.offsets)
+    return [(int(i), c.raw[c.offsets[i] : c.offsets[i + 1]].tobytes()) for i in np.flatnonzero((size > 0) & (size < least))]
 
 
 class Block(NamedTuple):
-    """Some items. tables: by window width the sorted distinct hashes, and for each the (item, place, reading) from first to first of the next."""
+    """Some items. tables: by window width the sorted distinct hashes, and for each the (item, place, reading) from first to first of the next. short: the items with fewer than `least` words, by their words."""
 
     ids: list[int]
     words: Canonical
+    least: int
+    short: dict[bytes, list[int]]
     totals: np.ndarray
     tables: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]
 
@@ -125,13 +144,19 @@ def build_block(ids: list[int], texts: list[str], width: int = WIDTH, least: int
         order = np.argsort(h, kind="stable")
         distinct, first = np.unique(h[order], return_index=True)
         tables[n] = (distinct, np.append(first, len(order)), item[order], (at - c.offsets[item])[order], named[order])
-    return Block(ids, c, np.maximum(size - width + 1, 1), tables)
+    short: dict[bytes, list[int]] = defaultdict(list)
+    for i, words in wholes(c, least):
+        short[words].append(ids[i])
+    return Block(ids, c, least, dict(short), np.maximum(size - width + 1, 1), tables)
 
 
 def find(texts: pa.Array, block: Block, cover: float = COVER) -> list[list[tuple[int, float, bool]]]:
     """For each text (item id, share of its windows found, whether slot values differ) of the items that it holds."""
     out: list[list[tuple[int, float, bool]]] = [[] for _ in range(len(texts))]
     c = canonical(texts)
+    if block.short:
+        for d, words in wholes(c, block.least):
+            out[d] += [(i, 1.0, False) for i in block.short.get(words, ())]
     hits: dict[tuple[int, int], list[tuple[int, int, int, bool]]] = defaultdict(list)
     for n, (distinct, first, item, place, named) in block.tables.items():
         at, h, mine = readings(c, n)
@@ -189,16 +214,19 @@ def item_blocks(items: DataFrame, id_col: str, text: str, block_bytes: int = BLO
         yield [x for x, _ in order], [x for _, x in order]
 
 
-def scan(docs: DataFrame, items: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", width: int = WIDTH, cover: float = COVER, least: int = LEAST) -> DataFrame:
+def scan(docs: DataFrame, items: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", width: int = WIDTH, cover: float = COVER, least: int = LEAST, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """docs with `item_ids` (sorted), `coverage` (largest share found, 0 for none) and `reparameterised`; columns of those names are replaced."""
     sc = docs.sparkSession.sparkContext
     new = ["item_ids", "coverage", "reparameterised"]
     keep = [c for c in docs.columns if c not in new]
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField("item_ids", T.ArrayType(T.LongType())), T.StructField("coverage", T.DoubleType()), T.StructField("reparameterised", T.BooleanType())])
     out = docs.select(*keep)
-    for number, (ids, texts) in enumerate(item_blocks(items, item_id, item_text)):
+    for number, (ids, texts) in enumerate(item_blocks(items, item_id, item_text, block_bytes)):
+        if number:
+            out = kept(out)
         held = sc.broadcast(build_block(ids, texts, width, least))
 
+        @released
         def run(batches, held=held, again=number > 0):
             for batch in cut_batches(batches, text):
                 found = find(batch.column(text), held.value, cover)
