@@ -11,7 +11,8 @@ and clustered as a whole by one task, whatever its size; from MOST_FORMS forms o
 same result. Forms to drop are broadcast if they are few, else joined.
 
 Lines of LONG words or more recur if they stand in two documents, those of SHORT to LONG - 1 words if they do in
-SHORT_DOCS; shorter lines are never dropped.
+SHORT_DOCS; shorter lines are never dropped. Documents are told apart: a form carries the keys of up to SHORT_DOCS of its
+documents, the smallest, so a template's forms together tell exactly whether it has as many.
 
 Nulls and odd input: a null text has no lines and stays null. Blank lines stay. Rows without an id come before others.
 A row is known by its id and a hash of its text, so repeated rows are one document: the same lines stay in each.
@@ -30,11 +31,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .kernel import cut_batches, hash_strings, mix, words_of
+from .kernel import cut_batches, hash_strings, mix, released, words_of
 from .tables import BROADCAST_ROWS, keep
 
 DEPTH, SIMILAR, LONG, SHORT, SHORT_DOCS, MOST_FORMS = 3, 0.8, 8, 3, 10, 2000
 LEAST_ID = -(1 << 63)
+#: Bytes of text whose forms one task clusters.
+TASK_BYTES = 32 << 20
 
 
 class Lines(NamedTuple):
@@ -72,39 +75,43 @@ def row_keys(ids: pa.Array, texts: pa.Array) -> tuple[list[int], list[int]]:
     return ids.fill_null(LEAST_ID).to_pylist(), [xxhash.xxh3_64_intdigest(x or b"") - (1 << 63) for x in texts.cast(pa.binary()).to_pylist()]
 
 
-FORM = "leaf long, body binary, form long, docs long, id long, h long, line long, last_id long, last_h long"
+FORM = "leaf long, body binary, form long, id long, h long, line long, docs binary"
+KEY = np.dtype([("id", ">u8"), ("h", ">u8")])
 FORM_COLUMNS = [x.split()[0] for x in FORM.split(", ")]
 
 
 def forms(docs: DataFrame, depth: int = DEPTH) -> DataFrame:
-    """FORM for each form of each batch of docs (id, t): its number of documents, first place and last document."""
+    """FORM for each form of each batch of docs (id, t): its first place, and the keys of its first SHORT_DOCS documents."""
 
+    @released
     def run(batches):
         for batch in cut_batches(batches, "t"):
             ids, hashes = row_keys(batch.column("id"), batch.column("t"))
             x = lines_of(batch.column("t"), depth)
             order = sorted(range(len(ids)), key=lambda i: (ids[i], hashes[i]))
+            keys = np.empty(len(ids), KEY)  # as bytes they sort as ids and hashes do
+            keys["id"], keys["h"] = (np.array(c, np.int64).view(np.uint64) + np.uint64(1 << 63) for c in (ids, hashes))
+            raw_keys = keys.tobytes()
             seen: dict[int, list] = {}
             for i in order:
-                mine = set()
+                key, mine = raw_keys[16 * i : 16 * i + 16], set()
                 a = int(x.starts[i])
                 for j, (form, n) in enumerate(zip(x.form[a : x.starts[i + 1]].tolist(), x.n[a : x.starts[i + 1]].tolist(), strict=True)):
                     if n < SHORT:
                         continue
                     old = seen.get(form)
                     if old is None:
-                        seen[form] = [a + j, 1, ids[i], hashes[i], j, ids[i], hashes[i]]
-                    elif form not in mine and (old[5], old[6]) != (ids[i], hashes[i]):
-                        old[1] += 1
-                        old[5:] = ids[i], hashes[i]
+                        seen[form] = [a + j, ids[i], hashes[i], j, key]
+                    elif form not in mine and len(old[4]) < 16 * SHORT_DOCS and old[4][-16:] != key:
+                        old[4] += key
                     mine.add(form)
             if not seen:
                 continue
             at = np.array([v[0] for v in seen.values()])
             raw, begin, end = x.body.tobytes(), x.body_at[at].tolist(), x.body_at[at + 1].tolist()
-            rest = list(zip(*(v[1:] for v in seen.values()), strict=True))
+            *rest, docs_of = zip(*(v[1:] for v in seen.values()), strict=True)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(x.leaf[at]), pa.array([raw[2 * a : 2 * b] for a, b in zip(begin, end, strict=True)], pa.binary()), pa.array(list(seen), pa.int64()), *(pa.array(c, pa.int64()) for c in rest)], FORM_COLUMNS
+                [pa.array(x.leaf[at]), pa.array([raw[2 * a : 2 * b] for a, b in zip(begin, end, strict=True)], pa.binary()), pa.array(list(seen), pa.int64()), *(pa.array(c, pa.int64()) for c in rest), pa.array(docs_of, pa.binary())], FORM_COLUMNS
             )
 
     return docs.mapInArrow(run, FORM)
@@ -159,25 +166,30 @@ class Index:
                 at.setdefault(body[part].tobytes(), []).append(k)
 
 
+def keys_of(docs: bytes) -> list[bytes]:
+    return [docs[k : k + 16] for k in range(0, len(docs), 16)]
+
+
 DROP = "form long, id long, h long, line long"
 
 
-def recurring(found: DataFrame, depth: int = DEPTH, similar: float = SIMILAR) -> DataFrame:
-    """DROP: the forms of templates that recur across documents, with the place of the template's line that stays."""
-    parts = int(found.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+def recurring(found: DataFrame, similar: float = SIMILAR, tasks: int = 0) -> DataFrame:
+    """DROP: the forms of templates that recur across documents, with the place of the template's line that stays. Leaves are dealt out to `tasks` tasks, or as many as the session's partitions if these are more."""
+    parts = max(tasks, int(found.sparkSession.conf.get("spark.sql.shuffle.partitions")))
 
     def decide(group: list[list]):
-        """Rows of distinct forms: body, form, docs, first place, last document."""
+        """Rows of distinct forms: body, form, first place, keys of documents."""
         which = cluster([g[0] for g in group], similar) if len(group) > 1 else [0]
         by: dict[int, list[list]] = {}
         for k, g in zip(which, group, strict=True):
             by.setdefault(k, []).append(g)
         for members in by.values():
-            first, last, docs = min(g[3] for g in members), max(g[4] for g in members), sum(g[2] for g in members)
-            if first[:2] != last and (len(members[0][0]) >= LONG or docs >= SHORT_DOCS):
+            first, docs = min(g[2] for g in members), set().union(*(keys_of(g[3]) for g in members))
+            if len(docs) >= (2 if len(members[0][0]) >= LONG else SHORT_DOCS):
                 for g in members:
                     yield (g[1], *first)
 
+    @released
     def run(batches):
         group, leaf, out = [], None, []
 
@@ -188,18 +200,20 @@ def recurring(found: DataFrame, depth: int = DEPTH, similar: float = SIMILAR) ->
             return batch
 
         for batch in batches:
-            for at, body, form, docs, i, h, line, last_i, last_h in zip(*(batch.column(c).to_pylist() for c in FORM_COLUMNS), strict=True):
+            for at, body, form, i, h, line, docs in zip(*(batch.column(c).to_pylist() for c in FORM_COLUMNS), strict=True):
                 body = np.frombuffer(body, np.uint16)
-                first, last = (i, h, line), (last_i, last_h)
+                first = (i, h, line)
                 if at == leaf and group[-1][1] == form:
                     g = group[-1]
-                    g[2], g[3], g[4] = g[2] + docs, min(g[3], first), max(g[4], last)
+                    g[2] = min(g[2], first)
+                    if g[3] != docs:
+                        g[3] = b"".join(sorted({*keys_of(g[3]), *keys_of(docs)})[:SHORT_DOCS])
                     continue
                 if group and at != leaf:
                     out += decide(group)
                     group = []
                 leaf = at
-                group.append([body, form, docs, first, last])
+                group.append([body, form, first, docs])
             if len(out) >= 5000:
                 yield flush()
         if group:
@@ -222,7 +236,8 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", dep
     cols = [c for c in docs.columns if c not in NEW]
     docs = docs.select(*cols)
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text).cast("string").alias("t"))
-    drop = keep(recurring(forms(rows, depth), depth, similar))
+    size = rows.agg(F.coalesce(F.sum(F.octet_length("t").cast("long")), F.lit(0)).alias("n")).first().n
+    drop = keep(recurring(forms(rows, depth), similar, -(-size // TASK_BYTES)))
     schema = T.StructType([*docs.schema.fields, T.StructField("n_lines", T.LongType()), T.StructField("dropped_lines", T.ArrayType(T.IntegerType()))])
 
     def finish(batch, gone):
@@ -234,6 +249,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", dep
         got = drop.toArrow().sort_by("form")
         held = docs.sparkSession.sparkContext.broadcast(tuple(got.column(c).to_numpy() for c in ("form", "id", "h", "line")))
 
+        @released
         def apply(batches):
             form, fid, fh, fline = held.value
             for batch in cut_batches(batches, text):
@@ -250,6 +266,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", dep
 
         return docs.mapInArrow(apply, schema)
 
+    @released
     def places(batches):
         for batch in cut_batches(batches, "t"):
             ids, hashes = row_keys(batch.column("id"), batch.column("t"))
@@ -261,11 +278,13 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", dep
     hits = rows.mapInArrow(places, "form long, i long, k long, l long").join(drop, "form").where("i <> id or k <> h or l <> line")
     lists = hits.groupBy("i", "k").agg(F.collect_set(F.col("l").cast("int")).alias("__gone"))
 
+    @released
     def keyed(batches):
         for batch in cut_batches(batches, text):
             ids, hashes = row_keys(batch.column(id_col).cast(pa.int64()), batch.column(text))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(ids, pa.int64()), pa.array(hashes, pa.int64())], [*cols, "__i", "__k"])
 
+    @released
     def apply_lists(batches):
         for batch in batches:
             yield finish(batch, [set(g or ()) for g in batch.column("__gone").to_pylist()])
