@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .kernel import cut_batches, hash_strings, ranges, segment_sum, words_of
+from .kernel import cut_batches, hash_strings, ranges, release, released, segment_sum, words_of
 from .tables import keep
 
 CONTEXT, STRIDE, SIZE, CLASSES, FREQUENT = 8, 24, 16, 64, 30
@@ -74,9 +74,14 @@ ONES = {n: np.ones((n, 1), np.float32) for n in (CONTEXT + STRIDE, CLASSES)}
 
 def forward(m: Model, ids: np.ndarray, inside: np.ndarray):
     """Class logits of the scored places of windows, and what the backward pass needs. Exponents are clipped, so no maximum is sought."""
+    n = len(ids)
     x = m.embed[ids]
     x += m.place
-    q, k = x[:, CONTEXT:] @ m.query, x @ m.key
+    both = np.empty((n, STRIDE, 2 * SIZE), np.float32)
+    both[..., :SIZE] = x[:, CONTEXT:]
+    # Products with a shared matrix are one product of all rows.
+    q = (both[..., :SIZE].reshape(-1, SIZE) @ m.query).reshape(n, STRIDE, SIZE)
+    k = (x.reshape(-1, SIZE) @ m.key).reshape(x.shape)
     s = np.matmul(q, k.transpose(0, 2, 1))
     np.clip(s, -30, 30, out=s)
     s += CAUSAL
@@ -85,11 +90,11 @@ def forward(m: Model, ids: np.ndarray, inside: np.ndarray):
     s[begins] += np.where(inside[begins], 0, -1e9).astype(np.float32)[:, None, :]
     np.exp(s, out=s)
     total = np.matmul(s, ONES[CONTEXT + STRIDE])
-    both = np.concatenate([x[:, CONTEXT:], np.matmul(s, x) / total], 2)
-    logits = both @ m.out
+    np.divide(np.matmul(s, x), total, out=both[..., SIZE:])
+    logits = both.reshape(-1, 2 * SIZE) @ m.out
     logits += m.bias
     np.clip(logits, -60, 60, out=logits)
-    return logits, (x, q, k, s, total, both)
+    return logits.reshape(n, STRIDE, CLASSES), (x, q, k, s, total, both)
 
 
 def log_probs(m: Model, sequence: np.ndarray, lengths: np.ndarray) -> np.ndarray:
@@ -207,35 +212,39 @@ def train(m: Model, sequence: np.ndarray, lengths: np.ndarray, order: np.ndarray
         ids, inside, flat = gathered(inputs, first, lengths, seq[pick], at[pick])
         logits, (x, q, k, s, total, both) = forward(model(), ids, inside)
         s /= total
-        g = np.exp(logits, out=logits)
-        g /= np.matmul(g, ONES[CLASSES])
-        np.put_along_axis(g, target[flat][..., None], np.take_along_axis(g, target[flat][..., None], 2) - 1, 2)
+        g = np.exp(logits, out=logits).reshape(-1, CLASSES)
+        g /= g @ ONES[CLASSES]
+        g[np.arange(len(g)), target[flat].ravel()] -= 1
         scored = inside[:, CONTEXT:]
-        g *= scored[..., None] / f(max(1, scored.sum()))
-        d_both = g @ p["out"].T
+        if not scored.all():
+            g *= scored.reshape(-1, 1)
+        g /= f(max(1, scored.sum()))
+        d_both = (g @ p["out"].T).reshape(len(pick), STRIDE, 2 * SIZE)
         d_o = d_both[..., SIZE:]
         d_x = np.matmul(s.transpose(0, 2, 1), d_o)
         d_s = np.matmul(d_o, x.transpose(0, 2, 1))
-        d_s -= (d_s * s).sum(2, keepdims=True)
+        d_s -= np.matmul(d_s * s, ONES[CONTEXT + STRIDE])
         d_s *= s
         d_q, d_k = np.matmul(d_s, k), np.matmul(d_s.transpose(0, 2, 1), q)
-        d_x += d_k @ p["key"].T
-        d_x[:, CONTEXT:] += d_both[..., :SIZE] + d_q @ p["query"].T
+        rows_q, rows_k, flat_x = d_q.reshape(-1, SIZE), d_k.reshape(-1, SIZE), x.reshape(-1, SIZE)
+        d_x += (rows_k @ p["key"].T).reshape(d_x.shape)
+        d_x[:, CONTEXT:] += d_both[..., :SIZE] + (rows_q @ p["query"].T).reshape(d_q.shape)
         d_x *= inside[..., None]
-        flat_x = x.reshape(-1, SIZE)
-        # Only the embeddings of pieces in the batch move.
-        used, local = np.unique(ids.ravel(), return_inverse=True)
-        embed = np.stack([np.bincount(local, d_x[..., j].ravel(), len(used)) for j in range(SIZE)], 1)
-        grads = {
-            "embed": embed, "place": d_x.sum(0), "query": x[:, CONTEXT:].reshape(-1, SIZE).T @ d_q.reshape(-1, SIZE), "key": flat_x.T @ d_k.reshape(-1, SIZE),
-            "out": both.reshape(-1, 2 * SIZE).T @ g.reshape(-1, CLASSES), "bias": g.sum((0, 1)),
-        }
+        # Only the embeddings of pieces in the batch move: rows of a piece are put side by side and added up.
+        by_piece = np.argsort(ids, axis=None, kind="stable")
+        sorted_ids = ids.ravel()[by_piece]
+        first_of = np.flatnonzero(np.diff(sorted_ids, prepend=-1))
+        used, embed = sorted_ids[first_of], np.add.reduceat(d_x.reshape(-1, SIZE)[by_piece], first_of, axis=0)
+        own = both.reshape(-1, 2 * SIZE)
+        grads = {"embed": embed, "place": d_x.sum(0), "query": own[:, :SIZE].T @ rows_q, "key": flat_x.T @ rows_k, "out": own.T @ g, "bias": g.sum(0)}
         rate = RATE * (1 - 0.9 * (since + (until - since) * t / steps))
         for name, d in grads.items():
             rows = used if name == "embed" else slice(None)
-            m1[name][rows] = 0.9 * m1[name][rows] + 0.1 * d.astype(f)
-            m2[name][rows] = 0.99 * m2[name][rows] + 0.01 * d.astype(f) ** 2
-            p[name][rows] -= f(rate) * (m1[name][rows] / f(1 - 0.9**t)) / (np.sqrt(m2[name][rows] / f(1 - 0.99**t)) + f(1e-7))
+            a, b = m1[name][rows], m2[name][rows]
+            a = a * f(0.9) + f(0.1) * d
+            b = b * f(0.99) + f(0.01) * d * d
+            m1[name][rows], m2[name][rows] = a, b
+            p[name][rows] -= f(rate / (1 - 0.9**t)) * a / (np.sqrt(b / f(1 - 0.99**t)) + f(1e-7))
     return model()
 
 
@@ -342,6 +351,7 @@ def gather(blocks: DataFrame, proto) -> DataFrame:
         some = np.flatnonzero(pieces)
         kind = np.repeat(np.arange(3, dtype=np.int8), [len(key), len(some), len(streams)])
         s = pa.concat_arrays([pa.nulls(len(key) + len(some), pa.binary()), pa.array(streams, pa.binary())])
+        release()
         return pa.table(
             {"kind": pa.array(kind), "block": pa.array(np.full(len(kind), block, np.int32)), "key": np.concatenate([key, some, np.arange(len(streams))]), "c": np.concatenate([c, pieces[some], windows]).astype(np.int64), "s": s}
         )
@@ -363,6 +373,7 @@ def unit_of(s: bytes, size: int) -> tuple[np.ndarray, np.ndarray]:
 def summed(units: DataFrame, table_of) -> dict[int, np.ndarray]:
     """The sums over all units (block, key, s) of table_of(units of a task), rows of numbers by their place. The tables have a fixed size; a task adds up its own, and rows meet one by one."""
 
+    @released
     def own(batches):
         rows = table_of((r["block"], r["key"], r["s"]) for batch in batches for r in batch.select(["block", "key", "s"]).to_pylist())
         for k, row in enumerate(rows):
@@ -506,7 +517,10 @@ def score(docs: DataFrame, learn: Column, model_proto: bytes, id_col: str = "doc
         return pa.table({"id": table.column("id"), "n_tokens": cols[0], "n_known": cols[1], "train_tokens": np.full(table.num_rows, n.tokens), "base_score": cols[2], "score": cols[3], "n_pieces": cols[4]})
 
     def guarded(table: pa.Table, known: pa.Table) -> pa.Table:
-        return run(table, known) if table.num_rows else RESULT.empty_table()
+        try:
+            return run(table, known) if table.num_rows else RESULT.empty_table()
+        finally:
+            release()
 
     return blocks.groupBy("block").cogroup(own.groupBy("block")).applyInArrow(guarded, "id long, n_tokens long, n_known long, train_tokens long, base_score double, score double, n_pieces long")
 
