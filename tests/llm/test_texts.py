@@ -1,6 +1,8 @@
 """Language, word pieces, sentence pieces, fingerprints, lines, decontamination and toxicity, each against a plain version."""
 
 import hashlib
+from collections import Counter
+import random
 import zlib
 
 import numpy as np
@@ -182,11 +184,60 @@ def test_differences_locate_the_edited_paragraph():
     other = [*lines]
     other[17] = "this one is new"
     a, b = (merkle.trees(["\n".join(x)])[0].fingerprint for x in (lines, other))
-    flat = [(i, j) for i, (_, body) in enumerate(merkle.parse(a)) for j in range(len(body))]
+    tree = merkle.parse(a)
+    assert tree.fingerprint == a and len(tree.sections) > 2
+    flat = [(i, j) for i, x in enumerate(tree.sections) for j in range(len(x.paragraphs))]
     assert [flat.index(d) for d in merkle.differences(a, b)] == [17]
     assert 0.8 < merkle.likeness(a, b) < 1 and merkle.likeness(a, a) == 1
 
 
+def plain_likeness(a: merkle.Tree, b: merkle.Tree) -> float:
+    """Leaves under equal sections, then under equal paragraphs, then equal ones, over all."""
+    if a.root == b.root:
+        return 1.0
+    at = "words" if a.short and b.short else "pieces"
+    cut = lambda p: [getattr(p, at)[k : k + 3] for k in range(0, len(getattr(p, at)), 3)]
+    left, right = list(a.sections), list(b.sections)
+    shared = 0
+    for x in list(left):
+        for y in right:
+            if x.digest == y.digest:
+                left.remove(x)
+                right.remove(y)
+                shared += sum(len(cut(p)) for p in x.paragraphs)
+                break
+    here, there = [p for x in left for p in x.paragraphs], [p for x in right for p in x.paragraphs]
+    for x in list(here):
+        for y in there:
+            if x.digest == y.digest:
+                here.remove(x)
+                there.remove(y)
+                shared += len(cut(x))
+                break
+    shared += (Counter(w for p in here for w in cut(p)) & Counter(w for p in there for w in cut(p))).total()
+    total = sum(len(cut(p)) for t in (a, b) for x in t.sections for p in x.paragraphs)
+    return 2 * shared / total if total else 0.0
+
+
+def test_likeness_descends_the_tree():
+    rng = random.Random(4)
+    line = lambda: " ".join(rng.choice("abcdefgh") * rng.randint(1, 3) for _ in range(rng.randint(0, 14)))
+    texts = ["\n".join(line() for _ in range(rng.randint(1, 30))) for _ in range(40)]
+    texts += [t[: len(t) // 2] + rng.choice(texts)[: len(t) // 2] for t in texts] + ["", "\n\n", "one"]
+    made = merkle.trees(texts)
+    for a, b in [(rng.choice(made), rng.choice(made)) for _ in range(300)] + list(zip(made, made[40:], strict=False)):
+        got = merkle.compare(a, b)
+        assert got.likeness == pytest.approx(plain_likeness(a, b)) and merkle.likeness(a.fingerprint, b.fingerprint) == got.likeness
+        assert (got.likeness == 1.0) == (a.fingerprint == b.fingerprint) or got.likeness < 1.0 or a.root != b.root
+        assert all(i < len(a.sections) and j < len(a.sections[i].paragraphs) for i, j in got.differs)
+    assert all(merkle.parse(t.fingerprint) == t for t in made)
+
+
+def test_half_of_a_short_text_is_seen(spark):
+    rows = merkle.compare_edits(documents(spark, ["one two three four five six seven eight", "nothing of this kind is in the other text at all"])).orderBy("doc_id").collect()
+    assert 0.4 <= rows[0].near_edited <= 0.6 and rows[0].near_next == 0.0 and rows[0].edited_paragraphs == [0]
+
+
 def test_fingerprints_of_odd_rows(spark):
     docs = odd_documents(spark)
     rows = merkle.compare_edits(docs).collect()
