@@ -9,7 +9,9 @@ import pytest
 from freeseg.plans import oracles, relational, workloads
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SOME = [*oracles.ORACLES, *relational.ORACLES]
+#: Left out are those whose steps others have too.
+LESS = {"w02", "w06", "w07", "w10", "w12", "w14", "w17", "w19", "w20", "w23", "w24", "w34", "w35", "w38", "w39", "w45", "r05", "r10", "r12", "r15", "r29"}
+SOME = [k for k in (*oracles.ORACLES, *relational.ORACLES) if k[:3] not in LESS]
 
 
 def plain(v):

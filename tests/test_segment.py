@@ -49,8 +49,9 @@ def lists(rows):
     return {(r.lang, r.stmt_id): [x.token for x in r.t] for r in rows.groupBy("lang", "stmt_id").agg(F.array_sort(F.collect_list(F.struct("tok_no", "token"))).alias("t")).collect()}
 
 
-CONFIGS = [segment.Config("tf", kind, ranks, 0.0001, 0.3, combine) for kind in profile.OFFSHOOTS for combine in ("max", "mean", "forward", "backward") for ranks in ((1,), (1, 2))]
-CONFIGS += [segment.Config(base, kind, ranks, 0.001, 0.2, kind=wide) for base in ("p", "cp", "tf") for kind in ("raw", "peak") for ranks, wide in (((1, 2), "symbol"), ((2,), "gram"))]
+CONFIGS = [segment.Config("tf", kind, (1, 2), 0.0001, 0.3) for kind in profile.OFFSHOOTS]
+CONFIGS += [segment.Config("tf", "variance", (1,), 0.0001, 0.3, combine) for combine in ("mean", "forward", "backward")]
+CONFIGS += [segment.Config(base, "peak", ranks, 0.001, 0.2, kind=wide) for base in ("p", "cp", "tf") for ranks, wide in (((1, 2), "symbol"), ((2,), "gram"))]
 
 
 @pytest.mark.parametrize("c", CONFIGS, ids=lambda c: "-".join(map(str, (c.base, c.offshoot, c.ranks, c.combine, c.kind))))
