@@ -29,13 +29,19 @@ def register(spark: SparkSession, grams: DataFrame, config: segment.Config = seg
     def segment_text(lang: pa.Array, text: pa.Array) -> pa.Array:
         return apply.tokens_of(pa.RecordBatch.from_arrays([lang, text], ["lang", "text"]), "lang", "text", own, config.threshold)
 
+    spark.udf.register("segment_text", segment_text)
+    register_measures(spark)
+
+
+def register_measures(spark: SparkSession) -> None:
+    """Registers bag_f1(hyp, ref) -> double, an aggregate of the tokens of rows; nulls are no tokens."""
+
     @F.pandas_udf("double")
     def bag_f1(hyp: pd.Series, ref: pd.Series) -> float:
         h, r = Counter(hyp.dropna()), Counter(ref.dropna())
         total = h.total() + r.total()
         return 2 * (h & r).total() / total if total else 0.0
 
-    spark.udf.register("segment_text", segment_text)
     spark.udf.register("bag_f1", bag_f1)
 
 

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import udfs
-from ..operators import evaluate, model, segment
+from ..operators import baselines, evaluate, model, segment
 from ..shipping import ship
 from ..sources import corpus
 from ..sources.store import kept
@@ -224,6 +224,21 @@ def r38_json_lines(spark, sf_dir):
     return corpus.json_lines(records, "j", ["title", "desc", "content"], "conv_id", "turn")
 
 
+def r39_udtf_tokens(spark, sf_dir):
+    """Benchmark items segmented by the freedom of their own symbols, by the table function."""
+    udfs.register_tables(spark)
+    return spark.sql("SELECT item_id, t.tok_no, t.start, t.token FROM {b}, LATERAL text_tokens(text, 0.4) t", b=corpus.table(spark, sf_dir, "benchmark"))
+
+
+def r40_udaf_bag_f1(spark, sf_dir):
+    """F1 of these tokens against the reference tokens of each item, by the registered aggregate."""
+    udfs.register_measures(spark)
+    items = corpus.table(spark, sf_dir, "benchmark").select(F.lit("en").alias("lang"), F.col("item_id").alias("stmt_id"), "text")
+    hyp = evaluate.solid(r39_udtf_tokens(spark, sf_dir)).select("item_id", F.col("token").alias("hyp"), F.lit(None).cast("string").alias("ref"))
+    ref = baselines.reference_tokens(items).select(F.col("stmt_id").alias("item_id"), F.lit(None).cast("string").alias("hyp"), F.col("token").alias("ref"))
+    return spark.sql("SELECT item_id, round(bag_f1(hyp, ref), 6) AS f1 FROM {t} GROUP BY item_id", t=hyp.unionByName(ref))
+
+
 def _shipped(f):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         ship(spark)
@@ -235,6 +250,11 @@ def _shipped(f):
 QUERIES = {k: _sql(v) for k, v in BOTH.items()} | {k: _sql(v[0]) for k, v in APART.items()} | {k: _shipped(f) for k, f in sorted(globals().items()) if k[:1] == "r" and k[1:3].isdigit()}
 
 _o = oracles
+#: Each item is a corpus of its own.
+OWN_TOKENS = _o.query(
+    ["stmts AS MATERIALIZED (SELECT CAST(item_id AS VARCHAR) AS lang, item_id AS stmt_id, text FROM benchmark)", "lines AS (SELECT lang, text AS line FROM stmts)", *_o.model(2), _o.gaps([1]), _o.base("tf", 0.0)],
+    f", toks AS ({_o.tokens(segment.Config(theta=0.0))}), placed AS (SELECT *, sum(length(token)) OVER (PARTITION BY stmt_id ORDER BY tok_no) - length(token) + 1 AS a FROM toks)",
+)
 ORACLES = (
     {k: _plain(v) for k, v in BOTH.items()}
     | {k: _plain(v[1]) for k, v in APART.items()}
@@ -273,6 +293,9 @@ ORACLES = (
             "numbered AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM cut)",
             "stmts AS MATERIALIZED (SELECT 'seq' AS lang, user_id || ':' || CAST(epoch(date_trunc('second', min(ts))) AS BIGINT) AS stmt_id, string_agg(left(event_type, 1), '' ORDER BY ts, event_id) AS text FROM numbered GROUP BY user_id, s)",
             "lines AS (SELECT lang, text AS line FROM stmts)", *_o.model(3), _o.gaps([2]), _o.base("tf", 0.0)], f"SELECT stmt_id, tok_no, token FROM ({_o.tokens(workloads.EVENTS)})"),
+        "r39_udtf_tokens": f"{OWN_TOKENS} SELECT stmt_id AS item_id, tok_no, CAST(a AS INTEGER) AS start, token FROM placed",
+        "r40_udaf_bag_f1": f"""{OWN_TOKENS}, ref AS ({_o.reference()}), h AS (SELECT stmt_id, token, count(*) AS h FROM placed WHERE trim(token) <> '' GROUP BY ALL), r AS (SELECT stmt_id, token, count(*) AS r FROM ref GROUP BY ALL)
+            SELECT stmt_id AS item_id, round(2 * sum(least(coalesce(h, 0), coalesce(r, 0))) / (sum(coalesce(h, 0)) + sum(coalesce(r, 0))), 6) AS f1 FROM h FULL OUTER JOIN r USING (stmt_id, token) GROUP BY stmt_id""",
         "r38_json_lines": """SELECT conv_id, turn, field, line FROM (SELECT conv_id, turn, 'title' AS field, role AS line FROM conversations UNION ALL SELECT conv_id, turn, 'desc', CAST(conv_id AS VARCHAR) FROM conversations
             UNION ALL SELECT conv_id, turn, 'content', text FROM conversations) WHERE line <> ''""",
     }
