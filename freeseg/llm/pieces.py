@@ -65,7 +65,7 @@ class Codec:
             self.automaton.make_automaton()
         self.byte_score = low - BYTE_PENALTY
         self.chunks = CHUNK if lines else LINE_CHUNK
-        self.known: dict[str, bytes] = {}
+        self.known: dict[str, tuple[bytes, bytes]] = {}
 
     def best(self, chunk: str) -> list[int]:
         """Ids of the best segmentation, by dynamic programming over the places of a chunk."""
@@ -96,22 +96,29 @@ class Codec:
 
     def encode(self, text: str | None) -> np.ndarray:
         """Ids of a text as 32-bit integers."""
+        return self.coded(text)[0]
+
+    def coded(self, text: str | None) -> tuple[np.ndarray, str]:
+        """Ids of a text as 32-bit integers, and the text that they spell. Pieces spell the same wherever they stand, so a chunk's ids are decoded once, when they are found."""
         if not text:
-            return np.zeros(0, np.int32)
+            return np.zeros(0, np.int32), ""
         text = BLANK + text.replace(" ", BLANK)
         if not self.whole:
-            return np.array(self.best(text), np.int32)
-        known, parts = self.known, []
+            ids = self.best(text)
+            return np.array(ids, np.int32), self.decode(ids)
+        known, parts, spelled = self.known, [], []
         for chunk in self.chunks.findall(text):
-            ids = known.get(chunk)
-            if ids is None:
+            both = known.get(chunk)
+            if both is None:
                 if len(known) >= CACHE:
                     known.clear()
-                ids = np.array(self.best(chunk), np.int32).tobytes()
+                ids = self.best(chunk)
+                both = np.array(ids, np.int32).tobytes(), b"".join(map(self.bytes_of.__getitem__, ids))
                 if len(chunk) <= 100:
-                    known[chunk] = ids
-            parts.append(ids)
-        return np.frombuffer(b"".join(parts), np.int32)
+                    known[chunk] = both
+            parts.append(both[0])
+            spelled.append(both[1])
+        return np.frombuffer(b"".join(parts), np.int32), b"".join(spelled).decode("utf-8", "surrogatepass")[1:]
 
     def decode(self, ids) -> str:
         raw = b"".join(map(self.bytes_of.__getitem__, ids))
@@ -137,8 +144,8 @@ def encode(docs: DataFrame, pieces: list[tuple[str, float, str]], text: str = "t
         codec = _codecs[key]
         for batch in cut_batches(batches, text, 2 << 20):
             texts = batch.column(text).to_pylist()
-            coded = [codec.encode(t) for t in texts]
-            right = [codec.decode(c.tolist()) == (t or "").replace(BLANK, " ") for c, t in zip(coded, texts, strict=True)]
+            both = [codec.coded(t) for t in texts]
+            coded, right = [ids for ids, _ in both], [back == (t or "").replace(BLANK, " ") for (_, back), t in zip(both, texts, strict=True)]
             offsets = np.concatenate([[0], np.cumsum([len(c) for c in coded])]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(coded) if coded else np.zeros(0, np.int32)))
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), lists, pa.array(right)], [*keep, ids, "decodes"])
