@@ -249,12 +249,14 @@ def links(docs: DataFrame, classes: DataFrame, id_col: str, text: str, width: in
 
     # Members of other open lists meet where their estimate allows it.
     wide = rest.where(F.col("c") < LARGE).withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int"))
-    wide = keep(wide.join(bits, "id"))
+    # With all of its documents' values in such lists: a pair is looked at in the first list that it shares only.
+    listed_in = wide.groupBy("id").agg(F.collect_set("v").alias("vs"))
+    wide = keep(wide.join(bits.join(listed_in, "id"), "id"))
     all_ = wide.withColumn("block", dealt("blocks")).alias("y")
     some_ = wide.where("part <> main").withColumn("block", spread("blocks")).alias("x")
     once = (F.col("y.part") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))
     on = (F.col("x.v") == F.col("y.v")) & (F.col("x.size") == F.col("y.size")) & (F.col("x.block") == F.col("y.block")) & (F.col("x.part") != F.col("y.part")) & (F.col("x.size") == F.greatest("x.g", "y.g")) & once
-    on = on & sized_bits("x", "y", num, den)
+    on = on & sized_bits("x", "y", num, den) & (F.array_min(F.array_intersect("x.vs", "y.vs")) == F.col("x.v"))
     more = some_.join(all_, on).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
     more = more.join(near, ["a", "b"], "left_anti").join(a, "a").join(b, "b").where(alike("x", "y", num, den)).select("a", "b")
     more = keep(more)
