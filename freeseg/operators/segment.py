@@ -87,13 +87,26 @@ def break_rows(statements: DataFrame, grams: DataFrame, config: Config = Config(
     return profile.local_maxima(mean.where(some), config.threshold).where("is_break").select(*KEY, "gap").distinct()
 
 
-def run(statements: DataFrame, grams: DataFrame, config: Config = Config(), keep_space: bool = True, engine: str = "any") -> DataFrame:
-    """The tokens of statements under a configuration: lang, stmt_id, tok_no, start, len, token. engine: "arrays", "rows", or "any" that suits."""
+def run(statements: DataFrame, grams: DataFrame, config: Config = Config(), keep_space: bool = True, engine: str = "any", held=None) -> DataFrame:
+    """The tokens of statements under a configuration: lang, stmt_id, tok_no, start, len, token. engine: "arrays", "rows", or "any" that suits. held: what `apply.slices` gives, where it is at hand."""
     from . import apply
 
-    if engine != "rows" and config.in_arrays and statements.schema["text"].dataType.simpleString() == "string":
-        held = apply.slices(grams, config)
+    if engine != "rows" and config.in_arrays:
+        held = apply.slices(grams, config) if held is None else held
         if held is not None:
             out = apply.token_rows(statements, held, config)
             return out if keep_space else out.where(F.trim("token") != "")
     return tokens(statements, break_rows(statements, grams, config), keep_space)
+
+
+def run_all(statements: DataFrame, grams: DataFrame, configs: dict[str, Config]) -> dict[str, DataFrame]:
+    """The tokens under each of some configurations. Those that look up the same values share one slice of the model."""
+    from . import apply
+
+    held, out = {}, {}
+    for name, c in configs.items():
+        key = (c.base, c.ranks, c.theta, c.kind, c.polarity)
+        if c.in_arrays and key not in held:
+            held[key] = apply.slices(grams, c)
+        out[name] = run(statements, grams, c, engine="any" if held.get(key) else "rows", held=held.get(key))
+    return out

@@ -157,7 +157,7 @@ COMBINES = ("max", "mean", "forward", "backward")
 
 def w17_tokens_mean_vs_max(spark, sf_dir):
     st, grams = kept(corpus.statements(spark, sf_dir)), _trained(spark, sf_dir, 2)
-    toks = _together({c: segment.run(st, grams, SPACED._replace(combine=c)) for c in COMBINES}, "combine")
+    toks = _together(segment.run_all(st, grams, {c: SPACED._replace(combine=c) for c in COMBINES}), "combine")
     return evaluate.f1(toks, _for_each(baselines.reference_tokens(st), "combine", COMBINES), "lang", "combine")
 
 
@@ -197,7 +197,7 @@ METHODS = (*CONFIGS, "mi", "lexicon", "spaces", "symbols", "line")
 
 def all_methods(st: DataFrame, grams: DataFrame, lexicon: DataFrame) -> dict[str, DataFrame]:
     """The tokens of every method at its default configuration."""
-    return {name: segment.run(st, grams, c) for name, c in CONFIGS.items()} | {
+    return segment.run_all(st, grams, CONFIGS) | {
         "mi": baselines.mi_tokens(st, grams, MI_CUT), "lexicon": baselines.lexicon_tokens(st, lexicon),
         **{kind: baselines.trivial_tokens(st, kind) for kind in ("spaces", "symbols", "line")},
     }
@@ -319,7 +319,7 @@ def _unspaced(spark, sf_dir):
     st, ref = kept(st), kept(ref)
     lines = corpus.strip_spaces(corpus.train_lines(spark, sf_dir), "line").where("line <> ''")
     grams, lex = kept(model.count_grams(lines, 3)), _lexicon(spark, sf_dir)
-    made = {k: segment.run(st, grams, c) for k, c in UNSPACED_METHODS.items()} | {"lexicon": baselines.lexicon_tokens(st, lex), "symbols": baselines.trivial_tokens(st, "symbols"), "line": baselines.trivial_tokens(st, "line")}
+    made = segment.run_all(st, grams, UNSPACED_METHODS) | {"lexicon": baselines.lexicon_tokens(st, lex), "symbols": baselines.trivial_tokens(st, "symbols"), "line": baselines.trivial_tokens(st, "line")}
     return made, ref, lex
 
 
@@ -357,7 +357,7 @@ RULES = {"tf_local_max": SPACED._replace(offshoot="derivative", rule="local_max"
 def w40_rules(spark, sf_dir):
     """F1 of other rules: local maxima of derivatives, values scaled by the model or not at all, and unseen grams taken for the next shorter ones; and of the mutual-best variant of mutual information and the hybrid with a lexicon."""
     st, grams, lex = kept(corpus.statements(spark, sf_dir)), _trained(spark, sf_dir, 4), _lexicon(spark, sf_dir)
-    made = {k: segment.run(st, grams, c) for k, c in RULES.items()}
+    made = segment.run_all(st, grams, RULES)
     made["mi_mutual_best"] = segment.tokens(st, baselines.mi_breaks(st, grams, variant="mutual_best"))
     made["hybrid"] = baselines.hybrid_tokens(st, segment.run(st, grams, SPACED), baselines.lexicon_tokens(st, lex))
     return evaluate.f1(_together(made, "method"), _for_each(baselines.reference_tokens(st), "method", tuple(made)), "lang", "method")
