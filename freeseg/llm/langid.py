@@ -23,6 +23,8 @@ from pyspark.sql import types as T
 from .kernel import cut_batches, released, segment_sum, words_of
 
 ORDERS, BUCKETS, ALPHA = (1, 2, 3, 4), 1 << 16, 0.5
+#: Bytes of text whose n-grams are held at once.
+SMALL = 2 << 20
 
 
 class Model(NamedTuple):
@@ -66,7 +68,7 @@ def train(docs: DataFrame, text: str = "text", lang: str = "lang", orders=ORDERS
     def count(batches):
         total: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(buckets, np.int64))
         docs_of: dict[str, int] = defaultdict(int)
-        for batch in cut_batches(batches, "t"):
+        for batch in cut_batches(batches, "t", SMALL):
             w = words_of(batch.column("t"), "utf8")
             owner, bucket = word_grams(w.distinct, orders, buckets)
             names = batch.column("l").dictionary_encode()
@@ -121,7 +123,7 @@ def predict(docs: DataFrame, model: Model, text: str = "text", lang_col: str = "
     def run(batches):
         m = held.value
         names = pa.array([*m.languages, "und"])
-        for batch in cut_batches(batches, text):
+        for batch in cut_batches(batches, text, SMALL):
             best, score = score_texts(batch.column(text), m)
             yield pa.RecordBatch.from_arrays(
                 [*(batch.column(c) for c in keep), names.take(pa.array(np.where(best < 0, len(m.languages), best))), pa.array(score)], [*keep, lang_col, score_col]
