@@ -13,6 +13,7 @@ go to the longer last piece. Repeated rows are encoded alike.
 from __future__ import annotations
 
 import re
+from array import array
 
 import ahocorasick
 import numpy as np
@@ -70,19 +71,25 @@ class Codec:
     def best(self, chunk: str) -> list[int]:
         """Ids of the best segmentation, by dynamic programming over the places of a chunk."""
         n = len(chunk)
-        score, back = [0.0] + [-np.inf] * n, [None] * (n + 1)
+        score, back = [0.0] * (n + 1), [(1, -1)] * (n + 1)
         found: list[list] = [[] for _ in range(n + 1)]
         if len(self.automaton):
             for end, value in self.automaton.iter(chunk):
                 found[end + 1].append(value)
         for end in range(1, n + 1):
-            raw = chunk[end - 1].replace(BLANK, " ").encode("utf-8", "surrogatepass")
-            top, via = score[end - 1] + self.byte_score * len(raw), (1, -1)
+            top, longest, via, single = -np.inf, 0, -1, False
             for length, s, k in found[end]:
                 s += score[end - length]
-                if s > top or (s == top and length > via[0]) or (s == top and via[1] < 0):
-                    top, via = s, (length, k)
-            score[end], back[end] = top, via
+                if s > top or (s == top and length > longest):
+                    top, longest, via = s, length, k
+                if length == 1:
+                    single = True
+            if not single:  # bytes are always worse than a piece of one character
+                raw = chunk[end - 1].replace(BLANK, " ").encode("utf-8", "surrogatepass")
+                s = score[end - 1] + self.byte_score * len(raw)
+                if s > top:
+                    top, longest, via = s, 1, -1
+            score[end], back[end] = top, (longest, via)
         out, end = [], n
         while end:
             length, k = back[end]
@@ -113,7 +120,7 @@ class Codec:
                 if len(known) >= CACHE:
                     known.clear()
                 ids = self.best(chunk)
-                both = np.array(ids, np.int32).tobytes(), b"".join(map(self.bytes_of.__getitem__, ids))
+                both = array("i", ids).tobytes(), b"".join(map(self.bytes_of.__getitem__, ids))
                 if len(chunk) <= 100:
                     known[chunk] = both
             parts.append(both[0])
