@@ -210,6 +210,23 @@ def test_iterative_merging_takes_the_most_informative_pair(spark):
     assert sorted((r.lang, r.toks) for r in left.collect()) == sorted((k, t) for k, ts in after.items() for t in ts)
 
 
+def test_merging_writes_counts_and_not_the_corpus(spark):
+    texts = {"x": ["aaaa baa aaab", "aaa a\U0001f600a", "ba ba aa"], "y": ["abcabc ab c", "bc abc", "a bc"]}
+    rows = [(k, t) for k, ts in texts.items() for t in ts] + [(None, "ab"), ("x", None)]
+    written = []
+
+    def keep(df):
+        out = df.cache()
+        written.append(out.count())
+        return out
+
+    merges, left = baselines.mi_merges(spark.createDataFrame(rows * 50, "lang string, line string"), 5, keep)
+    want, after = plain_merges({k: ts * 50 for k, ts in texts.items()}, 5)
+    assert merges == want and max(written) < 100
+    after |= {None: [["a", "b"]] * 50}
+    assert Counter((r.lang, tuple(r.toks)) for r in left.where("toks is not null").collect()) == Counter((k, tuple(t)) for k, ts in after.items() for t in ts)
+
+
 @pytest.mark.parametrize("by", ["length", "frequency", "blend"])
 def test_greedy_lexicon(spark, by):
     lex = spark.createDataFrame([("x", "ab", 5), ("x", "abc", 2), ("x", "c", 9), ("x", "d", 1)], "lang string, word string, freq long")
