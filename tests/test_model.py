@@ -5,6 +5,7 @@ from collections import Counter, defaultdict
 import pytest
 from pyspark.sql import functions as F
 
+from freeseg.functions import kernels
 from freeseg.operators import compress, model
 
 LINES = ["ab ac", "ca b", "", "a", "aaaa", "éà é, ça?", "to be or not to be", "αβγ 中文 αβ", "a😀b😀"]
@@ -139,3 +140,27 @@ def test_sketched_freedom_is_near(lines):
     grams = model.count_grams(lines, 2)
     exact = {r.gram: r.tf for r in model.freedom(model.edges(grams)).where("dir = 'f'").collect()}
     assert {r.gram: r.tf_f for r in model.freedom_sketch(lines, 1).collect()} == exact
+
+
+@pytest.mark.parametrize("symbols", ["ab é\0", "".join(map(chr, range(0x4E00, 0x4F80)))])
+def test_a_task_counts_its_batches_together(spark, symbols):
+    """A task's grams leave it once, whatever number of batches they come in; those of more symbols than can be packed are counted too."""
+    import random
+
+    own = random.Random(5)
+    rows = [(lang, "".join(own.choices(symbols, k=own.randrange(0, 9)))) for lang in ("x", "y") for _ in range(300)]
+    want = Counter((lang, n, t[i : i + n]) for lang, t in rows for n in range(1, 5 + 1) for i in range(len(t) - n + 1))
+    lines = spark.createDataFrame(rows, "lang string, line string").coalesce(1)
+    got = model.count_grams(lines, 5).collect()
+    assert {(r.lang, r.n, r.gram): r.cnt for r in got} == dict(want) and len(got) == len(want)
+
+
+def test_packed_windows_of_several_batches():
+    counts = kernels.WindowCounts(8)
+    want = Counter()
+    for lines in (["abc", "", "bca"], ["é\0a", "abcabcabcabc"], ["abc"]):
+        assert counts.add("x", lines)
+        want.update(t[i : i + n] for t in lines for n in range(1, 9) for i in range(len(t) - n + 1))
+    got = [(g, c) for _, _, some, cs in counts.grams(2) for g, c in zip(some.to_pylist(), cs.tolist(), strict=True)]
+    assert dict(got) == dict(want) and len(got) == len(want) and not len(counts)
+    assert not counts.add("x", ["".join(map(chr, range(100, 400)))])
