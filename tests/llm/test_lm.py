@@ -140,3 +140,52 @@ def test_all_training_texts_are_learned_from(spark, proto, monkeypatch, units):
     assert (m.cls == plain_fit.cls).all() and (m.prev == plain_fit.prev).all() and np.allclose(m.within, plain_fit.within, atol=1e-5)
     loss = lambda m: -lm.log_probs(m, np.concatenate(seqs), np.array([len(s) for s in seqs])).mean()
     assert loss(m) < loss(plain_fit)
+
+
+def test_gradients_are_those_of_the_loss():
+    m, rng = model()
+    m = m._replace(**{k: rng.normal(0, 0.3, getattr(m, k).shape).astype(np.float32) for k in lm.WEIGHTS})
+    lengths = np.array([5, 30, 60])
+    sequence = rng.integers(3, 45, lengths.sum())
+    windows = lm.laid(lm.inputs_of(sequence, lengths), m.cls[sequence], lengths)
+    ids, inside, target, _ = lm.gathered(windows, np.arange(len(windows.first)))
+    used, found = lm.gradients(m, ids, inside, target)
+    assert used.tolist() == sorted({lm.START, *lm.inputs_of(sequence, lengths).tolist()})
+    parts = np.split(sequence, np.cumsum(lengths)[:-1])
+    loss = lambda m: -np.mean(np.concatenate([plain(m, p.tolist()) for p in parts]))
+    for name in lm.WEIGHTS:
+        for _ in range(4):
+            at = tuple(int(rng.integers(n)) for n in found[name].shape)
+            was = getattr(m, name).astype(float)
+            place, step = (used[at[0]], *at[1:]) if name == "embed" else at, np.zeros_like(was)
+            step[place] = 1e-4
+            by_differences = (loss(m._replace(**{name: was + step})) - loss(m._replace(**{name: was - step}))) / 2e-4
+            assert found[name][at] == pytest.approx(by_differences, abs=2e-5), name
+
+
+def test_texts_are_read_and_spelled_once(spark, proto, tmp_path):
+    """What scores texts was kept when their words were counted; the texts' own files are not read again."""
+    documents(spark, ["a b c", None, "some other words"]).write.parquet(str(tmp_path / "docs"))
+    found = lm.score(spark.read.parquet(str(tmp_path / "docs")), F.lit(True), proto)
+    assert not [f for f in found.inputFiles() if str(tmp_path) in f]
+    assert found.count() == 3
+
+
+def test_packed_arrays_come_back():
+    arrays = [np.arange(5, dtype=np.int32) - 2, np.zeros(0, np.uint16), np.array([2**63 - 1, -(2**63)]), np.array([7], np.uint16)]
+    for a, b in zip(arrays, lm.unpack(lm.pack(*arrays)), strict=True):
+        assert a.dtype == b.dtype and a.tolist() == b.tolist()
+
+
+def test_mixtures_of_very_unlikely_words():
+    spelled, share = np.array([-1.0, -599.0, -700.0, -900.0]), np.array([0.1, 0.0, 1e-3, 1e-300])
+    for p, got in zip(lm.MIXED, lm.mixtures(spelled, np.maximum(share, 1e-305)), strict=True):
+        assert got == pytest.approx(np.logaddexp(spelled + np.log(p), np.log(np.maximum(share, 1e-305)) + np.log1p(-p)))
+
+
+def test_words_spelled_before_are_spelled_alike(proto):
+    words = pa.array(["the", "zq", "", "ä" * 120, "the"])
+    first, again = lm.Coder(proto).words(words), lm.Coder(proto).words(words)
+    assert all((a == b).all() for a, b in zip(first, again, strict=True))
+    coder = lm.Coder(proto)
+    assert [first[0][a:b].tolist() for a, b in zip(first[1][:-1], first[1][1:], strict=True)] == [coder.sp.encode(w) for w in words.to_pylist()]
